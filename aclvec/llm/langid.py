@@ -85,22 +85,20 @@ def train(labelled: DataFrame, n_rows: int) -> dict:
     least = F.lit(2)
     for kind, n in total.items():
         least = F.when(F.col("kind") == kind, F.lit(max(2, -(-n // (WORDS if kind == 0 else GRAMS // len(ORDERS)))))).otherwise(least)
-    rows = counts.withColumn("least", least).filter("n >= least").select("lang", "kind", "gram", "n").collect()
+    rows = counts.withColumn("least", least).filter("n >= least").select("lang", "kind", "gram", "n").toPandas()
     model: dict = {"langs": langs, "grams": {}}
     where = {x: i for i, x in enumerate(langs)}
     for kind in (0, *ORDERS):
-        found: dict[str, np.ndarray] = {}
-        for r in rows:
-            if r.kind == kind:
-                found.setdefault(r.gram, np.zeros(len(langs)))[where[r.lang]] = r.n
-        size = max(1, len(found))
+        own = rows[rows["kind"] == kind]
+        names = sorted(set(own["gram"]))
+        row = {g: i for i, g in enumerate(names)}
+        grid = np.zeros((len(names), len(langs)))
+        grid[own["gram"].map(row).to_numpy(np.int64), own["lang"].map(where).to_numpy(np.int64)] = own["n"]
+        size = max(1, len(names))
         n_l = np.array([sums.get((x, kind), (0, 0))[0] for x in langs], float)
-        names = list(found)
-        grid = np.array([found[g] for g in names]).reshape(len(names), len(langs))
         logs = (np.log(grid + ALPHA) - np.log(n_l + ALPHA * size)).astype(np.float32)
         # Only what tells languages apart matters: the mean over languages is taken out.
         logs -= logs.mean(axis=1, keepdims=True) if len(langs) else 0
-        model["words" if kind == 0 else kind] = None
         if kind == 0:
             model["words"] = (names, logs)
         else:
