@@ -1,12 +1,13 @@
 """The queries of this package and the SQL that some of them equal."""
 
-from aclvec.llm import linededup
+from aclvec.llm import jaccard, linededup
 from aclvec.llm.bpe import op6_bpe_codec
+from aclvec.llm.jaccard import op10_jaccard_join
 from aclvec.llm.langid import op1_language_id
 from aclvec.llm.linecrf import op4_line_rules
 from aclvec.llm.linededup import op8_line_dedup
 from aclvec.llm.media import op2_media
 from aclvec.llm.quality import op3_quality
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op2_media, op3_quality, op4_line_rules, op6_bpe_codec, op8_line_dedup)}
-ORACLES: dict[str, str] = {"op8_line_dedup": linededup.ORACLE}
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_media, op3_quality, op4_line_rules, op6_bpe_codec, op8_line_dedup, op10_jaccard_join)}
+ORACLES: dict[str, str] = {"op8_line_dedup": linededup.ORACLE, "op10_jaccard_join": jaccard.ORACLE}
