@@ -107,48 +107,50 @@ def train(labelled: DataFrame, n_rows: int) -> dict:
 
 
 class Scorer(dict):
-    """Words to rows of the score matrix; an unseen word is scored and kept on its first use."""
+    """Words to rows of the score matrix; unseen words are scored together and kept for later texts."""
 
     def __init__(self, model: dict):
-        names, logs = model["words"]
-        super().__init__({w: i for i, w in enumerate(names)})
-        self.names, self.langs, self.grams = names, model["langs"], model["grams"]
-        self.known = self.used = len(names)
-        self.rows = np.zeros((len(names) + CACHE, len(self.langs)), np.float32)
-        self.rows[: self.known] = logs
-
-    def __missing__(self, word: str) -> int:
-        if self.used == len(self.rows):
-            return self.spare(word)
-        i = self.used
-        self.rows[i] = self.unseen(word)
-        self[word] = i
-        self.used += 1
-        return i
-
-    def spare(self, word: str) -> int:
-        """No room is left within one run of texts: the rows grow; `trim` takes them back."""
-        self.rows = np.vstack([self.rows, np.zeros((CACHE, len(self.langs)), np.float32)])
-        return self[word]
+        self.names, logs = model["words"]
+        super().__init__(zip(self.names, range(len(self.names)), strict=True))
+        self.langs, self.known = model["langs"], len(self.names)
+        self.words = self.rows = logs
+        # One table of n-grams of all orders, at the discount of their order; row 0 is for none.
+        self.grams: dict[str, int] = {}
+        parts = [np.zeros((1, len(self.langs)), np.float32)]
+        for step, k in enumerate(ORDERS):
+            for g, v in model["grams"][k].items():
+                self.grams[g] = len(self.grams) + 1
+                parts.append(DISCOUNT**step * v[None])
+        self.gram_rows = np.concatenate(parts)
+
+    def learn(self, words: list[str]) -> None:
+        """Adds the rows of unseen words: the mean over places of the longest known n-gram there."""
+        get, found, sizes = self.grams.get, [], []
+        for word in words:
+            w = f"<{word}>"
+            n = len(w)
+            for i in range(n):
+                for k in ORDERS:
+                    if i + k <= n and (r := get(w[i : i + k])) is not None:
+                        found.append(r)
+                        break
+                else:
+                    found.append(0)
+            sizes.append(n)
+        at = np.concatenate(([0], np.cumsum(sizes)[:-1]))
+        means = np.empty((len(words), len(self.langs)), np.float32)
+        for i in range(0, len(words), 20_000):  # bounds the rows taken at a time
+            j = min(i + 20_000, len(words))
+            end = at[j] if j < len(words) else len(found)
+            means[i:j] = np.add.reduceat(self.gram_rows[found[at[i] : end]], at[i:j] - at[i], axis=0) / np.array(sizes[i:j])[:, None]
+        self.update(zip(words, range(len(self.rows), len(self.rows) + len(words)), strict=True))
+        self.rows = np.concatenate((self.rows, means))
 
     def trim(self) -> None:
-        if self.used - self.known >= CACHE:
+        if len(self) - self.known > CACHE:
             self.clear()
-            self.update((w, i) for i, w in enumerate(self.names))
-            self.rows, self.used = self.rows[: self.known + CACHE].copy(), self.known
-
-    def unseen(self, word: str) -> np.ndarray:
-        w, out, n = f"<{word}>", np.zeros(len(self.langs), np.float32), 0
-        for i in range(len(w)):
-            weight = 1.0
-            for k in ORDERS:
-                g = w[i : i + k]
-                if len(g) == k and (v := self.grams[k].get(g)) is not None:
-                    out += weight * v
-                    break
-                weight *= DISCOUNT
-            n += 1
-        return out / n
+            self.update(zip(self.names, range(self.known), strict=True))
+            self.rows = self.words
 
     def predict(self, texts: list[bytes]) -> tuple[list[str], list[float]]:
         if not self.langs:
@@ -156,6 +158,8 @@ class Scorer(dict):
         words = [words_of(t) for t in texts]
         words = [w if any(c.isalpha() for x in w for c in x) else [] for w in words]
         sizes = np.fromiter(map(len, words), np.int64, len(words))
+        if new := list({x for w in words for x in w if x not in self}):
+            self.learn(new)
         ids = np.fromiter((self[x] for w in words for x in w), np.int64, int(sizes.sum()))
         ends = np.concatenate(([0], np.cumsum(sizes)))
         sums = np.zeros((len(texts), len(self.langs)))
