@@ -2,6 +2,7 @@
 
 from aclvec.llm import jaccard, linededup
 from aclvec.llm.bpe import op6_bpe_codec
+from aclvec.llm.hmm import op5_hmm_scores
 from aclvec.llm.jaccard import op10_jaccard_join
 from aclvec.llm.langid import op1_language_id
 from aclvec.llm.linecrf import op4_line_rules
@@ -9,5 +10,5 @@ from aclvec.llm.linededup import op8_line_dedup
 from aclvec.llm.media import op2_media
 from aclvec.llm.quality import op3_quality
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op2_media, op3_quality, op4_line_rules, op6_bpe_codec, op8_line_dedup, op10_jaccard_join)}
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_media, op3_quality, op4_line_rules, op5_hmm_scores, op6_bpe_codec, op8_line_dedup, op10_jaccard_join)}
 ORACLES: dict[str, str] = {"op8_line_dedup": linededup.ORACLE, "op10_jaccard_join": jaccard.ORACLE}
