@@ -337,8 +337,8 @@ def _held(ranks: dict[bytes, int]) -> tuple[Encoder, Decoder]:
     return kept.pair
 
 
-def encode(docs: DataFrame, ranks: dict[bytes, int], digests: bool = False) -> DataFrame:
-    """`docs` with ids array<int>, n_tokens and offsets array<long> (each id's first byte); with `digests` the hashes in place of arrays.
+def encode(docs: DataFrame, ranks: dict[bytes, int], digests: bool = False, ids: bool = True) -> DataFrame:
+    """doc_id and n_tokens, with `ids` arrays of ids and offsets (each id's first byte), with `digests` hashes of the ids and of the decoded bytes.
 
     The vocabulary is a broadcast of bounded size: that of the rank file.
     """
@@ -350,16 +350,18 @@ def encode(docs: DataFrame, ranks: dict[bytes, int], digests: bool = False) -> D
 
         def work(texts):
             out = encoder.encode(texts)
+            found = {"n_tokens": [len(x) // 4 for x in out]}
+            back = [decoder.decode(np.frombuffer(x, "<u4")) for x in out]
             if digests:
-                back = [decoder.decode(np.frombuffer(x, "<u4"))[0] for x in out]
-                hexes = lambda xs: [hashlib.sha256(x).hexdigest() for x in xs]
-                return {"n_tokens": [len(x) // 4 for x in out], "ids_sha256": hexes(out), "decoded_sha256": hexes(back)}
-            ids = [np.frombuffer(x, "<u4").astype(np.int32) for x in out]
-            return {"n_tokens": [len(x) for x in ids], "ids": ids, "offsets": [decoder.decode(x)[1] for x in ids]}
+                found["ids_sha256"] = [hashlib.sha256(x).hexdigest() for x in out]
+                found["decoded_sha256"] = [hashlib.sha256(x).hexdigest() for x, _ in back]
+            if ids:
+                found["ids"], found["offsets"] = [np.frombuffer(x, "<i4") for x in out], [at for _, at in back]
+            return found
 
         return work
 
-    schema = "n_tokens long, ids_sha256 string, decoded_sha256 string" if digests else "n_tokens long, ids array<int>, offsets array<long>"
+    schema = "n_tokens long" + ", ids_sha256 string, decoded_sha256 string" * digests + ", ids array<int>, offsets array<long>" * ids
     return per_text(id_and_bytes(docs), schema, make)
 
 
@@ -378,7 +380,7 @@ def decode(encoded: DataFrame, ranks: dict[bytes, int]) -> DataFrame:
 
 def op6_bpe_codec(spark: SparkSession, sf_dir: str, path: str | None = None) -> DataFrame:
     """Every whole text encoded and decoded again, as digests."""
-    return encode(table(spark, sf_dir, "documents"), read_ranks(path or default_path()), digests=True)
+    return encode(table(spark, sf_dir, "documents"), read_ranks(path or default_path()), digests=True, ids=False)
 
 
 def default_path() -> str:

@@ -17,6 +17,7 @@ each. Labels, lang, source and id are no inputs of a score.
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -190,6 +191,17 @@ def predict(frame: DataFrame, model: Additive | None) -> DataFrame:
     return per_text(frame, "score double, predicted int", lambda: work)
 
 
+def accepted(docs: DataFrame, model: Additive | None) -> DataFrame:
+    """The rows of `docs`, with all their columns, whose text scores `THRESHOLD` or more."""
+    sent = docs.sparkSession.sparkContext.broadcast(model)
+
+    def fine(texts: pd.Series) -> pd.Series:
+        m = sent.value
+        return pd.Series(np.ones(len(texts), bool) if m is None else m.score(features(texts.tolist())) >= THRESHOLD)
+
+    return docs.filter(F.pandas_udf(fine, "boolean")(F.coalesce(F.col("text"), F.lit("")).cast("binary")))
+
+
 def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A quality score for every whole text, learned from the labels of documents that are not held out."""
     docs = table(spark, sf_dir, "documents")
