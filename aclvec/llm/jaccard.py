@@ -36,8 +36,10 @@ from pyspark.sql import functions as F
 from aclvec.llm.common import chunks, id_and_bytes, per_text, stored, table
 
 WORDS, ABOVE, OF = 5, 75, 100
-#: Shingles of a shard; classes of a group and of a block; min-hashes of the first round.
+#: Shingles of a shard; classes of a group and at most of a block; min-hashes of the first round.
 SHARD, GROUP, BLOCK, DRAWS = 1_500_000, 96, 256, 2
+#: Bytes of text whose repeats are taken out before the shuffle.
+RUN = 12 << 20
 #: Divides the required overlap in the choice of the number of long lists.
 LONG_SHARE = 0.03
 MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
@@ -118,10 +120,10 @@ def entry_rows(docs: DataFrame, n_shards: int) -> DataFrame:
 
     def run(batches):
         schema = pa.schema([("shard", pa.int64()), ("settled", pa.bool_()), ("hashes", pa.binary()), ("classes", pa.binary())])
-        for b in batches:
+        for texts in (t for b in batches for _, t in chunks(b, limit=RUN)):
             held: dict[int, np.ndarray] = {}
-            for _, texts in chunks(b):
-                for s in shingles(texts):
+            for i in range(0, len(texts), 400):
+                for s in shingles(texts[i : i + 400]):
                     if len(s):
                         held.setdefault(digest(s)[0], s)
             if not held:
@@ -303,15 +305,19 @@ def links_within(key, rows):
     return pa.table({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([y for _, y in out], pa.int64())})
 
 
-def link_across(key, left, right):
-    """One link between two blocks, if there is any."""
+def links_across(key, left, right):
+    """Links that join the components of two blocks, or of one block if there is no other."""
     a, n_a, sets_a = arrays(left)
-    b, n_b, sets_b = arrays(right)
-    index, out = Inverted(sets_b, n_b), []
-    for i in range(len(n_a)):
-        index.search(sets_a[i], n_a[i], lambda j: bool(out), lambda j, i=i: out.append((int(a[i]), int(b[j]))))
-        if out:
-            break
+    b, n_b, sets_b = arrays(right) if right.num_rows else (a, n_a, sets_a)
+    comp = {}
+    for rows in (left, right):
+        comp |= dict(zip(rows["node"].to_pylist(), rows["comp"].to_pylist(), strict=True))
+    place = {c: i for i, c in enumerate(sorted(set(comp.values())))}
+    forest, out, index = Forest(len(place)), [], Inverted(sets_b, n_b)
+    at_b = [place[comp[x]] for x in b.tolist()]
+    for i, x in enumerate(a.tolist()):
+        mine = place[comp[x]]
+        index.search(sets_a[i], n_a[i], lambda j, m=mine: forest.top(m) == forest.top(at_b[j]), lambda j, m=mine, x=x: forest.unite(m, at_b[j]) and out.append((x, int(b[j]))))
     return pa.table({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([y for _, y in out], pa.int64())})
 
 
@@ -361,27 +367,30 @@ def prefixes(sets: DataFrame) -> DataFrame:
 
 
 def crossing_links(prefix: DataFrame, sets: DataFrame, component: DataFrame) -> DataFrame:
-    """A link for every two components between which there is one."""
+    """Links that join components that meet in a prefix shingle: block by block of classes, never pair by pair.
+
+    Classes that meet others are put into blocks by the least of the shingles in
+    which they do, so that those that are alike lie together. Two blocks are
+    searched against each other once, if they share such a shingle at all.
+    """
     rows = prefix.join(component, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     mixed = stored(rows.groupBy("token").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).filter("x < y").select("token"))
     rows = stored(rows.join(mixed, "token"))
-    comps = rows.select("token", "comp").distinct()
-    pairs = comps.withColumnRenamed("comp", "a_comp").join(comps.withColumnRenamed("comp", "b_comp"), "token").filter("a_comp < b_comp")
-    pairs = stored(pairs)
+    nodes = rows.groupBy("node", "comp").agg(F.min("token").alias("lead"))
+    parts = nodes.groupBy("lead").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("parts"))
+    nodes = nodes.join(parts, "lead").select("node", "comp", F.xxhash64("lead", F.pmod(F.xxhash64("node"), "parts")).alias("block"))
+    nodes = stored(nodes)
+    meets = stored(rows.select("token", "node").join(nodes.select("node", "block"), "node").groupBy("token", "block").agg(F.min("node").alias("least"), F.max("node").alias("most")))
+    pairs = meets.select("token", F.col("block").alias("a_block")).join(meets.select("token", F.col("block").alias("b_block")), "token").filter("a_block < b_block").select("a_block", "b_block").distinct()
+    alone = meets.filter("least < most").select(F.col("block").alias("a_block"), F.col("block").alias("b_block")).distinct()
+    pairs = stored(pairs.union(alone))
+    held = nodes.join(sets, "node")
     sides = []
-    for mine in ("a_comp", "b_comp"):
-        own = pairs.join(rows.withColumnRenamed("comp", mine), ["token", mine]).select("a_comp", "b_comp", "node").distinct()
-        sides.append(stored(own))
-    blocks = [s.groupBy("a_comp", "b_comp").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias(f"blocks_{k}")) for k, s in zip("ab", sides, strict=True)]
-    blocks = stored(blocks[0].join(blocks[1], ["a_comp", "b_comp"]))
-    keyed = []
-    for k, s in zip("ab", sides, strict=True):
-        other = "b" if k == "a" else "a"
-        placed = s.join(blocks, ["a_comp", "b_comp"]).withColumn(f"{k}_block", F.pmod(F.xxhash64("node"), f"blocks_{k}").cast("int"))
-        placed = placed.withColumn(f"{other}_block", F.explode(F.sequence(F.lit(0), F.col(f"blocks_{other}") - 1)))
-        own = placed.select("a_comp", "b_comp", "a_block", "b_block", "node").join(sets, "node")
-        keyed.append(own.select(*(F.col(c).alias(c) for c in own.columns)).groupBy("a_comp", "b_comp", "a_block", "b_block"))
-    return keyed[0].cogroup(keyed[1]).applyInArrow(link_across, "a long, b long")
+    for mine in ("a_block", "b_block"):
+        own = pairs.filter("a_block < b_block") if mine == "b_block" else pairs
+        own = own.join(held.withColumnRenamed("block", mine), mine)
+        sides.append(own.select(*(F.col(c).alias(c) for c in ("a_block", "b_block", "node", "comp", "n", "hashes"))).groupBy("a_block", "b_block"))
+    return sides[0].cogroup(sides[1]).applyInArrow(links_across, "a long, b long")
 
 
 def components(links: DataFrame) -> DataFrame:
