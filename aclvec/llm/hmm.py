@@ -35,7 +35,7 @@ from aclvec.llm.common import chunks, crc_mod, id_and_bytes, sampled, stored, ta
 TOP, GROUPS, STATES, TAIL = 2_000, 512, 4, 3
 WARM, WARM_ROUNDS, FULL_ROUNDS = 1_000, 12, 2
 ADD, UNIT = 0.1, 1_000_000
-SEGMENT, BLOCK_BYTES, LEAST_BLOCKS = 64, 3 << 20, 48
+SEGMENT, BLOCK_BYTES, LEAST_BLOCKS = 64, 8 << 20, 48
 #: The end is the last symbol.
 END = TOP + GROUPS
 
