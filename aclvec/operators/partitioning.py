@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from aclvec.operators.policy import Policy, access_classes, auth, auth_role_sets, doc_classes, role_sets
+from aclvec.operators.policy import Policy, auth, auth_role_sets, doc_classes, role_sets
 
 
 @dataclass(frozen=True)
@@ -49,49 +50,44 @@ def role_homes(p: Policy, part_role: DataFrame, name: str = "split") -> Partitio
     return Partitioning(name, p.pa.join(homes, "role_id").select("part", "doc_id").distinct(), route)
 
 
-def split_tree(p: Policy, min_leaf: float | None = None, max_depth: int = 32) -> Partitioning:
-    """A tree of disjoint leaves, split by the roles that the workload's role sets ask for.
+def split_tree(p: Policy, min_leaf: float | None = None) -> Partitioning:
+    """A tree of disjoint leaves, cut by the roles that the workload's role sets ask for.
 
     At each leaf the role is taken that lets role sets skip most rows, weighted
     by users; a leaf stops when it is below `min_leaf` (documents / roles) or no
-    split skips anything. Classes are few against documents; each level is an
-    aggregation over (leaf, role), and the choice of one row a leaf is collected.
+    cut skips anything. The tree is grown on the class matrix, whose size is
+    checked; documents follow by a join on their class.
     """
+    from aclvec.operators.planner import PlannerInput
+
+    data = PlannerInput.collect(p)
+    least = min_leaf if min_leaf is not None else data.total_docs / max(1, len(data.roles))
+    may = (data.sees @ data.sets.T > 0).astype(np.float64)
+    leaf = np.zeros(len(data.n_docs), int)
+    todo, n_leaves = [0], 1
+    while todo:
+        at = todo.pop()
+        mine = np.flatnonzero(leaf == at)
+        rows = data.n_docs[mine]
+        if rows.sum() < least or len(mine) < 2:
+            continue
+        sees = data.sees[mine].astype(np.float64)
+        inside = rows @ sees
+        needs_in, needs_out = may[mine].T @ sees > 0, may[mine].T @ (1 - sees) > 0
+        gain = data.weight @ (~needs_in * inside[None] + ~needs_out * (rows.sum() - inside)[None])
+        gain[(inside == 0) | (inside == rows.sum())] = 0
+        best = int(gain.argmax())
+        if gain[best] <= 0:
+            continue
+        leaf[mine[sees[:, best] == 0]] = n_leaves
+        todo += [at, n_leaves]
+        n_leaves += 1
     spark = p.docs.sparkSession
-    classes = access_classes(p).select("cls", "role_set", "n_docs").cache()
-    sets = role_sets(p).select("rs", "role_set", "n_users").cache()
-    n_roles = max(1, p.roles.count())
-    least = min_leaf if min_leaf is not None else p.docs.count() / n_roles
-    leaves = classes.withColumn("part", F.lit("t"))
-    done: set[str] = set()
-    for _ in range(max_depth):
-        choice = _best_cuts(leaves.filter(~F.col("part").isin(*done)) if done else leaves, sets, least)
-        if not choice:
-            break
-        cuts = spark.createDataFrame(choice, "part string, cut int")
-        done |= {r.part for r in leaves.select("part").distinct().collect()} - {c[0] for c in choice}
-        leaves = leaves.join(F.broadcast(cuts), "part", "left")
-        side = F.when(F.col("cut").isNull(), F.col("part")).otherwise(F.concat("part", F.when(F.array_contains("role_set", F.col("cut")), F.lit("1")).otherwise(F.lit("0"))))
-        leaves = leaves.select("cls", "role_set", "n_docs", side.alias("part")).cache()
-    part_doc = doc_classes(p).select("doc_id", "cls").join(leaves.select("cls", "part"), "cls").select("part", "doc_id")
-    needed = sets.select("rs", F.explode("role_set").alias("role_id")).join(leaves.select("part", F.explode("role_set").alias("role_id")), "role_id").select("rs", "part").distinct()
-    return Partitioning("splitree", part_doc, needed)
-
-
-def _best_cuts(leaves: DataFrame, sets: DataFrame, least: float) -> list[tuple[str, int]]:
-    """(leaf, role) for the leaves that a cut helps."""
-    size = leaves.groupBy("part").agg(F.sum("n_docs").alias("rows")).filter(F.col("rows") >= least)
-    flat = leaves.join(size, "part").select("part", "cls", "n_docs", "rows", "role_set")
-    options = flat.select("part", F.explode("role_set").alias("cut")).distinct()
-    # Rows on the side that holds the role, per option.
-    held = flat.select("part", F.explode("role_set").alias("cut"), "n_docs", "rows").groupBy("part", "cut", "rows").agg(F.sum("n_docs").alias("inside")).filter("inside < rows")
-    # Role sets that need something on either side: joins of classes (few) with roles.
-    asks = sets.select("rs", "n_users", F.explode("role_set").alias("role_id"))
-    need = flat.select("part", "cls", "role_set", F.explode("role_set").alias("role_id")).join(asks, "role_id").select("part", "cls", "role_set", "rs", "n_users").distinct()
-    per = need.join(options, "part").groupBy("part", "cut", "rs", "n_users").agg(F.max(F.array_contains("role_set", F.col("cut")).cast("int")).alias("needs_in"), F.max((~F.array_contains("role_set", F.col("cut"))).cast("int")).alias("needs_out"))
-    skipped = per.join(held, ["part", "cut"]).groupBy("part", "cut").agg(F.sum(F.col("n_users") * ((1 - F.col("needs_in")) * F.col("inside") + (1 - F.col("needs_out")) * (F.col("rows") - F.col("inside")))).alias("gain")).filter("gain > 0")
-    best = skipped.groupBy("part").agg(F.max_by("cut", F.struct("gain", -F.col("cut"))).alias("cut"))
-    return [(r.part, r.cut) for r in best.collect()]
+    names = [",".join(str(r) for r in data.roles[row > 0].tolist()) for row in data.sees]
+    placed = F.broadcast(spark.createDataFrame([(c, f"t{x}") for c, x in zip(names, leaf.tolist(), strict=True)], "cls string, part string"))  # classes, size checked
+    sets = [",".join(str(r) for r in data.roles[row > 0].tolist()) for row in data.sets]
+    route = {(s, f"t{x}") for i, s in enumerate(sets) for x in set(leaf[may[:, i] > 0].tolist())}
+    return Partitioning("splitree", doc_classes(p).select("doc_id", "cls").join(placed, "cls").select("part", "doc_id"), spark.createDataFrame(sorted(route), "rs string, part string"))
 
 
 def materialise(part: Partitioning, vectors: DataFrame, path: str, mode: str = "physical") -> None:
