@@ -215,7 +215,7 @@ class HnswIndex:
 
     def search(self, built: DataFrame, queries: DataFrame, p: Policy, part: Partitioning, depth: int) -> DataFrame:
         """Queries go to the shards; graphs stay where they are. Each shard returns its `depth` nearest."""
-        shards = built.select("part", "shard").distinct()
+        shards = built.select(F.col("part").alias("part"), F.col("shard").alias("shard")).distinct()
         asked = routed_queries(queries, p, part).join(shards, "part")
         inline, two_hops, m = self.mode != "post", self.mode == "two_hops", self.m
         if inline:  # the permitted nodes of each role set travel with the shard's queries
@@ -223,6 +223,7 @@ class HnswIndex:
             asked = asked.join(may, ["rs", "part"])
         else:
             asked = asked.withColumn("may", F.lit(None).cast("array<bigint>"))
+        asked = asked.select(*(F.col(c).alias(c) for c in ("query_id", "rs", "part", "shard", "qvec", "may")))
 
         def run(key, asked, rows):
             cols = ["query_id", "rs", "part", "doc_id", "dist", "evals"]
