@@ -370,13 +370,16 @@ def crossing_links(prefix: DataFrame, sets: DataFrame, component: DataFrame) ->
     """Links that join components that meet in a prefix shingle: block by block of classes, never pair by pair.
 
     Classes that meet others are put into blocks by the least of the shingles in
-    which they do, so that those that are alike lie together. Two blocks are
-    searched against each other once, if they share such a shingle at all.
+    which they or those they meet do, so that those that are alike lie together.
+    Two blocks are searched against each other once, if they share such a shingle.
     """
     rows = prefix.join(component, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     mixed = stored(rows.groupBy("token").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).filter("x < y").select("token"))
     rows = stored(rows.join(mixed, "token"))
     nodes = rows.groupBy("node", "comp").agg(F.min("token").alias("lead"))
+    near = rows.select("token", "node").join(nodes.select("node", "lead"), "node")
+    least = near.groupBy("token").agg(F.min("lead").alias("lead"))
+    nodes = rows.join(least, "token").groupBy("node", "comp").agg(F.min("lead").alias("lead"))
     parts = nodes.groupBy("lead").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("parts"))
     nodes = nodes.join(parts, "lead").select("node", "comp", F.xxhash64("lead", F.pmod(F.xxhash64("node"), "parts")).alias("block"))
     nodes = stored(nodes)
