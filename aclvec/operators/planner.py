@@ -114,9 +114,6 @@ class State:
         self.visits = [self.asks.any(axis=1)]
         self.inside = [self.permitted.sum(axis=0)]
 
-    def __deepcopy__(self, memo):
-        raise TypeError("states are cheap to rebuild from their homes")
-
     def members(self, part: int) -> np.ndarray:
         return np.flatnonzero(self.home == part)
 
@@ -152,22 +149,40 @@ class State:
         return out
 
     def candidates(self, src: int, dst: int) -> list[dict]:
-        """Every role of src with its storage delta and gains, if it moved to dst."""
+        """Every role of src with its storage delta and gains, if it moved to dst: all of them in a few matrix products."""
         c_r, c_u, _, _ = self.now()
+        roles, data = self.members(src), self.data
         old = self.size[src] + (self.size[dst] if dst < len(self.size) else 0)
-        found = []
-        for r in self.members(src).tolist():
-            a, b = self.hypothetical(src, dst, r)
-            sizes, visits, inside = list(self.size), list(self.visits), list(self.inside)
-            if dst == len(sizes):
-                sizes.append(0.0)
-                visits.append(None)
-                inside.append(None)
-            for part, (_, size, visit, perm) in ((src, a), (dst, b)):
-                sizes[part], visits[part], inside[part] = size, visit, perm
-            new_r, new_u, sbar, ef = self.summary(sizes, visits, inside)
-            found.append({"r": r, "role_id": int(self.data.roles[r]), "d_storage": a[1] + b[1] - old, "gain_r": c_r - new_r, "gain_u": c_u - new_u, "sbar": sbar, "ef": ef})
-        return found
+        cols, asks = data.sees[:, roles], self.asks[:, roles]
+        asked_src = self.asks[:, self.home == src].sum(axis=1)
+        asked_dst = self.asks[:, self.home == dst].sum(axis=1)
+        base_dst = self.counts[dst] if dst < len(self.counts) else np.zeros(len(data.n_docs), np.float32)
+        # (question, candidate) for both partitions after the move.
+        after = []
+        for counts, visit in ((self.counts[src][:, None] - cols, asked_src[:, None] - asks > 0), (base_dst[:, None] + cols, asked_dst[:, None] + asks > 0)):
+            held = (counts > 0).astype(np.float32)
+            size = data.n_docs @ held
+            after.append((size, visit, np.where(visit, self.permitted.T @ held / np.maximum(size, 1)[None], 0)))
+        rest = [p for p in range(len(self.size)) if p not in (src, dst)]
+        sizes = np.array([self.size[p] for p in rest])
+        visits = np.array([self.visits[p] for p in rest]).reshape(len(rest), len(self.asks))
+        ratios = np.where(visits, np.array([self.inside[p] for p in rest]).reshape(visits.shape) / np.maximum(sizes, 1)[:, None], 0)
+        n = visits.sum(axis=0)[:, None] + after[0][1] + after[1][1]
+        s = (ratios.sum(axis=0)[:, None] + after[0][2] + after[1][2]) / np.maximum(n, 1)
+        sbar = self.weight @ s[: self.n_sets]
+        ef = np.array([float(self.model.ef_for(self.target, max(x, 1e-12), self.k)) for x in sbar])
+        if self.per_partition_ef:
+            deep = lambda size, ratio: self.cost.value(size, self.model.ef_for(self.target, np.maximum(ratio, 1e-12), self.k))
+            total = np.where(visits, deep(sizes[:, None], ratios), 0).sum(axis=0)[:, None]
+            total = total + sum(np.where(v, deep(z[None], r), 0) for z, v, r in after)
+        else:
+            total = visits.T.astype(float) @ self.cost.value(sizes[:, None], ef[None]) if rest else 0.0
+            total = total + sum(v * self.cost.value(z, ef)[None] for z, v, _ in after)
+        new_r, new_u = total[self.n_sets :].mean(axis=0), self.weight @ total[: self.n_sets]
+        return [
+            {"r": r, "role_id": int(data.roles[r]), "d_storage": float(after[0][0][i] + after[1][0][i] - old), "gain_r": float(c_r - new_r[i]), "gain_u": float(c_u - new_u[i]), "sbar": float(sbar[i]), "ef": float(ef[i])}
+            for i, r in enumerate(roles.tolist())
+        ]
 
     def move(self, src: int, dst: int, r: int) -> None:
         a, b = self.hypothetical(src, dst, r)
@@ -178,10 +193,6 @@ class State:
         for part, (counts, size, visit, perm) in ((src, a), (dst, b)):
             self.counts[part], self.size[part], self.visits[part], self.inside[part] = counts, size, visit, perm
 
-    def drop_last(self) -> None:
-        for x in (self.counts, self.size, self.visits, self.inside):
-            x.pop()
-
     def plan(self, trace: list[dict]) -> Plan:
         return Plan(self.data.roles.tolist(), self.home.tolist(), [float(s) for s in self.size], self.data.total_docs, list(trace))
 
