@@ -39,7 +39,7 @@ WORDS, ABOVE, OF = 5, 75, 100
 #: Shingles of a shard; classes of a group and at most of a block; min-hashes of the first round.
 SHARD, GROUP, BLOCK, DRAWS = 1_500_000, 96, 256, 2
 #: Bytes of text whose repeats are taken out before the shuffle.
-RUN = 12 << 20
+RUN = 8 << 20
 #: Divides the required overlap in the choice of the number of long lists.
 LONG_SHARE = 0.03
 MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
@@ -104,9 +104,8 @@ def set_rows(docs: DataFrame) -> DataFrame:
     """doc_id, n, d1, d2: the size and digest of each document's shingle set."""
 
     def work(texts):
-        sets = shingles(texts)
-        marks = [digest(s) for s in sets]
-        return {"n": [len(s) for s in sets], "d1": [m[0] for m in marks], "d2": [m[1] for m in marks]}
+        found = [(len(s), *digest(s)) for i in range(0, len(texts), 100) for s in shingles(texts[i : i + 100])]
+        return {"n": [x[0] for x in found], "d1": [x[1] for x in found], "d2": [x[2] for x in found]}
 
     return per_text(id_and_bytes(docs), "n long, d1 long, d2 long", lambda: work)
 
@@ -122,8 +121,8 @@ def entry_rows(docs: DataFrame, n_shards: int) -> DataFrame:
         schema = pa.schema([("shard", pa.int64()), ("settled", pa.bool_()), ("hashes", pa.binary()), ("classes", pa.binary())])
         for texts in (t for b in batches for _, t in chunks(b, limit=RUN)):
             held: dict[int, np.ndarray] = {}
-            for i in range(0, len(texts), 400):
-                for s in shingles(texts[i : i + 400]):
+            for i in range(0, len(texts), 100):
+                for s in shingles(texts[i : i + 100]):
                     if len(s):
                         held.setdefault(digest(s)[0], s)
             if not held:
@@ -156,6 +155,8 @@ def entry_rows(docs: DataFrame, n_shards: int) -> DataFrame:
             for i in range(0, len(rows), 64):
                 part = rows[i : i + 64]
                 yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in part], pa.int64()), pa.array([r[1] for r in part], pa.bool_()), pa.array([r[2].tobytes() for r in part], pa.binary()), pa.array([r[3].tobytes() for r in part], pa.binary())], schema=schema)
+            del rows, h, c, shard, order, held
+            pa.default_memory_pool().release_unused()
 
     return id_and_bytes(docs).mapInArrow(run, "shard long, settled boolean, hashes binary, classes binary")
 
@@ -350,20 +351,17 @@ def prefixes(sets: DataFrame) -> DataFrame:
             n = b.column(b.schema.get_field_index("n")).to_pylist()
             held = [np.frombuffer(x, np.int64) for x in b.column(b.schema.get_field_index("hashes")).to_pylist()]
             size = np.array([len(h) - -(-ABOVE * m // OF) + 1 for h, m in zip(held, n, strict=True)], np.int64)
-            many = [len(h) for h in held]
-            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(node, many)), pa.array(np.concatenate([np.zeros(0, np.int64), *held])), pa.array(np.repeat(size, many))], schema=schema)
+            for i in range(0, len(held), 200):
+                part = held[i : i + 200]
+                many = [len(h) for h in part]
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(node[i : i + 200], many)), pa.array(np.concatenate([np.zeros(0, np.int64), *part])), pa.array(np.repeat(size[i : i + 200], many))], schema=schema)
 
     tokens = sets.mapInArrow(rows, "node long, token long, size long")
     often = stored(tokens.groupBy("token").agg(F.count("*").alias("often")))
 
-    def rarest(key, rows):
-        often, token = rows["often"].to_numpy(), rows["token"].to_numpy()
-        size = int(rows["size"][0].as_py())
-        first = np.lexsort((token, often))[: max(size, 0)]
-        first = first[often[first] > 1]
-        return pa.table({"node": pa.array([key[0].as_py()] * len(first), pa.int64()), "token": token[first]})
-
-    return tokens.join(often, "token").groupBy("node").applyInArrow(rarest, "node long, token long")
+    ranked = tokens.join(often, "token").filter("size > 0").groupBy("node", "size").agg(F.array_sort(F.collect_list(F.struct("often", "token"))).alias("all"))
+    first = ranked.select("node", F.explode(F.slice("all", F.lit(1), F.col("size").cast("int"))).alias("x"))
+    return first.filter("x.often > 1").select("node", F.col("x.token").alias("token"))
 
 
 def crossing_links(prefix: DataFrame, sets: DataFrame, component: DataFrame) -> DataFrame:
