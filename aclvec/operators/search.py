@@ -6,13 +6,15 @@ permission test against the policy given, whatever the partitions hold.
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from aclvec.functions.vector import METRICS
 from aclvec.operators.partitioning import Partitioning
-from aclvec.operators.policy import Policy, auth_role_sets, user_role_sets
+from aclvec.operators.policy import Policy, user_role_sets
 
 #: Queries of one batch that are sent to every task.
 MAX_BROADCAST_QUERIES = 20_000
@@ -36,10 +38,15 @@ def knn(queries: DataFrame, vectors: DataFrame, k: int, metric: str = "l2sq") ->
     return ranked(scored, k).select("query_id", "rank", "doc_id", F.round("dist", 6).alias("dist"))
 
 
+def query_role_sets(queries: DataFrame, p: Policy) -> DataFrame:
+    """user_id, rs of the users that ask, and of no others."""
+    users = queries.select("user_id").distinct()
+    return user_role_sets(p.but(ua=p.ua.join(users, "user_id", "left_semi"))).select("user_id", "rs")
+
+
 def permitted_pairs(queries: DataFrame, p: Policy) -> DataFrame:
-    """query_id, doc_id: what the users of the queries may see, found once a role set."""
-    rs = queries.select("query_id", "user_id").join(user_role_sets(p).select("user_id", "rs"), "user_id")
-    return rs.join(auth_role_sets(p), "rs").select("query_id", "doc_id")
+    """query_id, doc_id: what the users of the queries may see."""
+    return queries.select("query_id", "user_id").join(p.ua, "user_id").join(p.pa, "role_id").select("query_id", "doc_id").distinct()
 
 
 def ground_truth(queries: DataFrame, vectors: DataFrame, p: Policy, k: int | None = None, metric: str = "l2sq") -> DataFrame:
@@ -54,7 +61,7 @@ prefilter = ground_truth
 
 def routed_queries(queries: DataFrame, p: Policy, part: Partitioning) -> DataFrame:
     """query_id, rs, part, k, qvec: a row for each partition to search."""
-    rs = queries.join(user_role_sets(p).select("user_id", "rs"), "user_id")
+    rs = queries.join(query_role_sets(queries, p), "user_id")
     return rs.join(part.route, "rs").select("query_id", "rs", "part", "k", "qvec")
 
 
@@ -66,9 +73,62 @@ def candidates(queries: DataFrame, vectors: DataFrame, p: Policy, part: Partitio
     return scored if ef is None else ranked(scored, ef, ("query_id", "part")).drop("rank")
 
 
+def scan_candidates(copies: DataFrame, asked: DataFrame, ef: int | None) -> DataFrame:
+    """The same as `candidates` for rows (part, doc_id, embedding) and routed queries, by matrix products in Arrow batches.
+
+    The routed queries of a batch go to every task; each task keeps the ef
+    nearest of its rows, so vectors are never shuffled, only ef rows a task,
+    query and partition.
+    """
+    if asked.limit(MAX_BROADCAST_QUERIES + 1).count() > MAX_BROADCAST_QUERIES:
+        raise ValueError(f"more than {MAX_BROADCAST_QUERIES} routed queries in a batch")
+    by_part: dict[str, list] = {}
+    for r in asked.select("query_id", "rs", "part", "qvec").collect():
+        by_part.setdefault(r.part, []).append((r.query_id, r.rs, r.qvec))
+    packed = {k: (np.array([x[0] for x in v]), [x[1] for x in v], np.array([x[2] for x in v], np.float64)) for k, v in by_part.items()}
+    spark = copies.sparkSession
+    sent = spark.sparkContext.broadcast(packed)
+    schema = pa.schema([("query_id", pa.int64()), ("rs", pa.string()), ("part", pa.string()), ("doc_id", pa.int64()), ("dist", pa.float64())])
+
+    def run(batches):
+        for b in batches:
+            part = np.array(b.column(0).to_pylist(), object)
+            docs = b.column(1).to_numpy()
+            flat = b.column(2).flatten().to_numpy(zero_copy_only=False)
+            x = flat.reshape(len(docs), -1).astype(np.float64) if len(docs) else flat
+            out: list[tuple] = []
+            for k in set(part.tolist()):
+                if k not in sent.value:
+                    continue
+                rows = np.flatnonzero(part == k)
+                ids, sets, q = sent.value[k]
+                d = (x[rows] ** 2).sum(axis=1)[None] - 2 * q @ x[rows].T + (q**2).sum(axis=1)[:, None]
+                d = np.maximum(d, 0.0)
+                for i, rs in enumerate(sets):
+                    best = np.lexsort((docs[rows], np.round(d[i], 6)))[: ef or len(rows)]
+                    out.append((np.repeat(ids[i], len(best)), [rs] * len(best), docs[rows[best]], d[i, best], k))
+            if out:
+                yield pa.RecordBatch.from_arrays([
+                    pa.array(np.concatenate([o[0] for o in out]), pa.int64()), pa.array([r for o in out for r in o[1]], pa.string()), pa.array([o[4] for o in out for _ in o[1]], pa.string()),
+                    pa.array(np.concatenate([o[2] for o in out]), pa.int64()), pa.array(np.concatenate([o[3] for o in out]), pa.float64()),
+                ], schema=schema)
+
+    wanted = copies.filter(F.col("part").isin(*packed)) if packed else copies.limit(0)
+    found = wanted.select("part", "doc_id", "embedding").mapInArrow(run, "query_id bigint, rs string, part string, doc_id bigint, dist double")
+    return found if ef is None else ranked(found, ef, ("query_id", "part")).drop("rank")
+
+
+def search_stored(copies: DataFrame, queries: DataFrame, p: Policy, part: Partitioning, ef: int | None = None, k: int = 10) -> DataFrame:
+    """Secure search over stored partitions (part, doc_id, embedding): only the directories of routed partitions are read."""
+    return merge(permitted_only(scan_candidates(copies, routed_queries(queries, p, part), ef), p), k)
+
+
 def permitted_only(found: DataFrame, p: Policy) -> DataFrame:
-    """Rows whose document the role set may see now: a semi-join, on every path."""
-    return found.join(auth_role_sets(p), ["rs", "doc_id"], "left_semi")
+    """Rows whose document the role set may see now: a semi-join of the candidates with the permission edges, on every path."""
+    roles = F.explode(F.transform(F.split("rs", ","), lambda r: r.cast("int")))
+    asked = found.select("rs", "doc_id").distinct().select("rs", "doc_id", roles.alias("role_id"))
+    allowed = asked.join(p.pa, ["role_id", "doc_id"], "left_semi").select("rs", "doc_id").distinct()
+    return found.join(allowed, ["rs", "doc_id"], "left_semi")
 
 
 def merge(found: DataFrame, k) -> DataFrame:

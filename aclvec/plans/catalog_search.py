@@ -79,6 +79,15 @@ for _name in STRATEGIES:
         return se.secure_search(queries_n1(spark, sf_dir), vectors(spark, sf_dir), p, STRATEGIES[n](spark, sf_dir, p))
 
 
+@query("secure_topk_arrow", ANSWER)
+def secure_topk_arrow(spark, sf_dir):
+    """Matrix products over the copies of the planned partitions."""
+    p = n1(spark, sf_dir)
+    part = planned(spark, sf_dir, p)
+    copies = part.part_doc.join(vectors(spark, sf_dir).select("doc_id", "embedding"), "doc_id")
+    return se.search_stored(copies, queries_n1(spark, sf_dir), p, part)
+
+
 def flagship(spark, sf_dir):
     """Secure top-10 through the planned partitions."""
     return _secure(spark, sf_dir, "split")

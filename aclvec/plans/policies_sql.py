@@ -34,7 +34,7 @@ pa AS (SELECT DISTINCT role_id, doc_id FROM (SELECT substr(source, 4)::INT AS ro
 
 H1 = """docs AS (SELECT i::BIGINT AS doc_id FROM range(1, 13) t(i)),
 users AS (SELECT i::BIGINT AS user_id FROM range(1, 7) t(i)),
-ua AS (SELECT * FROM (VALUES (1, 1), (2, 2), (3, 3), (4, 4), (5, 1), (5, 3), (6, 3), (6, 4)) t(user_id, role_id)),
+ua AS (SELECT user_id::BIGINT AS user_id, role_id FROM (VALUES (1, 1), (2, 2), (3, 3), (4, 4), (5, 1), (5, 3), (6, 3), (6, 4)) t(user_id, role_id)),
 pa AS (SELECT 1 AS role_id, doc_id FROM docs WHERE doc_id <= 6 UNION ALL SELECT 2, doc_id FROM docs WHERE doc_id BETWEEN 5 AND 8
   UNION ALL SELECT 3, doc_id FROM docs WHERE doc_id BETWEEN 8 AND 10 UNION ALL SELECT 4, doc_id FROM docs WHERE doc_id BETWEEN 9 AND 11)"""
 
