@@ -20,7 +20,7 @@ from aclvec.functions.models import FilterGraphCost, GraphCost, IvfCost, ScanCos
 from aclvec.functions.portable import draw_py
 from aclvec.operators.measures import partition_selectivity
 from aclvec.operators.partitioning import Partitioning
-from aclvec.operators.policy import Policy, auth_role_sets
+from aclvec.operators.policy import Policy, doc_classes
 from aclvec.operators.search import candidates, routed_queries
 
 #: Vectors of one shard.
@@ -214,27 +214,36 @@ class HnswIndex:
         return with_shards(part, vectors, self.shard).groupBy("part", "shard").applyInPandas(make, SHARD_ROWS)
 
     def search(self, built: DataFrame, queries: DataFrame, p: Policy, part: Partitioning, depth: int) -> DataFrame:
-        """Queries go to the shards; graphs stay where they are. Each shard returns its `depth` nearest."""
+        """Queries go to the shards; graphs stay where they are. Each shard returns its `depth` nearest.
+
+        To filter during the walk, a shard also gets one row for each of its nodes
+        with the access class that the document has now: no more than the shard
+        holds, however many documents a role set may see.
+        """
         shards = built.select(F.col("part").alias("part"), F.col("shard").alias("shard")).distinct()
         asked = routed_queries(queries, p, part).join(shards, "part")
         inline, two_hops, m = self.mode != "post", self.mode == "two_hops", self.m
-        if inline:  # the permitted nodes of each role set travel with the shard's queries
-            may = auth_role_sets(p).join(part.part_doc, "doc_id").groupBy("rs", "part").agg(F.collect_list("doc_id").alias("may"))
-            asked = asked.join(may, ["rs", "part"])
-        else:
-            asked = asked.withColumn("may", F.lit(None).cast("array<bigint>"))
-        asked = asked.select(*(F.col(c).alias(c) for c in ("query_id", "rs", "part", "shard", "qvec", "may")))
+        asked = asked.select(F.col("part").alias("part"), F.col("shard").alias("shard"), F.lit(False).alias("is_node"), F.col("query_id").alias("id"), F.col("rs").alias("key"), F.col("qvec").alias("qvec"))
+        if inline:
+            nodes = built.filter("layer = 0").join(asked.select("part").distinct(), "part", "left_semi").select("part", "shard", "node")
+            classes = nodes.join(doc_classes(p).select(F.col("doc_id").alias("node"), "cls"), "node")
+            asked = asked.unionByName(classes.select("part", "shard", F.lit(True).alias("is_node"), F.col("node").alias("id"), F.col("cls").alias("key")), allowMissingColumns=True)
 
         def run(key, asked, rows):
             cols = ["query_id", "rs", "part", "doc_id", "dist", "evals"]
-            if not len(asked) or not len(rows):
+            questions = asked[~asked["is_node"]]
+            if not len(questions) or not len(rows):
                 return pd.DataFrame(columns=cols)
-            graph, out = Graph.from_rows(rows, m), []
-            for q in asked.itertuples():
+            graph, out, allowed = Graph.from_rows(rows, m), [], dict.fromkeys(questions["key"])
+            if inline:
+                nodes = asked[asked["is_node"]].drop_duplicates("id")
+                codes, names = pd.factorize(nodes.set_index("id")["key"].reindex(graph.ids))
+                for rs in allowed:  # the last entry is for nodes that nobody may see, whose code is -1
+                    allowed[rs] = np.array([not set(rs.split(",")).isdisjoint(c.split(",")) for c in names] + [False])[codes]
+            for q in questions.itertuples():
                 graph.evals = 0
-                allowed = np.isin(graph.ids, np.array(q.may)) if inline else None
-                found = graph.search(np.array(q.qvec, np.float32), depth, allowed, two_hops)
-                out += [(q.query_id, q.rs, key[0], int(graph.ids[n]), float(d), graph.evals) for d, n in found]
+                found = graph.search(np.array(q.qvec, np.float32), depth, allowed[q.key], two_hops)
+                out += [(q.id, q.key, key[0], int(graph.ids[n]), float(d), graph.evals) for d, n in found]
             return pd.DataFrame(out, columns=cols)
 
         return asked.groupBy("part", "shard").cogroup(built.groupBy("part", "shard")).applyInPandas(run, FOUND)
@@ -272,12 +281,13 @@ class IvfIndex:
         return vectors.sparkSession.createDataFrame(rows, "list_id int, centroid array<double>")
 
     def build(self, part: Partitioning, vectors: DataFrame, centroids: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
-        """(doc_id, embedding, list_id) and the centroids. Centroids are `nlist` rows."""
+        """(doc_id, embedding, list_id) and the centroids. Centroids are one row of `nlist` entries, so vectors are not shuffled."""
         from aclvec.functions.vector import l2sq
 
         centroids = self.centroids(vectors) if centroids is None else centroids
-        near = vectors.join(F.broadcast(centroids)).groupBy("doc_id").agg(F.min_by("list_id", F.struct(l2sq("embedding", "centroid"), "list_id")).alias("list_id"), F.first("embedding").alias("embedding"))
-        return near, centroids
+        one = centroids.agg(F.collect_list(F.struct("list_id", "centroid")).alias("centroids"))
+        near = F.array_min(F.transform("centroids", lambda c: F.struct(l2sq("embedding", c["centroid"]).alias("d"), c["list_id"].alias("list_id"))))
+        return vectors.join(F.broadcast(one)).select("doc_id", near["list_id"].alias("list_id"), "embedding"), centroids
 
     def probes(self, queries: DataFrame, centroids: DataFrame, nprobe: int) -> DataFrame:
         """The queries with each of the nprobe nearest lists."""
