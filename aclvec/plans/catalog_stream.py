@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
+import tempfile
 import uuid
 
 from pyspark.sql import functions as F
 
-from aclvec.plans.policies_sql import with_
+from aclvec.operators import generators as g
+from aclvec.operators import partitioning as pt
+from aclvec.operators import search as se
+from aclvec.plans.policies_sql import POLICIES, with_
 from aclvec.plans.registry import big, query
-from aclvec.sources.tables import read
+from aclvec.sources.tables import read, vectors
 from aclvec.streaming import changes as ch
 
 CHANGES = """ch AS (SELECT event_id AS seq, ts, CASE event_type WHEN 'signup' THEN 'add_user' WHEN 'error' THEN 'drop_user' WHEN 'purchase' THEN 'grant' WHEN 'click' THEN 'revoke' ELSE 'query' END AS op, user_id, user_id % 25 AS role_id, event_id % 500 AS doc_id FROM events)"""
@@ -24,6 +28,12 @@ def stream(spark, sf_dir):
     return ch.event_stream(spark, path, schema)
 
 
+def _scratch(spark) -> str:
+    """A new path in the shared folder that the session names; a temporary one only where it names none."""
+    base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="aclvec-stream-")
+    return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
+
+
 def _name(prefix: str) -> str:
     return f"{prefix}_{uuid.uuid4().hex[:8]}"
 
@@ -39,9 +49,7 @@ def stream_policy_final_state(spark, sf_dir):
 @query("stream_state_vs_batch", "SELECT 'differences' AS check_name, 0::BIGINT AS violations")
 def stream_state_vs_batch(spark, sf_dir):
     """State written by batches against the same changes applied at once."""
-    import tempfile
-
-    base = (spark.sparkContext.getCheckpointDir() or tempfile.mkdtemp(prefix="aclvec-stream-")) + "/" + uuid.uuid4().hex
+    base = _scratch(spark)
     q = ch.apply_policy_stream(ch.to_changes(stream(spark, sf_dir)), f"{base}/state", f"{base}/cp")
     q.awaitTermination()
     last = q.lastProgress
@@ -53,6 +61,33 @@ def stream_state_vs_batch(spark, sf_dir):
     return a.exceptAll(b).union(b.exceptAll(a)).agg(F.lit("differences").alias("check_name"), F.count("*").alias("violations"))
 
 
+@query("stream_member_states", with_(CHANGES) + "SELECT user_id, role_id::BIGINT AS role_id FROM (SELECT *, row_number() OVER (PARTITION BY user_id, role_id ORDER BY ts DESC, op = 'drop_user' DESC, seq DESC) AS r FROM ch WHERE op IN ('add_user', 'drop_user')) WHERE r = 1 AND op = 'add_user'")
+def stream_member_states(spark, sf_dir):
+    """Membership by state kept per user; the last row of a pair is its state."""
+    rows = ch.finished(ch.member_states(ch.to_changes(stream(spark, sf_dir))), _name("members"), "append")
+    last = rows.groupBy("user_id", "role_id").agg(F.max_by("member", F.struct("ts", "removal", "seq")).alias("member"))
+    return last.filter("member").select("user_id", big("role_id").alias("role_id"))
+
+
+@query("stream_secure_search", with_(POLICIES["n1"], """queries AS (SELECT event_id AS query_id, user_id, embedding AS qvec FROM events JOIN embeddings ON vec_id = event_id % (SELECT count(*) FROM embeddings) WHERE event_type = 'view'),
+allowed AS (SELECT DISTINCT query_id, qvec, doc_id FROM queries JOIN ua USING (user_id) JOIN pa USING (role_id)),
+dist AS (SELECT query_id, doc_id, list_sum(list_transform(range(1, len(qvec) + 1), lambda i: (embedding[i]::DOUBLE - qvec[i]::DOUBLE) * (embedding[i]::DOUBLE - qvec[i]::DOUBLE))) AS d FROM allowed JOIN embeddings ON vec_id = doc_id)""") + "SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY round(d, 6), doc_id) AS rank, doc_id, round(d, 6) AS dist FROM dist QUALIFY rank <= 10")
+def stream_secure_search(spark, sf_dir):
+    """Every view event as a query for its user, answered through partitions by role as it comes."""
+    p, v = g.natural_n1(spark, sf_dir), vectors(spark, sf_dir)
+    part = pt.role_partition(p)
+    n = v.count()
+    asked = stream(spark, sf_dir).filter("event_type = 'view'").select(F.col("event_id").alias("query_id"), "user_id", (F.col("event_id") % n).alias("doc_id"))
+
+    def search(batch):
+        queries = batch.join(v.select("doc_id", F.col("embedding").alias("qvec")), "doc_id").select("query_id", "user_id", F.lit(10).alias("k"), "qvec")
+        return se.secure_search(queries, v, p, part)
+
+    base = _scratch(spark)
+    ch.search_stream(asked, search, f"{base}/answers", f"{base}/cp").awaitTermination()
+    return spark.read.parquet(f"{base}/answers").select("query_id", "rank", "doc_id", "dist")
+
+
 SINCE = "strftime({}, '%Y-%m-%d %H:%M:%S')"
 for _kind, _sql in (
     ("tumbling", f"SELECT {SINCE.format('d')} AS start, user_id, count(*) AS n FROM (SELECT date_trunc('day', ts) AS d, user_id FROM events WHERE event_type = 'view') GROUP BY d, user_id"),

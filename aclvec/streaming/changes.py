@@ -7,6 +7,7 @@ nothing.
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -57,17 +58,46 @@ def apply_policy_stream(changes: DataFrame, path: str, checkpoint: str):
     def put(batch: DataFrame, batch_id: int) -> None:
         spark = batch.sparkSession
         new = last_changes(batch)
-        if batch_id:
-            try:
-                new = new.unionByName(spark.read.parquet(f"{path}/b{batch_id - 1}"))
-            except Exception as e:  # an empty first batch leaves no directory
-                if "PATH_NOT_FOUND" not in str(e):
-                    raise
-        last_changes(new.withColumn("op", F.col("op"))).write.mode("overwrite").parquet(f"{path}/b{batch_id}")
+        if batch_id:  # every batch writes its directory, so one that is missing is an error and not an empty state
+            new = new.unionByName(spark.read.parquet(f"{path}/b{batch_id - 1}"))
+        last_changes(new).write.mode("overwrite").parquet(f"{path}/b{batch_id}")
 
     return changes.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
+MEMBERS = "user_id bigint, role_id int, member boolean, ts bigint, removal int, seq bigint"
+
+
+def member_states(changes: DataFrame) -> DataFrame:
+    """MEMBERS rows whenever a user's membership of a role changes, from state kept per user: the last change of each of the user's roles."""
+    own = changes.filter(F.col("op").isin("add_user", "drop_user"))
+    rows = own.select("user_id", "role_id", F.unix_micros("ts").alias("ts"), (F.col("op") == "drop_user").cast("int").alias("removal"), "seq")
+
+    def run(key, frames, state):
+        held = {r: (t, d, s) for r, t, d, s in zip(*state.get, strict=True)} if state.exists else {}
+        changed = set()
+        for f in frames:
+            for r, *at in f[["role_id", "ts", "removal", "seq"]].itertuples(index=False, name=None):
+                if r not in held or tuple(at) > held[r]:
+                    held[r] = tuple(at)
+                    changed.add(r)
+        state.update(tuple(list(c) for c in zip(*((r, *at) for r, at in sorted(held.items())), strict=True)))
+        out = [(key[0], r, not held[r][1], *held[r]) for r in sorted(changed)]
+        yield pd.DataFrame(out, columns=["user_id", "role_id", "member", "ts", "removal", "seq"])
+
+    state = "role_id array<int>, ts array<bigint>, removal array<int>, seq array<bigint>"
+    return rows.groupBy("user_id").applyInPandasWithState(run, MEMBERS, state, "append", "NoTimeout")
+
+
+def search_stream(queries: DataFrame, search, path: str, checkpoint: str):
+    """Answers a stream of queries batch by batch with `search(batch)`, under `path`; a batch that is run again overwrites its own directory."""
+
+    def put(batch: DataFrame, batch_id: int) -> None:
+        search(batch).write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
+
+    return queries.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
 def windowed(events: DataFrame, kind: str = "tumbling", lateness: str = "1 hour") -> DataFrame:
     """start, user_id, n of queries per user: tumbling days, sliding half days or sessions."""
     w = {"tumbling": lambda: F.window("ts", "1 day"), "sliding": lambda: F.window("ts", "1 day", "12 hours"), "session": lambda: F.session_window("ts", "6 hours")}[kind]()
