@@ -91,6 +91,14 @@ def convexity(curve: DataFrame) -> DataFrame:
     return bent.groupBy("policy").agg(F.avg("second").alias("bend"))
 
 
+def model_accuracy(points: DataFrame) -> DataFrame:
+    """One row for points(measured, estimated): n, mean absolute percentage error (of measured values that are not 0), root mean square error, rank correlation."""
+    ranks = lambda c: F.rank().over(Window.orderBy(c)).cast("double")  # noqa: E731  # a few points of a curve
+    rows = points.select("measured", "estimated", ranks("measured").alias("rm"), ranks("estimated").alias("re"))
+    off = F.col("estimated") - F.col("measured")
+    return rows.agg(F.count("*").alias("n"), F.avg(F.when(F.col("measured") != 0, F.abs(off / F.col("measured")))).alias("mape"), F.sqrt(F.avg(off * off)).alias("rmse"), F.corr("rm", "re").alias("rank_correlation"))
+
+
 def split_role_cost(sizes: list[float], whole: float) -> tuple[float, float]:
     """Sum of the logs of the parts and the log of the whole."""
     import math

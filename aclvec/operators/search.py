@@ -151,6 +151,15 @@ def search_stats(queries: DataFrame, vectors: DataFrame, p: Policy, part: Partit
     return seen.join(out, "query_id", "left").join(kept, "query_id", "left").select("query_id", "visited", "evaluated", F.coalesce("candidates", F.lit(0)).alias("candidates"), (F.coalesce("candidates", F.lit(0)) - F.coalesce("kept", F.lit(0))).alias("dropped"))
 
 
+def recall_by_depth(queries: DataFrame, vectors: DataFrame, p: Policy, part: Partitioning, truth: DataFrame, efs: list[int]) -> DataFrame:
+    """ef, recall of exact scans filtered afterwards, at all depths from one pass: a true neighbour is found from its best place on."""
+    placed = ranked(candidates(queries, vectors, p, part, None), max(efs), ("query_id", "part")).groupBy("query_id", "doc_id").agg(F.min("rank").alias("place"))
+    found = truth.select("query_id", "doc_id").join(placed, ["query_id", "doc_id"], "left")
+    one = found.groupBy("query_id").agg(*((F.count(F.when(F.col("place") <= e, 1)) / F.count("*")).alias(f"r{e}") for e in efs))
+    means = one.agg(F.array(*(F.struct(F.lit(e).alias("ef"), F.avg(f"r{e}").alias("recall")) for e in efs)).alias("points"))
+    return means.select(F.inline("points"))
+
+
 def top_documents(queries: DataFrame, vectors: DataFrame, p: Policy, k: int, metric: str = "l2sq") -> DataFrame:
     """Results by document where documents own several vectors: the best vector of each counts."""
     rows = permitted_pairs(queries, p).join(vectors.select("doc_id", "embedding"), "doc_id").join(small(queries.select("query_id", "qvec")), "query_id")

@@ -11,7 +11,7 @@ from aclvec.functions.models import GraphCost
 from aclvec.operators.measures import objective
 from aclvec.operators.partitioning import Partitioning, role_homes
 from aclvec.operators.planner import PlannerInput, State, state_of
-from aclvec.operators.policy import Policy
+from aclvec.operators.policy import Policy, role_sets
 
 
 @dataclass(frozen=True)
@@ -92,6 +92,14 @@ def drop_role(s: PolicyState, role_id: int) -> PolicyState:
     return replace(out, part_role=s.part_role.filter(F.col("role_id") != role_id), policy=out.policy.but(ua=s.policy.ua.filter(F.col("role_id") != role_id)))
 
 
+def refresh_route(route: DataFrame, s: PolicyState) -> DataFrame:
+    """The route after changes of users: rows of role sets still held stay, only sets that are new are routed."""
+    sets = role_sets(s.policy).select("rs", "role_set")
+    homes = F.broadcast(s.part_role.select("role_id", F.col("partition_id").cast("string").alias("part")))  # one row a role
+    new = sets.join(route.select("rs").distinct(), "rs", "left_anti").select("rs", F.explode("role_set").alias("role_id"))
+    return route.join(sets, "rs", "left_semi").select("rs", "part").union(new.join(homes, "role_id").select("rs", "part").distinct())
+
+
 def dirty_partitions(before: PolicyState, after: PolicyState) -> DataFrame:
     """partition_id of the partitions whose documents changed: only their indexes are built again."""
     gone = before.part_doc.exceptAll(after.part_doc)

@@ -323,6 +323,30 @@ def upd_state_violations(spark, sf_dir):
     return violations(spark, {"grant": n(up.grant_docs(s, _granted(s.policy))), "revoke": n(up.revoke_docs(s, _revoked(s.policy))), "add_role": n(grown), "drop_role": n(up.drop_role(s, 101)), "uncovered": cover_violations(grown.policy, grown.partitioning()).first()[0]})
 
 
+@query("upd_refresh_route", with_(POLICIES["n1"], "ua2 AS (SELECT user_id, role_id FROM ua WHERE user_id % 10 <> 0 UNION SELECT 9000001, unnest([3, 8, 102]))", "sets2 AS (SELECT user_id, string_agg(role_id::VARCHAR, ',' ORDER BY role_id) AS rs FROM ua2 GROUP BY user_id)") + "SELECT DISTINCT rs, (role_id % 4)::VARCHAR AS part FROM sets2 JOIN ua2 USING (user_id)")
+def upd_refresh_route(spark, sf_dir):
+    """The route after users went and one with a new combination of roles came: only that combination is routed anew."""
+    s = state_n1(spark, sf_dir)
+    new = spark.createDataFrame([(9000001, r) for r in (3, 8, 102)], "user_id long, role_id int")
+    return up.refresh_route(s.partitioning().route, up.add_users(up.drop_users(s, s.policy.users.filter("user_id % 10 = 0")), new))
+
+
+@query("upd_repartition_advice", "SELECT i::BIGINT AS incremental, q::BIGINT AS queries, i > 1.1 * 100 AND (i - 100) * q > 50000 AS rebuild FROM (VALUES (100), (105), (115), (150)) t(i), (VALUES (1000), (2000), (10000)) u(q)")
+def upd_repartition_advice(spark, sf_dir):
+    """Whether to plan anew, for states that cost more than a fresh plan of cost 100 and a rebuild of 50,000."""
+    rows = [(i, q, up.repartition_advice(i, 100, 50_000, q)) for i in (100, 105, 115, 150) for q in (1000, 2000, 10_000)]
+    return spark.createDataFrame(rows, "incremental long, queries long, rebuild boolean")
+
+
+@query("upd_answers", zeros("differences"))
+def upd_answers(spark, sf_dir):
+    """Answers after grants, revocations and a dropped role in place, against the truth of the changed policy."""
+    s, v, q = state_n1(spark, sf_dir), vectors(spark, sf_dir), queries_n1(spark, sf_dir)
+    now = up.drop_role(up.revoke_docs(up.grant_docs(s, _granted(s.policy)), _revoked(s.policy)), 101)
+    got, true = se.secure_search(q, v, now.policy, now.partitioning()), se.ground_truth(q, v, now.policy)
+    return got.exceptAll(true).union(true.exceptAll(got)).agg(F.lit("differences").alias("check_name"), F.count("*").alias("violations"))
+
+
 @query("upd_vs_rebuild")
 def upd_vs_rebuild(spark, sf_dir):
     """Model cost of states after 1 and 3 role insertions, over that of a fresh plan at alpha 1.5."""

@@ -254,17 +254,9 @@ def exp_fit_models(spark, sf_dir):
     v, part = vectors(spark, sf_dir), parts(p, "rls")
     truth = se.ground_truth(q, v, p).cache()
     s = float(me.system_selectivity(p, part).first()[0])
-    found = se.permitted_only(se.candidates(q, v, p, part, None), p)
-    every = se.candidates(q, v, p, part, 400)
-    from pyspark.sql.window import Window
-
-    place = every.withColumn("place", F.row_number().over(Window.partitionBy("query_id").orderBy(F.round("dist", 6), "doc_id")))
-    hits = truth.select("query_id", "doc_id").join(place.select("query_id", "doc_id", "place"), ["query_id", "doc_id"], "left")
     efs = [10, 20, 40, 60, 80, 100, 150, 200, 300, 400]
-    total = truth.count()
-    got = hits.agg(*(F.count(F.when(F.col("place") <= e, 1)).alias(str(e)) for e in efs)).first()
-    del found
-    model, rmse = fit_recall(efs, [s] * len(efs), [10] * len(efs), [got[str(e)] / total for e in efs])
+    got = {r.ef: r.recall for r in se.recall_by_depth(q, v, p, part, truth, efs).collect()}
+    model, rmse = fit_recall(efs, [s] * len(efs), [10] * len(efs), [got[e] for e in efs])
     return spark.createDataFrame([(round(s, 4), round(model.beta, 4), round(model.gamma, 4), round(rmse, 4))], "selectivity double, beta double, gamma double, rmse double")
 
 
