@@ -96,14 +96,14 @@ def exp_query_correlation(spark, sf_dir):
 
 @query("exp_text_corpus")
 def exp_text_corpus(spark, sf_dir):
-    """Documents of several hashed line vectors under the policy of sources, languages and labels: recall of documents by depth."""
+    """Documents of several hashed line vectors under the policy of sources, languages and labels: recall of documents by depth in lines; visited partitions and rows_compared count documents."""
     p, d = g.natural_n3(spark, sf_dir), 64
     lines = text_vectors(spark, sf_dir, d).groupBy("doc_id", "line_no").agg(F.map_from_entries(F.collect_list(F.struct("bucket", "weight"))).alias("m"))
     dense = F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda i: F.coalesce(F.element_at("m", i.cast("long")), F.lit(0.0)))
     norm = F.sqrt(F.aggregate("e", F.lit(0.0), lambda a, x: a + x * x))
-    v = lines.select("doc_id", "line_no", dense.alias("e")).filter(norm > 0).select("doc_id", "line_no", F.transform("e", lambda x: (x / norm).cast("float")).alias("embedding"))
+    v = lines.select("doc_id", "line_no", dense.alias("e")).filter(norm > 0).select("doc_id", "line_no", F.transform("e", lambda x: (x / norm).cast("float")).alias("embedding")).cache()
     first = v.groupBy(F.col("doc_id").alias("vec_id")).agg(F.min_by("embedding", "line_no").alias("embedding"))
-    q = g.gen_queries(first, p.users, 20)
-    truth = se.top_documents(q, v, p, 10)
+    q = g.gen_queries(first, p.users, 20).cache()
+    truth = se.top_documents(q, v, p, 10).cache()
     part = pt.role_homes(p, pl.plan_splits(pl.PlannerInput.collect(p), 1.4).part_role(spark), "planner")
     return _union(curve(q, v, p, x, truth) for x in (parts(p, "rls"), part, parts(p, "role_part")))

@@ -43,6 +43,26 @@ def test_graph_as_rows_and_back(graph):
     assert again.entry == graph.entry
 
 
+@pytest.mark.parametrize("mode", ["inline", "two_hops"])
+def test_shards_walk_what_the_role_set_may_see_now(spark, mode):
+    """Several shards, an orphan, two role sets in one partition: each gets all that it may see and nothing else."""
+    p = g.hand_h1(spark)
+    v = p.docs.selectExpr("doc_id", "array(cast(doc_id as float), cast(1 as float)) as embedding")
+    q = spark.createDataFrame([(1, 1, 12, [1.0, 1.0]), (2, 6, 12, [1.0, 1.0])], "query_id long, user_id long, k int, qvec array<float>")
+    part, index = single_partition(p), ix.FilterGraphIndex(m=4, shard=5, mode=mode)
+    found = index.search(index.build(part, v), q, p, part, 12).collect()
+    assert {r.doc_id for r in found if r.query_id == 1} == {1, 2, 3, 4, 5, 6}
+    assert {r.doc_id for r in found if r.query_id == 2} == {8, 9, 10, 11}
+
+
+def test_lists_are_assigned_without_a_shuffle(spark):
+    v = spark.createDataFrame([(i, [float(i), 0.0]) for i in range(6)], "doc_id long, embedding array<float>")
+    centroids = spark.createDataFrame([(0, [0.0, 0.0]), (1, [5.0, 0.0])], "list_id int, centroid array<double>")
+    lists, _ = ix.IvfIndex(2).build(None, v, centroids)
+    assert {r.doc_id: r.list_id for r in lists.collect()} == {0: 0, 1: 0, 2: 0, 3: 1, 4: 1, 5: 1}
+    assert "hashpartitioning" not in lists._jdf.queryExecution().toString()
+
+
 def test_fewer_evaluations_than_a_scan(graph):
     graph.evals = 0
     graph.search(graph.x[9] + 0.05, 16)
