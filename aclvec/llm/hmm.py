@@ -1,19 +1,22 @@
 """Language-model scoring by a hidden Markov model over words, beside a smoothed unigram base.
 
-Tokens are words and a closing end. Every training token is counted. The most
-frequent `TOP` words and the end are symbols of their own; all other words,
-unknown ones too, fall into `GROUPS` groups by their last bytes. A state emits a
-symbol, a group then emits its word by the word's share among the group's counts
-(0.1 is added to each, and to one place for unknown words), so the model is a
-distribution over token sequences, and what is broadcast has a fixed size.
-
-Baum-Welch starts on a bounded sample (`WARM` documents) and goes on over all
-training documents: tasks sum expected counts, one aggregation adds them up.
-Long texts are cut into segments whose transfer matrices are multiplied, so that
-likelihoods are exact and no loop follows a long text word by word.
-
-Words reach their counts by blocks of documents: each block asks once for each
-of its distinct words.
+Tokens are words and a closing end. Every training token is counted. The end,
+every word seen `OWN` times at least, and the `TOP` most frequent words even if
+they are rarer, are symbols of their own, so the alphabet grows with the
+vocabulary (at most `TOP` + tokens / `OWN` words). All other words, unknown ones
+too, fall into `GROUPS` groups by their last bytes. A state emits a symbol, a
+group then emits its word by the word's share among the group's counts (0.1 is
+added to each, and to one place for unknown words), so the model is a
+distribution over token sequences.
+
+Every round of Baum-Welch runs over all training documents: tasks sum expected
+counts, one aggregation adds them up. Rounds end when the log likelihood of a
+token rises by less than `GAIN`. Long texts are cut into segments whose transfer
+matrices are multiplied, so that likelihoods are exact and no loop follows a
+long text word by word.
+
+Words reach their counts and symbols by blocks of documents: each block asks
+once for each of its distinct words.
 
 Defined results: a null or empty text is the end alone; without training
 documents every count is 0 and all tokens are unknown. Repeated rows give
@@ -27,17 +30,22 @@ from collections import Counter
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from aclvec.llm.common import chunks, crc_mod, id_and_bytes, sampled, stored, table
+from aclvec.llm.common import chunks, crc_mod, id_and_bytes, stored, table
 
-TOP, GROUPS, STATES, TAIL = 2_000, 512, 4, 3
-WARM, WARM_ROUNDS, FULL_ROUNDS = 1_000, 12, 2
+TOP, OWN, GROUPS, STATES, TAIL = 2_000, 50, 512, 4, 3
+#: Nats a token: the rise of the log likelihood below which training ends.
+GAIN = 0.0001
 ADD, UNIT = 0.1, 1_000_000
 SEGMENT, BLOCK_BYTES, LEAST_BLOCKS = 64, 8 << 20, 48
-#: The end is the last symbol.
-END = TOP + GROUPS
+#: Steps between two scalings of a recursion.
+SCALE = 8
+#: Groups come first, then the end, then words of their own.
+END = GROUPS
+#: Parts in which words of their own are numbered.
+PARTS = 256
 
 
 def words_of(text: bytes) -> list[bytes]:
@@ -89,34 +97,43 @@ class Segments:
         self.first = np.cumsum(parts) - parts
         self.parts, self.n_texts = parts, len(seqs)
 
-    def steps(self):
-        """For each step, the segments that reach it and their symbols."""
+        # Symbols step by step; at each step the segments that reach it, longest first, are a prefix.
+        self.alive = [n for n in self.alive if n]
+        self.ends = np.concatenate(([0], np.cumsum(self.alive))).astype(np.int64)
         begin = self.begin[self.order]
-        for t, n in enumerate(self.alive):
-            if n:
-                yield t, self.order[:n], self.flat[begin[:n] + t]
+        self.symbols = np.concatenate([self.flat[begin[:n] + t] for t, n in enumerate(self.alive)])
+
+    def steps(self):
+        """For each step, how many segments reach it and the place of their symbols."""
+        return [(t, n, slice(self.ends[t], self.ends[t + 1])) for t, n in enumerate(self.alive)]
+
 
+def emitted(model: Model, cut: Segments) -> np.ndarray:
+    """Each state's share of the symbols, state first."""
+    return np.ascontiguousarray(model.emit[cut.symbols].T)
 
-def transfer(model: Model, cut: Segments) -> tuple[np.ndarray, np.ndarray]:
+
+def transfer(model: Model, cut: Segments, emit: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Each segment's scaled transfer matrix and the log of its scale."""
     k, n = len(model.start), len(cut.text)
-    m = np.broadcast_to(np.eye(k), (n, k, k)).copy()
+    m = np.repeat(np.eye(k)[:, :, None], n, axis=2)
     logs = np.zeros(n)
-    m = m[cut.order]
-    for _, who, symbols in cut.steps():
-        a = len(who)
-        x = (m[:a].reshape(a * k, k) @ model.move).reshape(a, k, k) * model.emit[symbols][:, None, :]
-        top = x.max(axis=(1, 2))
-        m[:a] = x / top[:, None, None]
-        logs[who] += np.log(top)
-    out = np.empty_like(m)
-    out[cut.order] = m
-    return out, logs
-
-
-def likelihood(model: Model, cut: Segments) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    turn = np.ascontiguousarray(model.move.T)
+    for t, a, at in cut.steps():
+        x = np.matmul(turn, m[:, :, :a])
+        np.multiply(x, emit[None, :, at], out=m[:, :, :a])
+        if t % SCALE == SCALE - 1:
+            top = m[:, :, :a].max(axis=(0, 1))
+            m[:, :, :a] /= top
+            logs[:a] += np.log(top)
+    out, out_logs = np.empty((n, k, k)), np.empty(n)
+    out[cut.order], out_logs[cut.order] = m.transpose(2, 0, 1), logs
+    return out, out_logs
+
+
+def likelihood(model: Model, cut: Segments, emit: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Natural log likelihood of each text, each segment's state before it, and its transfer matrices."""
-    m, logs = transfer(model, cut)
+    m, logs = transfer(model, cut, emitted(model, cut) if emit is None else emit)
     enter = np.empty((len(cut.text), len(model.start)))
     now = np.broadcast_to(model.start, (cut.n_texts, len(model.start))).copy()
     total = np.zeros(cut.n_texts)
@@ -134,7 +151,8 @@ def likelihood(model: Model, cut: Segments) -> tuple[np.ndarray, np.ndarray, np.
 def expected(model: Model, seqs: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
     """Baum-Welch counts of some texts: start, moves, emissions; and their log likelihood."""
     cut = Segments(seqs)
-    total, enter, m = likelihood(model, cut)
+    emit = emitted(model, cut)
+    total, enter, m = likelihood(model, cut, emit)
     k, n = len(model.start), len(cut.text)
     leave = np.empty((n, k))
     now = np.ones((cut.n_texts, k))
@@ -146,26 +164,27 @@ def expected(model: Model, seqs: list[np.ndarray]) -> tuple[np.ndarray, np.ndarr
         now[who] = x / x.sum(axis=1, keepdims=True)
     start = model.start * now
     start = (start / start.sum(axis=1, keepdims=True)).sum(axis=0)
-    ahead = [enter]
-    for _, who, symbols in cut.steps():
-        x = (ahead[-1][who] @ model.move) * model.emit[symbols]
-        nxt = ahead[-1].copy()
-        nxt[who] = x / x.sum(axis=1, keepdims=True)
-        ahead.append(nxt)
-    move, emit = np.zeros((k, k)), np.zeros_like(model.emit)
-    back = leave.copy()
-    for t, who, symbols in reversed(list(cut.steps())):
-        state = ahead[t + 1][who] * back[who]
-        state /= state.sum(axis=1, keepdims=True)
-        for s in range(k):
-            emit[:, s] += np.bincount(symbols, state[:, s], len(emit))
-        right = model.emit[symbols] * back[who]
-        left = ahead[t][who]
-        weight = ((left @ model.move) * right).sum(axis=1)
-        move += model.move * (left.T @ (right / weight[:, None]))
-        x = right @ model.move.T
-        back[who] = x / x.sum(axis=1, keepdims=True)
-    return start, move, emit, float(total.sum())
+    # States before each step and chances of what follows it, each up to a factor.
+    left, right = np.empty_like(emit), np.empty_like(emit)
+    turn = np.ascontiguousarray(model.move.T)
+    ahead = np.ascontiguousarray(enter[cut.order].T)
+    for t, a, at in cut.steps():
+        left[:, at] = ahead[:, :a]
+        ahead = (turn @ ahead[:, :a]) * emit[:, at]
+        if t % SCALE == SCALE - 1:
+            ahead /= ahead.sum(axis=0)
+    back = np.ascontiguousarray(leave[cut.order].T)
+    for t, a, at in reversed(cut.steps()):
+        right[:, at] = emit[:, at] * back[:, :a]
+        back[:, :a] = model.move @ right[:, at]
+        if t % SCALE == 0:
+            back[:, :a] /= back[:, :a].sum(axis=0)
+    state = (turn @ left) * right
+    weight = state.sum(axis=0)
+    move = model.move * (left @ (right / weight).T)
+    state /= weight
+    counts = np.stack([np.bincount(cut.symbols, row, len(model.emit)) for row in state], axis=1)
+    return start, move, counts, float(total.sum())
 
 
 def word_counts(train: DataFrame) -> DataFrame:
@@ -202,12 +221,10 @@ def coded(blocked: DataFrame, counts: DataFrame, known: dict) -> DataFrame:
         k = sent.value
         size, total = k["size"], k["total"]
         words = counts["word"].to_pylist()
-        c = counts["c"].to_numpy().astype(float)
+        c, symbol = counts["c"].to_numpy().astype(float), counts["symbol"].to_numpy()
         number = {w: i for i, w in enumerate(words)}
-        top = k["top"]
-        symbol = np.array([s if (s := top.get(w)) is not None else TOP + group_of(w) for w in words], np.int64)
-        own = symbol < TOP
-        g = np.maximum(symbol - TOP, 0)
+        own = symbol > END
+        g = np.where(own, 0, symbol)
         base = np.log10((c + ADD) / (total + ADD * (size + 1)))
         inner = np.where(own, 0.0, np.log10((c + ADD) / (k["group_c"][g] + ADD * (k["group_v"][g] + 1))))
         # Words outside the training texts: no count.
@@ -218,7 +235,7 @@ def coded(blocked: DataFrame, counts: DataFrame, known: dict) -> DataFrame:
             ws = words_of(t)
             ids = np.fromiter((number.get(w, -1) for w in ws), np.int64, len(ws))
             new = np.flatnonzero(ids < 0)
-            seq, fine = np.empty(len(ws) + 1, np.uint16), 0.0
+            seq, fine = np.empty(len(ws) + 1, np.uint32), 0.0
             if len(words):
                 hit = ids[ids >= 0]
                 seq[:-1] = symbol[ids]
@@ -227,7 +244,7 @@ def coded(blocked: DataFrame, counts: DataFrame, known: dict) -> DataFrame:
                 score = 0.0
             if len(new):
                 groups = np.array([group_of(ws[i]) for i in new.tolist()])
-                seq[new] = TOP + groups
+                seq[new] = groups
                 fine += np.log10(ADD / (k["group_c"][groups] + ADD * (k["group_v"][groups] + 1))).sum()
                 score += len(new) * base_0
             seq[-1] = END
@@ -245,45 +262,75 @@ def coded(blocked: DataFrame, counts: DataFrame, known: dict) -> DataFrame:
 
 def runs_of(batch: pa.RecordBatch, limit: int = 200_000):
     """Rows whose symbols are about `limit` together, as arrays."""
-    for rows, parts in chunks(batch, "symbols", 2 * limit):
-        yield rows, [np.frombuffer(x, np.uint16) for x in parts]
+    for rows, parts in chunks(batch, "symbols", 4 * limit):
+        yield rows, [np.frombuffer(x, np.uint32) for x in parts]
+
 
+def round_counts(rows: DataFrame, model: Model) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
+    """Expected counts and log likelihood of all rows: each task's sums, added up as integers of 1 / `UNIT`, the same in any order.
 
-def round_counts(rows: DataFrame, model: Model) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Expected counts over all rows: each task's sums, added up as integers of 1 / `UNIT`, the same in any order."""
+    A row holds the states' counts of one thing: a symbol, then each state left, the start, and the likelihood.
+    """
     sent = rows.sparkSession.sparkContext.broadcast(model)
     k, n = len(model.start), len(model.emit)
+    names = [f"s{i}" for i in range(k)]
 
     def run(batches):
-        total = np.zeros(k + k * k + n * k)
+        total = np.zeros((n + k + 2, k))
         for b in batches:
             for _, seqs in runs_of(b):
-                start, move, emit, _ = expected(sent.value, seqs)
-                total += np.concatenate((start, move.ravel(), emit.ravel()))
-        cells = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(cells, pa.int64()), pa.array(np.round(total[cells] * UNIT).astype(np.int64))], names=["cell", "value"])
-
-    got = rows.select("symbols").mapInArrow(run, "cell long, value long").groupBy("cell").agg(F.sum(F.col("value").cast("decimal(38,0)")).cast("double").alias("value")).toPandas()
-    out = np.zeros(k + k * k + n * k)
-    out[got["cell"].to_numpy()] = got["value"].to_numpy() / UNIT
-    return out[:k], out[k : k + k * k].reshape(k, k), out[k + k * k :].reshape(n, k)
+                start, move, emit, logp = expected(sent.value, seqs)
+                total[:n] += emit
+                total[n : n + k] += move
+                total[n + k] += start
+                total[n + k + 1, 0] += logp
+        cells = np.flatnonzero(total.any(axis=1))
+        values = np.round(total[cells] * UNIT).astype(np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(cells, pa.int64()), *(pa.array(values[:, i]) for i in range(k))], names=["cell", *names])
+
+    schema = "cell long, " + ", ".join(f"{x} long" for x in names)
+    got = rows.select("symbols").mapInArrow(run, schema).groupBy("cell").agg(*(F.sum(x).alias(x) for x in names)).toPandas()
+    sent.destroy()
+    out = np.zeros((n + k + 2, k))
+    out[got["cell"].to_numpy(np.int64)] = got[names].to_numpy(np.int64) / UNIT
+    return out[n + k], out[n : n + k], out[:n], float(out[n + k + 1, 0])
 
 
 def train_model(rows: DataFrame, symbol_counts: np.ndarray, n_train: int) -> Model:
-    """Baum-Welch: a warm start on a bounded sample, then rounds over all training documents."""
+    """Baum-Welch over all training documents, until a round's gain in likelihood is small."""
     model, share = Model.first(symbol_counts), (symbol_counts + 0.5) / (symbol_counts + 0.5).sum()
-    seqs = [np.frombuffer(x, np.uint16) for x in sampled(rows, n_train, WARM, salt=31).select("symbols", "doc_id").orderBy("doc_id").toPandas()["symbols"]]
-    for _ in range(WARM_ROUNDS if seqs else 0):
-        sums = None
-        for i in range(0, len(seqs), 250):
-            part = expected(model, seqs[i : i + 250])[:3]
-            sums = part if sums is None else tuple(a + b for a, b in zip(sums, part, strict=True))
+    before = -np.inf
+    while n_train:
+        *sums, logp = round_counts(rows, model)
         model = model.updated(*sums, share)
-    for _ in range(FULL_ROUNDS if n_train else 0):
-        model = model.updated(*round_counts(rows, model), share)
+        if logp - before < GAIN * symbol_counts.sum():
+            break
+        before = logp
     return model
 
 
+def with_symbols(vocabulary: DataFrame) -> tuple[DataFrame, np.ndarray]:
+    """word, c and its symbol; and the counts of the symbols of their own, in order."""
+    least = vocabulary.orderBy(F.desc("c"), "word").limit(TOP).agg(F.max(F.struct(-F.col("c"), "word")).alias("x")).select((-F.col("x.col1")).alias("c"), "x.word").first()
+    if least.c is None:
+        return vocabulary.withColumn("symbol", F.lit(0)), np.zeros(0)
+    first = (F.col("c") > least.c) | ((F.col("c") == least.c) & (F.col("word") <= F.lit(bytearray(least.word))))
+    own = (F.col("c") >= OWN) | first
+    numbered = vocabulary.filter(own).withColumn("p", (F.crc32("word") % PARTS).cast("int"))
+    numbered = stored(numbered.withColumn("nr", F.row_number().over(Window.partitionBy("p").orderBy("word"))))
+    sizes = np.zeros(PARTS + 1, np.int64)
+    for r in numbered.groupBy("p").count().collect():
+        sizes[r.p + 1] = r["count"]
+    before = np.cumsum(sizes)
+    offset = F.array(*(F.lit(int(x)) for x in before[:-1]))
+    numbered = numbered.select("word", "c", (F.element_at(offset, F.col("p") + 1) + F.col("nr") + F.lit(END)).cast("int").alias("symbol"))
+    got = numbered.select("symbol", "c").toPandas()
+    counts = np.zeros(before[-1])
+    counts[got["symbol"].to_numpy() - END - 1] = got["c"].to_numpy()
+    others = vocabulary.filter(~own).withColumn("symbol", (F.crc32(F.substring("word", -TAIL, TAIL)) % GROUPS).cast("int"))
+    return others.unionByName(numbered), counts
+
+
 def score_texts(docs: DataFrame, held_out) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of all documents; `held_out`: a condition."""
     docs = docs.withColumn("held_out", held_out).select("doc_id", "text", "held_out")
@@ -291,23 +338,15 @@ def score_texts(docs: DataFrame, held_out) -> DataFrame:
     n_bytes, n_train = docs.agg(F.sum(F.octet_length("text")), F.count(F.when(~F.col("held_out"), 1))).first()
     vocabulary = stored(word_counts(train))
     total, size = vocabulary.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
-    best = vocabulary.orderBy(F.desc("c"), "word").limit(TOP).collect()
-    top = {bytes(r.word): i for i, r in enumerate(best)}
-    grouped = vocabulary.withColumn("g", F.crc32(F.substring("word", -TAIL, TAIL)) % GROUPS).groupBy("g").agg(F.sum("c").alias("c"), F.count("*").alias("v")).collect()
+    words, own_counts = with_symbols(vocabulary)
     group_c, group_v = np.zeros(GROUPS), np.zeros(GROUPS)
-    for r in grouped:
-        group_c[r.g], group_v[r.g] = r.c, r.v
-    symbol_counts = np.zeros(END + 1)
-    for i, r in enumerate(best):
-        g = group_of(bytes(r.word))
-        group_c[g] -= r.c
-        group_v[g] -= 1
-        symbol_counts[i] = r.c
-    symbol_counts[TOP : TOP + GROUPS], symbol_counts[END] = group_c, n_train
-    known = {"top": top, "total": total + n_train, "size": size + (n_train > 0), "n_train": n_train, "group_c": group_c, "group_v": group_v}
+    for r in words.filter(F.col("symbol") < GROUPS).groupBy("symbol").agg(F.sum("c").alias("c"), F.count("*").alias("v")).collect():
+        group_c[r.symbol], group_v[r.symbol] = r.c, r.v
+    symbol_counts = np.concatenate((group_c, [n_train], own_counts))
+    known = {"total": total + n_train, "size": size + (n_train > 0), "n_train": n_train, "group_c": group_c, "group_v": group_v}
     n_blocks = max(LEAST_BLOCKS, -(-(n_bytes or 0) // BLOCK_BYTES))
     blocked = id_and_bytes(docs, "held_out").withColumn("block", F.pmod(F.xxhash64(F.lit(41), "doc_id"), F.lit(n_blocks)))
-    counts = asked_words(blocked).join(vocabulary, "word").select("block", "word", "c")
+    counts = asked_words(blocked).join(words, "word").select("block", "word", "c", "symbol")
     rows = stored(coded(blocked, counts, known))
     model = train_model(rows.filter("not held_out"), symbol_counts, n_train)
     sent = docs.sparkSession.sparkContext.broadcast(model)

@@ -325,6 +325,38 @@ def test_scores(edge, none, docs):
     assert len(unknown) == len(EDGE) and all(np.isfinite(r.score) and r.n_known == 0 for r in unknown)
 
 
+def test_every_round_reads_all_training_texts(spark, monkeypatch):
+    rng = np.random.default_rng(5)
+    seqs = [np.concatenate([rng.integers(a, a + 30, 12) for a in rng.permutation([0, 100, 200])]).astype(np.uint32) for _ in range(1_200)]
+    rows = spark.createDataFrame([(i, x.tobytes()) for i, x in enumerate(seqs)], "doc_id long, symbols binary").cache()
+    counts = np.bincount(np.concatenate(seqs), minlength=hmm.END + 1).astype(float)
+    read, plain = [], hmm.round_counts
+    monkeypatch.setattr(hmm, "round_counts", lambda rows, model: read.append(rows.count()) or plain(rows, model))
+    model = hmm.train_model(rows, counts, len(seqs))
+    assert len(read) > 2 and set(read) == {len(seqs)}
+    share = (counts + 0.5) / (counts + 0.5).sum()
+    *sums, logp = hmm.expected(model, seqs)
+    assert hmm.expected(model.updated(*sums, share), seqs)[3] - logp < 2 * hmm.GAIN * counts.sum()
+
+
+def test_symbols_grow_with_the_vocabulary(spark):
+    """Two words beyond the first 2,000, alike in their last bytes and counts, in texts of different kinds."""
+    rng = random.Random(3)
+    texts = []
+    for i in range(400):
+        kind = "ab"[i % 2]
+        words = [f"{kind}{rng.randrange(1_300)}" for _ in range(700)]
+        if i < 120:
+            words[rng.randrange(700)] = f"{kind}-pairzzz"
+        texts.append((i, " ".join(words)))
+    run = [f"a{i}" for i in range(200, 260)]
+    texts += [(1_000, " ".join([*run, "a-pairzzz", *run])), (1_001, " ".join([*run, "b-pairzzz", *run]))]
+    docs = spark.createDataFrame(texts, "doc_id long, text string")
+    got = {r.doc_id: r for r in hmm.score_texts(docs, F.col("doc_id") >= 1_000).filter("held_out").collect()}
+    assert got[1_000].base_score == pytest.approx(got[1_001].base_score)
+    assert got[1_000].score > got[1_001].score + 1
+
+
 # Lines
 
 
