@@ -5,9 +5,11 @@ apart: at each place the longest known character n-gram counts, from
 `ORDERS[0]` characters down to one, each step down at a discount.
 
 The model is learned from a bounded sample of labelled documents (`SAMPLE`
-documents at most, by a hash of the id). It keeps the words and n-grams with at
-least total / `WORDS` (or total / `GRAMS`) occurrences, so that at most `WORDS`
-words and `GRAMS` n-grams can remain: the broadcast has a proven bound.
+documents at most, by a hash of the id). Every language chooses its most frequent
+words and n-grams of each order, seen `LEAST` times at least, within an equal
+share of the budgets `WORDS` and `GRAMS`: the broadcast has a proven bound, and a
+language's choice doesn't depend on how much text the others have. What one
+language chose keeps its true counts in all.
 
 Defined results: a null text, or one without a letter, is `und` with score 0;
 ties go to the language that sorts first; without labelled documents all are
@@ -28,6 +30,7 @@ from aclvec.llm.common import chunks, crc_mod, id_and_bytes, per_text, sampled,
 
 SAMPLE, WORDS, GRAMS = 20_000, 200_000, 100_000
 ORDERS = (4, 3, 2, 1)
+LEAST = 2
 DISCOUNT, ALPHA = 0.4, 0.5
 WORD = re.compile(r"[^\W\d_]+")
 #: Unseen words of which a worker keeps the scores.
@@ -74,18 +77,33 @@ def count_features(labelled: DataFrame) -> DataFrame:
     return counted.groupBy("lang", "kind", "gram").agg(F.sum("n").alias("n"))
 
 
+def chosen(counts: DataFrame, n_langs: int) -> DataFrame:
+    """The counts, in all languages, of the words and n-grams that any language chose."""
+    spark = counts.sparkSession
+    # How many grams of a language have each count: at most about sqrt(2 x total) rows for each kind.
+    sizes: dict[tuple, list] = defaultdict(list)
+    for r in counts.filter(F.col("n") >= LEAST).groupBy("lang", "kind", "n").agg(F.count("*").alias("grams")).collect():
+        sizes[r.lang, r.kind].append((r.n, r.grams))
+    least = []
+    for (lang, kind), found in sizes.items():
+        room, lowest = (WORDS if kind == 0 else GRAMS // len(ORDERS)) // n_langs, None
+        for n, grams in sorted(found, reverse=True):
+            if (room := room - grams) < 0:
+                break
+            lowest = n
+        if lowest is not None:
+            least.append((lang, kind, lowest))
+    least = F.broadcast(spark.createDataFrame(least, "lang string, kind int, least long"))  # one row a language and kind
+    keys = counts.join(least, ["lang", "kind"]).filter("n >= least").select("kind", "gram").distinct()
+    return counts.join(keys, ["kind", "gram"], "left_semi").select("lang", "kind", "gram", "n")
+
+
 def train(labelled: DataFrame, n_rows: int) -> dict:
     """The model: languages, log frequencies of words and of n-grams."""
     counts = stored(count_features(sampled(labelled, n_rows, SAMPLE)))
     sums = {(r.lang, r.kind): (r.total, r.size) for r in counts.groupBy("lang", "kind").agg(F.sum("n").alias("total"), F.count("*").alias("size")).collect()}
     langs = sorted({lang for lang, _ in sums})
-    total = defaultdict(int)
-    for (_, kind), (n, _) in sums.items():
-        total[kind] += n
-    least = F.lit(2)
-    for kind, n in total.items():
-        least = F.when(F.col("kind") == kind, F.lit(max(2, -(-n // (WORDS if kind == 0 else GRAMS // len(ORDERS)))))).otherwise(least)
-    rows = counts.withColumn("least", least).filter("n >= least").select("lang", "kind", "gram", "n").toPandas()
+    rows = chosen(counts, len(langs)).toPandas()
     model: dict = {"langs": langs, "grams": {}}
     where = {x: i for i, x in enumerate(langs)}
     for kind in (0, *ORDERS):

@@ -183,6 +183,25 @@ def test_unseen_words_back_off(docs):
     assert lang == ["es", "de"]
 
 
+def test_rare_languages_keep_their_words(spark):
+    """Four Spanish texts against thousands of others: what Spanish chooses doesn't depend on the others' size, and true counts stay."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").filter("lang is not null").select("doc_id", "text", "lang")
+    held = crc_mod("doc_id", 4) == 2
+    few = docs.filter("lang = 'es'").filter(~held).orderBy("doc_id").limit(4)
+    others = docs.filter("lang <> 'es'").filter(~held).crossJoin(spark.range(20).withColumnRenamed("id", "copy")).drop("copy")
+    known = others.union(few)
+    model = langid.train(known, 0)
+    test = docs.filter(held & (F.col("lang") == "es"))
+    rows = langid.predict(id_and_bytes(test), model).collect()
+    assert sum(r.lang_pred == "es" for r in rows) / len(rows) > 0.97
+    counts = langid.count_features(known).cache()
+    kept = {(r.lang, r.kind, r.gram): r.n for r in langid.chosen(counts, 4).collect()}
+    grams = {(k, g) for _, k, g in kept}
+    assert kept == {(r.lang, r.kind, r.gram): r.n for r in counts.collect() if (r.kind, r.gram) in grams}
+    assert all((r.kind, r.gram) in grams for r in counts.filter("lang = 'es' and n >= 2").collect())
+    assert sum(k == 0 for k, _ in grams) <= langid.WORDS and sum(k > 0 for k, _ in grams) <= langid.GRAMS
+
+
 # Quality
 
 
