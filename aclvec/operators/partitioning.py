@@ -50,21 +50,23 @@ def role_homes(p: Policy, part_role: DataFrame, name: str = "split") -> Partitio
     return Partitioning(name, p.pa.join(homes, "role_id").select("part", "doc_id").distinct(), route)
 
 
-def split_tree(p: Policy, min_leaf: float | None = None) -> Partitioning:
+def split_tree(p: Policy, min_leaf: float | None = None, max_entries: int | None = None) -> Partitioning:
     """A tree of disjoint leaves, cut by the roles that the workload's role sets ask for.
 
     At each leaf the role is taken that lets role sets skip most rows, weighted
     by users; a leaf stops when it is below `min_leaf` (documents / roles) or no
-    cut skips anything. The tree is grown on the class matrix, whose size is
-    checked; documents follow by a join on their class.
+    cut skips anything. Cuts are chosen on the class matrix, which beyond
+    `max_entries` (`MAX_ENTRIES`) is that of a hash sample of documents; they
+    are kept as predicates on role sets, through which every document goes to
+    its leaf, and the route follows from all documents in the leaves.
     """
-    from aclvec.operators.planner import PlannerInput
+    from aclvec.operators.planner import MAX_ENTRIES, PlannerInput
 
-    data = PlannerInput.collect(p)
+    data = PlannerInput.collect(p, max_entries=MAX_ENTRIES if max_entries is None else max_entries)
     least = min_leaf if min_leaf is not None else data.total_docs / max(1, len(data.roles))
     may = (data.sees @ data.sets.T > 0).astype(np.float64)
     leaf = np.zeros(len(data.n_docs), int)
-    todo, n_leaves = [0], 1
+    todo, n_leaves, cuts = [0], 1, []
     while todo:
         at = todo.pop()
         mine = np.flatnonzero(leaf == at)
@@ -80,14 +82,18 @@ def split_tree(p: Policy, min_leaf: float | None = None) -> Partitioning:
         if gain[best] <= 0:
             continue
         leaf[mine[sees[:, best] == 0]] = n_leaves
+        cuts.append((at, int(data.roles[best]), n_leaves))
         todo += [at, n_leaves]
         n_leaves += 1
-    spark = p.docs.sparkSession
-    names = [",".join(str(r) for r in data.roles[row > 0].tolist()) for row in data.sees]
-    placed = F.broadcast(spark.createDataFrame([(c, f"t{x}") for c, x in zip(names, leaf.tolist(), strict=True)], "cls string, part string"))  # classes, size checked
-    sets = [",".join(str(r) for r in data.roles[row > 0].tolist()) for row in data.sets]
-    route = {(s, f"t{x}") for i, s in enumerate(sets) for x in set(leaf[may[:, i] > 0].tolist())}
-    return Partitioning("splitree", doc_classes(p).select("doc_id", "cls").join(placed, "cls").select("part", "doc_id"), spark.createDataFrame(sorted(route), "rs string, part string"))
+    at = F.lit(0)
+    if cuts:
+        # Cuts in the order they were made: without the role, a document goes on to the new leaf.
+        made = F.array(*(F.struct(F.lit(x).alias("leaf"), F.lit(role).alias("role_id"), F.lit(new).alias("new")) for x, role, new in cuts))
+        at = F.aggregate(made, at, lambda x, c: F.when((x == c["leaf"]) & ~F.array_contains("role_set", c["role_id"]), c["new"]).otherwise(x))
+    placed = doc_classes(p).select("doc_id", "role_set", F.concat(F.lit("t"), at.cast("string")).alias("part"))
+    held = placed.select("part", F.explode("role_set").alias("role_id")).distinct()
+    route = role_sets(p).select("rs", F.explode("role_set").alias("role_id")).join(held, "role_id").select("rs", "part").distinct()
+    return Partitioning("splitree", placed.select("part", "doc_id"), route)
 
 
 def materialise(part: Partitioning, vectors: DataFrame, path: str, mode: str = "physical") -> None:

@@ -7,7 +7,9 @@ from aclvec.functions.models import GraphCost, RecallModel
 from aclvec.operators import generators as g
 from aclvec.operators import planner as pl
 from aclvec.operators import routing as ro
-from aclvec.operators.partitioning import role_homes
+from aclvec.operators.partitioning import role_homes, split_tree
+from aclvec.operators.policy import access_classes, auth_role_sets
+from aclvec.plans.catalog_policy import POLICY
 
 HOW = {"cost": GraphCost(1.0, 0.0), "recall": RecallModel(4.0, 0.5), "target": 0.95, "k": 2.0}
 
@@ -118,3 +120,17 @@ def test_bound_is_checked(spark):
     p = g.hand_h1(spark)
     with pytest.raises(ValueError):
         pl.plan_exact(pl.PlannerInput.collect(p), 1.0, max_roles=3)
+
+
+def test_disjoint_tree_places_all_documents_beyond_the_bound(spark, sf):
+    """Cuts chosen on a sample of the classes still place every document once, where all who may see it search."""
+    p = POLICY["uni_a"](spark, sf)
+    whole, few = split_tree(p), split_tree(p, max_entries=200)
+    classes = {r.cls: r.n_docs for r in access_classes(p).collect()}
+    assert len(pl.PlannerInput.collect(p, max_entries=200).n_docs) < len(classes)
+    for tree in (whole, few):
+        placed = [r.doc_id for r in tree.part_doc.collect()]
+        assert len(placed) == len(set(placed)) and set(placed) == {r.doc_id for r in p.pa.select("doc_id").distinct().collect()}
+        assert ro.cover_violations(p, tree).first()[0] == 0
+        assert {tuple(r) for r in tree.route.collect()} == {tuple(r) for r in auth_role_sets(p).join(tree.part_doc, "doc_id").select("rs", "part").distinct().collect()}
+    assert few.part_doc.select("part").distinct().count() > 1
