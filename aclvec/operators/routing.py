@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import itertools
+import math
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -49,27 +49,36 @@ def _greedy(rows: pd.DataFrame, ratio: bool) -> list[str]:
     return chosen
 
 
-def _exact(rows: pd.DataFrame, max_parts: int = 12) -> list[str]:
-    """The covering set of least summed log size, by enumeration."""
-    import math
-
-    held = {k: (int(g["size"].iloc[0]), frozenset(g["cls"])) for k, g in rows.groupby("part")}
-    if len(held) > max_parts:
-        return _greedy(rows, False)
-    want, best = frozenset(rows["cls"]), (float("inf"), [])
-    for n in range(1, len(held) + 1):
-        for pick in itertools.combinations(sorted(held), n):
-            if frozenset().union(*(held[k][1] for k in pick)) >= want:
-                cost = sum(math.log(max(held[k][0], 2)) for k in pick)
-                if cost < best[0] - 1e-12:
-                    best = (cost, list(pick))
-    return best[1]
+def _exact(rows: pd.DataFrame) -> list[str]:
+    """The covering set of least summed log size, by branch and bound from the greedy one."""
+    cost = {k: math.log(max(int(g["size"].iloc[0]), 2)) for k, g in rows.groupby("part")}
+    # Classes that the same partitions hold are one need.
+    needs = {frozenset(g["part"]) for _, g in rows.groupby("cls")}
+    best = [sorted(_greedy(rows, ratio)) for ratio in (False, True)]
+    best = min(best, key=lambda x: sum(cost[k] for k in x))
+    least = sum(cost[k] for k in best)
+
+    def search(needs: set[frozenset], chosen: list[str], spent: float) -> None:
+        nonlocal best, least
+        if not needs:
+            if spent < least - 1e-12:
+                best, least = sorted(chosen), spent
+            return
+        # Every need costs its cheapest partition at least; one without any can't be met.
+        if spent + max(min((cost[k] for k in x), default=math.inf) for x in needs) >= least - 1e-12:
+            return
+        for k in sorted(min(needs, key=lambda x: (len(x), sorted(x))), key=lambda k: (cost[k], k)):
+            search({x for x in needs if k not in x}, [*chosen, k], spent + cost[k])
+            needs = {x - {k} for x in needs}  # covers with k are done
+
+    search(needs, [], 0.0)
+    return best
 
 
 def cover(p: Policy, part: Partitioning, method: str = "greedy_count", level: str = "roleset") -> DataFrame:
     """rs, part, pick: covering partitions of each role set in the order of choice. A group holds classes x partitions of one role set.
 
-    Methods: greedy_count, greedy_ratio, exact (few partitions), home (the partitioning's own route).
+    Methods: greedy_count, greedy_ratio, exact (time may grow exponentially with partitions), home (the partitioning's own route).
     """
     if method == "home":
         return part.route.withColumn("pick", F.lit(0))

@@ -1,6 +1,9 @@
 """The hand policy's golden values, the storage identity against unions, and the shape of plans."""
 
+import itertools
+
 import numpy as np
+import pandas as pd
 import pytest
 
 from aclvec.functions.models import GraphCost, RecallModel
@@ -134,3 +137,18 @@ def test_disjoint_tree_places_all_documents_beyond_the_bound(spark, sf):
         assert ro.cover_violations(p, tree).first()[0] == 0
         assert {tuple(r) for r in tree.route.collect()} == {tuple(r) for r in auth_role_sets(p).join(tree.part_doc, "doc_id").select("rs", "part").distinct().collect()}
     assert few.part_doc.select("part").distinct().count() > 1
+
+
+def test_exact_cover_of_many_partitions():
+    """Fourteen partitions: the greedy cover takes the large one first, the exact cover doesn't need it."""
+    rows = [(f"p{i:02}", f"c{i}", 1, 2) for i in range(13)] + [("q", f"c{i}", 1, 1 << 20) for i in range(12)]
+    rows = pd.DataFrame(rows, columns=["part", "cls", "n_docs", "size"])
+    assert "q" in ro._greedy(rows, False) and ro._exact(rows) == [f"p{i:02}" for i in range(13)]
+    rng = np.random.default_rng(4)
+    for _ in range(20):
+        held = {f"p{i}": (int(rng.integers(2, 50)), set(rng.choice(8, rng.integers(1, 5), False).tolist())) for i in range(7)}
+        rows = pd.DataFrame([(k, str(c), 1, size) for k, (size, own) in held.items() for c in own], columns=["part", "cls", "n_docs", "size"])
+        every = set().union(*(own for _, own in held.values()))
+        price = lambda pick: sum(np.log(held[k][0]) for k in pick)
+        want = min(price(pick) for n in range(8) for pick in itertools.combinations(held, n) if set().union(*(held[k][1] for k in pick)) >= every)
+        assert price(ro._exact(rows)) == pytest.approx(want)
