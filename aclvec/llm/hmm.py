@@ -11,22 +11,24 @@ distribution over token sequences.
 
 Every round of Baum-Welch runs over all training documents: tasks sum expected
 counts, one aggregation adds them up. Rounds end when the log likelihood of a
-token rises by less than `GAIN`. Long texts are cut into segments whose transfer
-matrices are multiplied, so that likelihoods are exact and no loop follows a
-long text word by word.
-
-Words reach their counts and symbols by blocks of documents: each block asks
-once for each of its distinct words.
-
-Defined results: a null or empty text is the end alone; without training
-documents every count is 0 and all tokens are unknown. Repeated rows give
-repeated rows.
+token rises by less than `GAIN`. Texts of more than `SEGMENT` tokens are cut into
+segments whose transfer matrices are multiplied, so that likelihoods are exact
+and no loop follows a long text word by word.
+
+Texts are read once and kept as blocks: the distinct words of about `BLOCK_BYTES`
+of text, and each token as its word's place among them. Counts and symbols are
+then fetched once for each block and distinct word; the `TOP` words, which nearly
+every block asks for, come from a broadcast, so that no join key is hot.
+
+Defined results: a null or empty text is the end alone; a row without an id is
+held out; without training documents every count is 0 and all tokens are
+unknown. Repeated rows give repeated rows.
 """
 
 from __future__ import annotations
 
+import hashlib
 import zlib
-from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -39,13 +41,13 @@ TOP, OWN, GROUPS, STATES, TAIL = 2_000, 50, 512, 4, 3
 #: Nats a token: the rise of the log likelihood below which training ends.
 GAIN = 0.0001
 ADD, UNIT = 0.1, 1_000_000
-SEGMENT, BLOCK_BYTES, LEAST_BLOCKS = 64, 8 << 20, 48
-#: Steps between two scalings of a recursion.
-SCALE = 8
+SEGMENT, BLOCK_BYTES = 512, 16 << 20
+#: Steps between two scalings of a recursion; columns of an array that stay in a core's cache.
+SCALE, PIECE = 8, 16_384
 #: Groups come first, then the end, then words of their own.
 END = GROUPS
-#: Parts in which words of their own are numbered.
-PARTS = 256
+#: Parts in which words of their own are numbered, for each power of two of their counts.
+PARTS = 32
 
 
 def words_of(text: bytes) -> list[bytes]:
@@ -84,183 +86,219 @@ class Segments:
 
     def __init__(self, seqs: list[np.ndarray]):
         sizes = np.fromiter(map(len, seqs), np.int64, len(seqs))
-        self.flat = np.concatenate(seqs).astype(np.int64)
-        begins = np.concatenate(([0], np.cumsum(sizes)[:-1]))
-        parts = -(-sizes // SEGMENT)
-        self.text = np.repeat(np.arange(len(seqs)), parts)
-        self.nr = np.arange(len(self.text)) - np.repeat(np.cumsum(parts) - parts, parts)
-        self.begin = begins[self.text] + self.nr * SEGMENT
-        self.size = np.minimum(sizes[self.text] - self.nr * SEGMENT, SEGMENT)
-        self.order = np.argsort(-self.size, kind="stable")
-        left = np.sort(self.size)
-        self.alive = [len(left) - int(np.searchsorted(left, t, side="right")) for t in range(SEGMENT)]
+        flat = np.concatenate(seqs).astype(np.int32)
+        self.parts = parts = -(-sizes // SEGMENT)
         self.first = np.cumsum(parts) - parts
-        self.parts, self.n_texts = parts, len(seqs)
-
+        self.n_texts, self.long = len(seqs), np.flatnonzero(parts > 1)
+        self.text = np.repeat(np.arange(len(seqs)), parts)
+        nr = np.arange(len(self.text)) - self.first[self.text]
+        begin = (np.cumsum(sizes) - sizes)[self.text] + nr * SEGMENT
+        size = np.minimum(sizes[self.text] - nr * SEGMENT, SEGMENT)
+        self.order = np.argsort(-size, kind="stable")
         # Symbols step by step; at each step the segments that reach it, longest first, are a prefix.
-        self.alive = [n for n in self.alive if n]
-        self.ends = np.concatenate(([0], np.cumsum(self.alive))).astype(np.int64)
-        begin = self.begin[self.order]
-        self.symbols = np.concatenate([self.flat[begin[:n] + t] for t, n in enumerate(self.alive)])
-
-    def steps(self):
-        """For each step, how many segments reach it and the place of their symbols."""
-        return [(t, n, slice(self.ends[t], self.ends[t + 1])) for t, n in enumerate(self.alive)]
-
-
-def emitted(model: Model, cut: Segments) -> np.ndarray:
-    """Each state's share of the symbols, state first."""
-    return np.ascontiguousarray(model.emit[cut.symbols].T)
-
-
-def transfer(model: Model, cut: Segments, emit: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Each segment's scaled transfer matrix and the log of its scale."""
-    k, n = len(model.start), len(cut.text)
-    m = np.repeat(np.eye(k)[:, :, None], n, axis=2)
-    logs = np.zeros(n)
-    turn = np.ascontiguousarray(model.move.T)
-    for t, a, at in cut.steps():
-        x = np.matmul(turn, m[:, :, :a])
-        np.multiply(x, emit[None, :, at], out=m[:, :, :a])
+        alive = len(size) - np.searchsorted(np.sort(size), np.arange(int(size.max(initial=0))), side="right")
+        ends = np.concatenate(([0], np.cumsum(alive))).tolist()
+        begin = begin[self.order]
+        self.symbols = np.concatenate([np.zeros(0, np.int32), *(flat[begin[:n] + t] for t, n in enumerate(alive.tolist()))])
+        self.steps = [(t, n, slice(ends[t], ends[t + 1])) for t, n in enumerate(alive.tolist())]
+        self.sub = Segments([seqs[i] for i in self.long.tolist()]) if len(self.long) and len(self.long) < len(seqs) else self if len(self.long) else None
+
+
+class Scaled:
+    """A model with each symbol's emissions divided by their largest, in the type of the recursions."""
+
+    def __init__(self, model: Model, dtype):
+        top = model.emit.max(axis=1)
+        self.logs = np.log(top)
+        self.emit = np.ascontiguousarray((model.emit / top[:, None]).T.astype(dtype))
+        self.start, self.move = model.start.astype(dtype), model.move.astype(dtype)
+        self.turn = np.ascontiguousarray(self.move.T)
+
+    def of(self, cut: Segments) -> np.ndarray:
+        """Each state's emissions of the symbols, state first."""
+        return np.stack([row.take(cut.symbols) for row in self.emit])
+
+
+def transfer(model: Scaled, cut: Segments) -> np.ndarray:
+    """Each segment's transfer matrix, up to a factor."""
+    k, n, emit = len(model.start), len(cut.text), model.of(cut)
+    m = np.repeat(np.eye(k, dtype=emit.dtype)[:, :, None], n, axis=2)
+    for t, a, at in cut.steps:
+        np.multiply(np.matmul(model.turn, m[:, :, :a]), emit[None, :, at], out=m[:, :, :a])
         if t % SCALE == SCALE - 1:
-            top = m[:, :, :a].max(axis=(0, 1))
-            m[:, :, :a] /= top
-            logs[:a] += np.log(top)
-    out, out_logs = np.empty((n, k, k)), np.empty(n)
-    out[cut.order], out_logs[cut.order] = m.transpose(2, 0, 1), logs
-    return out, out_logs
-
-
-def likelihood(model: Model, cut: Segments, emit: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Natural log likelihood of each text, each segment's state before it, and its transfer matrices."""
-    m, logs = transfer(model, cut, emitted(model, cut) if emit is None else emit)
-    enter = np.empty((len(cut.text), len(model.start)))
-    now = np.broadcast_to(model.start, (cut.n_texts, len(model.start))).copy()
-    total = np.zeros(cut.n_texts)
-    for j in range(int(cut.parts.max(initial=0))):
-        who = np.flatnonzero(cut.parts > j)
-        at = cut.first[who] + j
-        enter[at] = now[who]
-        x = np.einsum("ni,nij->nj", now[who], m[at])
-        s = x.sum(axis=1)
-        now[who] = x / s[:, None]
-        total[who] += np.log(s) + logs[at]
-    return total, enter, m
-
-
-def expected(model: Model, seqs: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
-    """Baum-Welch counts of some texts: start, moves, emissions; and their log likelihood."""
-    cut = Segments(seqs)
-    emit = emitted(model, cut)
-    total, enter, m = likelihood(model, cut, emit)
-    k, n = len(model.start), len(cut.text)
-    leave = np.empty((n, k))
-    now = np.ones((cut.n_texts, k))
-    for j in range(int(cut.parts.max(initial=0)) - 1, -1, -1):
-        who = np.flatnonzero(cut.parts > j)
-        at = cut.first[who] + j
-        leave[at] = now[who]
-        x = np.einsum("nij,nj->ni", m[at], now[who])
+            m[:, :, :a] /= m[:, :, :a].max(axis=(0, 1))
+    out = np.empty((n, k, k), emit.dtype)
+    out[cut.order] = m.transpose(2, 0, 1)
+    return out
+
+
+def borders(model: Scaled, cut: Segments) -> tuple[np.ndarray, np.ndarray]:
+    """For each segment the chances of the states before it, and how well each state after it explains the rest of its text, up to a factor."""
+    k = len(model.start)
+    enter, leave = np.tile(model.start, (len(cut.text), 1)), np.ones((len(cut.text), k), model.start.dtype)
+    if not len(cut.long):
+        return enter, leave
+    m, first, parts = transfer(model, cut.sub), cut.sub.first, cut.parts[cut.long]
+    own = cut.first[cut.long]  # where the long texts' segments begin among all
+    now = enter[own]
+    for j in range(int(parts.max())):
+        who = np.flatnonzero(parts > j)
+        enter[own[who] + j] = now[who]
+        x = np.einsum("ni,nij->nj", now[who], m[first[who] + j])
+        now[who] = x / x.sum(axis=1, keepdims=True)
+    now = np.ones((len(own), k), model.start.dtype)
+    for j in range(int(parts.max()) - 1, -1, -1):
+        who = np.flatnonzero(parts > j)
+        leave[own[who] + j] = now[who]
+        x = np.einsum("nij,nj->ni", m[first[who] + j], now[who])
         now[who] = x / x.sum(axis=1, keepdims=True)
-    start = model.start * now
-    start = (start / start.sum(axis=1, keepdims=True)).sum(axis=0)
+    return enter, leave
+
+
+def forward(model: Scaled, cut: Segments, emit: np.ndarray, enter: np.ndarray, left: np.ndarray | None = None) -> np.ndarray:
+    """The log likelihood of each segment after the states `enter`, without its symbols' scales; into `left` the states before each step."""
+    now = np.ascontiguousarray(enter[cut.order].T)
+    logs = np.zeros(len(cut.text))
+    for t, a, at in cut.steps:
+        now = now[:, :a]
+        if left is not None:
+            left[:, at] = now
+        now = (model.turn @ now) * emit[:, at]
+        stay = cut.steps[t + 1][1] if t + 1 < len(cut.steps) else 0
+        if t % SCALE == SCALE - 1:
+            s = now.sum(axis=0)
+            now /= s
+            logs[:a] += np.log(s)
+        if stay < a:
+            logs[stay:a] += np.log(now[:, stay:].sum(axis=0))
+    out = np.empty(len(logs))
+    out[cut.order] = logs
+    return out
+
+
+def likelihood(model: Model, seqs: list[np.ndarray]) -> np.ndarray:
+    """The natural log likelihood of each sequence."""
+    cut, scaled = Segments(seqs), Scaled(model, np.float64)
+    logs = forward(scaled, cut, scaled.of(cut), borders(scaled, cut)[0])
+    return np.bincount(cut.text, logs, cut.n_texts) + np.array([scaled.logs[s].sum() for s in seqs])
+
+
+def expected(model: Model, seqs: list[np.ndarray], dtype=np.float32) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
+    """Baum-Welch counts of some texts: start, moves, emissions; and their log likelihood."""
+    cut, scaled = Segments(seqs), Scaled(model, dtype)
+    emit = scaled.of(cut)
+    enter, leave = borders(scaled, cut)
     # States before each step and chances of what follows it, each up to a factor.
     left, right = np.empty_like(emit), np.empty_like(emit)
-    turn = np.ascontiguousarray(model.move.T)
-    ahead = np.ascontiguousarray(enter[cut.order].T)
-    for t, a, at in cut.steps():
-        left[:, at] = ahead[:, :a]
-        ahead = (turn @ ahead[:, :a]) * emit[:, at]
-        if t % SCALE == SCALE - 1:
-            ahead /= ahead.sum(axis=0)
+    logs = forward(scaled, cut, emit, enter, left)
     back = np.ascontiguousarray(leave[cut.order].T)
-    for t, a, at in reversed(cut.steps()):
-        right[:, at] = emit[:, at] * back[:, :a]
-        back[:, :a] = model.move @ right[:, at]
+    for t, a, at in reversed(cut.steps):
+        np.multiply(emit[:, at], back[:, :a], out=right[:, at])
+        back[:, :a] = scaled.move @ right[:, at]
         if t % SCALE == 0:
             back[:, :a] /= back[:, :a].sum(axis=0)
-    state = (turn @ left) * right
-    weight = state.sum(axis=0)
-    move = model.move * (left @ (right / weight).T)
-    state /= weight
+    place = np.empty(len(cut.order), np.int64)
+    place[cut.order] = np.arange(len(cut.order))
+    start = scaled.start[:, None] * back[:, place[cut.first]]
+    start = (start / start.sum(axis=0)).sum(axis=1, dtype=float)
+    pairs, state = np.zeros_like(model.move), np.empty_like(emit)
+    for i in range(0, emit.shape[1], PIECE):
+        l, r, s = (x[:, i : i + PIECE] for x in (left, right, state))
+        np.multiply(scaled.turn @ l, r, out=s)
+        weight = s.sum(axis=0)
+        s /= weight
+        pairs += l @ (r / weight).T
     counts = np.stack([np.bincount(cut.symbols, row, len(model.emit)) for row in state], axis=1)
-    return start, move, counts, float(total.sum())
+    return start, model.move * pairs, counts, float(logs.sum() + scaled.logs[cut.symbols].sum())
 
 
-def word_counts(train: DataFrame) -> DataFrame:
-    """word and its count in the training texts."""
+def packed(docs: DataFrame) -> DataFrame:
+    """Blocks of texts: their ids and sizes, each token's place among the block's distinct words, these words with their groups and counts in training texts."""
 
     def run(batches):
+        schema = pa.schema([
+            ("block", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("held", pa.list_(pa.bool_())), ("sizes", pa.list_(pa.int64())),
+            ("places", pa.binary()), ("words", pa.list_(pa.binary())), ("groups", pa.binary()), ("train", pa.list_(pa.int64())),
+        ])
         for b in batches:
-            count: Counter = Counter()
-            for _, texts in chunks(b):
+            ids, held = (b.column(b.schema.get_field_index(c)).to_pylist() for c in ("doc_id", "held_out"))
+            for rows, texts in chunks(b, limit=BLOCK_BYTES):
+                number: dict[bytes, int] = {}
+                put, parts = number.setdefault, []
                 for t in texts:
-                    count.update(words_of(t))
-            yield pa.RecordBatch.from_pydict({"word": list(count), "c": list(count.values())}, pa.schema([("word", pa.binary()), ("c", pa.int64())]))
-
-    return id_and_bytes(train).select("text").mapInArrow(run, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
-
-
-def asked_words(blocked: DataFrame) -> DataFrame:
-    """block and each distinct word in it."""
+                    ws = words_of(t)
+                    parts.append(np.fromiter((put(w, len(number)) for w in ws), np.uint32, len(ws)))
+                places = np.concatenate(parts)
+                train = np.repeat(~np.array(held[rows]), list(map(len, parts)))
+                count = np.bincount(places[train], minlength=len(number))
+                groups = np.fromiter(map(group_of, number), np.uint16, len(number))
+                tag = hashlib.blake2b(repr((ids[rows], held[rows])).encode() + places.tobytes() + b" ".join(number), digest_size=8).digest()
+                yield pa.RecordBatch.from_pydict({
+                    "block": [int.from_bytes(tag, "little", signed=True)], "doc_ids": [ids[rows]], "held": [held[rows]], "sizes": [[len(x) for x in parts]],
+                    "places": [pa.compress(places.tobytes(), "zstd", asbytes=True)], "words": [list(number)], "groups": [groups.tobytes()], "train": [count],
+                }, schema)
+
+    schema = "block long, doc_ids array<long>, held array<boolean>, sizes array<long>, places binary, words array<binary>, groups binary, train array<long>"
+    return id_and_bytes(docs, "held_out").mapInArrow(run, schema)
+
+
+def word_counts(blocks: DataFrame) -> DataFrame:
+    """word and its count in the training texts."""
+    words = blocks.select(F.explode(F.arrays_zip("words", "train")).alias("x")).select("x.words", F.col("x.train").alias("c"))
+    return words.filter("c > 0").groupBy(F.col("words").alias("word")).agg(F.sum("c").alias("c"))
 
-    def run(key, rows):
-        found: set[bytes] = set()
-        for t in rows["text"].to_pylist():
-            found.update(words_of(t))
-        return pa.table({"block": pa.array([key[0].as_py()] * len(found), pa.int64()), "word": pa.array(list(found), pa.binary())})
 
-    return blocked.groupBy("block").applyInArrow(run, "block long, word binary")
+def asked_words(blocks: DataFrame, words: DataFrame, top: DataFrame) -> DataFrame:
+    """block, place, c and symbol of each block's distinct words that training texts hold; `top`: the most frequent ones, few rows."""
+    asked = blocks.select(F.col("block").alias("block"), F.posexplode("words").alias("place", "word"))
+    few = F.broadcast(top)  # TOP rows
+    often = asked.join(few, "word")
+    rest = asked.join(few, "word", "left_anti").join(words, "word")
+    return often.unionByName(rest).select("block", "place", "c", "symbol")
 
 
-def coded(blocked: DataFrame, counts: DataFrame, known: dict) -> DataFrame:
+def coded(blocks: DataFrame, counts: DataFrame, known: dict) -> DataFrame:
     """Per document: base score, log10 share within groups, and the symbols of its tokens."""
-    sent = blocked.sparkSession.sparkContext.broadcast(known)
+    sent = blocks.sparkSession.sparkContext.broadcast(known)
 
-    def run(key, docs, counts):
+    def run(key, rows, counts):
         k = sent.value
         size, total = k["size"], k["total"]
-        words = counts["word"].to_pylist()
-        c, symbol = counts["c"].to_numpy().astype(float), counts["symbol"].to_numpy()
-        number = {w: i for i, w in enumerate(words)}
-        own = symbol > END
-        g = np.where(own, 0, symbol)
-        base = np.log10((c + ADD) / (total + ADD * (size + 1)))
-        inner = np.where(own, 0.0, np.log10((c + ADD) / (k["group_c"][g] + ADD * (k["group_v"][g] + 1))))
-        # Words outside the training texts: no count.
-        base_0 = np.log10(ADD / (total + ADD * (size + 1)))
         end = np.log10((k["n_train"] + ADD) / (total + ADD * (size + 1)))
+        at = counts["place"].to_numpy()
         out = {x: [] for x in ("doc_id", "held_out", "n_tokens", "n_known", "base_score", "inner", "symbols")}
-        for t in docs["text"].to_pylist():
-            ws = words_of(t)
-            ids = np.fromiter((number.get(w, -1) for w in ws), np.int64, len(ws))
-            new = np.flatnonzero(ids < 0)
-            seq, fine = np.empty(len(ws) + 1, np.uint32), 0.0
-            if len(words):
-                hit = ids[ids >= 0]
-                seq[:-1] = symbol[ids]
-                fine, score = inner[hit].sum(), base[hit].sum()
-            else:
-                score = 0.0
-            if len(new):
-                groups = np.array([group_of(ws[i]) for i in new.tolist()])
-                seq[new] = groups
-                fine += np.log10(ADD / (k["group_c"][groups] + ADD * (k["group_v"][groups] + 1))).sum()
-                score += len(new) * base_0
-            seq[-1] = END
-            out["n_tokens"].append(len(ws) + 1)
-            out["n_known"].append(len(ws) - len(new) + (k["n_train"] > 0))
-            out["base_score"].append(score + end)
-            out["inner"].append(fine)
-            out["symbols"].append(seq.tobytes())
-        out["doc_id"], out["held_out"] = docs["doc_id"], docs["held_out"]
-        return pa.table(out)
+        for r in rows.to_pylist():
+            symbol = np.frombuffer(r["groups"], np.uint16).astype(np.uint32)
+            c = np.zeros(len(symbol))
+            c[at], symbol[at] = counts["c"].to_numpy(), counts["symbol"].to_numpy()
+            base = np.log10((c + ADD) / (total + ADD * (size + 1)))
+            own = symbol > END
+            g = np.where(own, 0, symbol)
+            inner = np.where(own, 0.0, np.log10((c + ADD) / (k["group_c"][g] + ADD * (k["group_v"][g] + 1))))
+            sizes = np.array(r["sizes"], np.int64)
+            places = np.frombuffer(pa.decompress(r["places"], 4 * int(sizes.sum()), "zstd"), np.uint32)
+            ends = np.cumsum(sizes)
+            full = np.flatnonzero(sizes)
+            sums = np.zeros((3, len(sizes)))
+            if len(full):
+                sums[:, full] = [np.add.reduceat(x[places], (ends - sizes)[full]) for x in (base, inner, (c > 0).astype(float))]
+            seq = symbol[places]
+            out["doc_id"] += r["doc_ids"]
+            out["held_out"] += r["held"]
+            out["n_tokens"] += (sizes + 1).tolist()
+            out["n_known"] += (sums[2].astype(np.int64) + (k["n_train"] > 0)).tolist()
+            out["base_score"] += (sums[0] + end).tolist()
+            out["inner"] += sums[1].tolist()
+            last = np.array([END], np.uint32).tobytes()
+            out["symbols"] += [seq[e - n : e].tobytes() + last for n, e in zip(sizes.tolist(), ends.tolist(), strict=True)]
+        return pa.table(out, schema=arrow)
 
     schema = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, inner double, symbols binary"
-    return blocked.groupBy("block").cogroup(counts.groupBy("block")).applyInArrow(run, schema)
+    arrow = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base_score", pa.float64()), ("inner", pa.float64()), ("symbols", pa.binary())])
+    return blocks.drop("words", "train").groupBy("block").cogroup(counts.groupBy("block")).applyInArrow(run, schema)
 
 
-def runs_of(batch: pa.RecordBatch, limit: int = 200_000):
+def runs_of(batch: pa.RecordBatch, limit: int = 500_000):
     """Rows whose symbols are about `limit` together, as arrays."""
     for rows, parts in chunks(batch, "symbols", 4 * limit):
         yield rows, [np.frombuffer(x, np.uint32) for x in parts]
@@ -309,55 +347,52 @@ def train_model(rows: DataFrame, symbol_counts: np.ndarray, n_train: int) -> Mod
     return model
 
 
-def with_symbols(vocabulary: DataFrame) -> tuple[DataFrame, np.ndarray]:
-    """word, c and its symbol; and the counts of the symbols of their own, in order."""
+def with_symbols(vocabulary: DataFrame) -> tuple[DataFrame, DataFrame, np.ndarray]:
+    """word, c and its symbol; the same of the `TOP` words; and the counts of the symbols of their own, in order."""
     least = vocabulary.orderBy(F.desc("c"), "word").limit(TOP).agg(F.max(F.struct(-F.col("c"), "word")).alias("x")).select((-F.col("x.col1")).alias("c"), "x.word").first()
     if least.c is None:
-        return vocabulary.withColumn("symbol", F.lit(0)), np.zeros(0)
+        none = vocabulary.withColumn("symbol", F.lit(0))
+        return none, none, np.zeros(0)
     first = (F.col("c") > least.c) | ((F.col("c") == least.c) & (F.col("word") <= F.lit(bytearray(least.word))))
     own = (F.col("c") >= OWN) | first
-    numbered = vocabulary.filter(own).withColumn("p", (F.crc32("word") % PARTS).cast("int"))
+    # Frequent words get small numbers, which lie together in memory; a word's number depends on its count and bytes alone.
+    part = (62 - F.floor(F.log2("c"))) * PARTS + F.crc32("word") % PARTS
+    numbered = vocabulary.filter(own).withColumn("p", part.cast("int"))
     numbered = stored(numbered.withColumn("nr", F.row_number().over(Window.partitionBy("p").orderBy("word"))))
-    sizes = np.zeros(PARTS + 1, np.int64)
-    for r in numbered.groupBy("p").count().collect():
-        sizes[r.p + 1] = r["count"]
-    before = np.cumsum(sizes)
-    offset = F.array(*(F.lit(int(x)) for x in before[:-1]))
-    numbered = numbered.select("word", "c", (F.element_at(offset, F.col("p") + 1) + F.col("nr") + F.lit(END)).cast("int").alias("symbol"))
+    sizes = sorted(tuple(r) for r in numbered.groupBy("p").count().collect())  # 63 * PARTS rows at most
+    before = np.cumsum([0, *(n for _, n in sizes)]).tolist()
+    offset = F.broadcast(vocabulary.sparkSession.createDataFrame([(p, b) for (p, _), b in zip(sizes, before, strict=False)], "p int, before long"))
+    numbered = numbered.join(offset, "p").select("word", "c", first.alias("often"), (F.col("before") + F.col("nr") + F.lit(END)).cast("int").alias("symbol"))
+    top, numbered = numbered.filter("often").drop("often"), numbered.drop("often")
     got = numbered.select("symbol", "c").toPandas()
     counts = np.zeros(before[-1])
     counts[got["symbol"].to_numpy() - END - 1] = got["c"].to_numpy()
     others = vocabulary.filter(~own).withColumn("symbol", (F.crc32(F.substring("word", -TAIL, TAIL)) % GROUPS).cast("int"))
-    return others.unionByName(numbered), counts
+    return others.unionByName(numbered), top, counts
 
 
 def score_texts(docs: DataFrame, held_out) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of all documents; `held_out`: a condition."""
-    docs = docs.withColumn("held_out", held_out).select("doc_id", "text", "held_out")
-    train = docs.filter("not held_out")
-    n_bytes, n_train = docs.agg(F.sum(F.octet_length("text")), F.count(F.when(~F.col("held_out"), 1))).first()
-    vocabulary = stored(word_counts(train))
+    blocks = stored(packed(docs.withColumn("held_out", F.coalesce(held_out, F.lit(True))).select("doc_id", "text", "held_out")), "zstd")
+    n_train = blocks.select(F.explode("held").alias("h")).filter("not h").count()
+    vocabulary = stored(word_counts(blocks))
     total, size = vocabulary.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
-    words, own_counts = with_symbols(vocabulary)
+    words, top, own_counts = with_symbols(vocabulary)
     group_c, group_v = np.zeros(GROUPS), np.zeros(GROUPS)
     for r in words.filter(F.col("symbol") < GROUPS).groupBy("symbol").agg(F.sum("c").alias("c"), F.count("*").alias("v")).collect():
         group_c[r.symbol], group_v[r.symbol] = r.c, r.v
     symbol_counts = np.concatenate((group_c, [n_train], own_counts))
     known = {"total": total + n_train, "size": size + (n_train > 0), "n_train": n_train, "group_c": group_c, "group_v": group_v}
-    n_blocks = max(LEAST_BLOCKS, -(-(n_bytes or 0) // BLOCK_BYTES))
-    blocked = id_and_bytes(docs, "held_out").withColumn("block", F.pmod(F.xxhash64(F.lit(41), "doc_id"), F.lit(n_blocks)))
-    counts = asked_words(blocked).join(words, "word").select("block", "word", "c", "symbol")
-    rows = stored(coded(blocked, counts, known))
+    rows = stored(coded(blocks, asked_words(blocks, words, top), known), "zstd")
     model = train_model(rows.filter("not held_out"), symbol_counts, n_train)
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
         for b in batches:
             for part, seqs in runs_of(b):
-                ln = likelihood(sent.value, Segments(seqs))[0]
                 cols = b.slice(part.start, part.stop - part.start)
                 get = lambda c: cols.column(cols.schema.get_field_index(c))
-                score = ln / np.log(10) + get("inner").to_numpy()
+                score = likelihood(sent.value, seqs) / np.log(10) + get("inner").to_numpy()
                 yield pa.RecordBatch.from_arrays([get("doc_id"), get("held_out"), get("n_tokens"), get("n_known"), pa.array([known["total"]] * len(seqs), pa.int64()), get("base_score"), pa.array(score)], names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
     return rows.mapInArrow(run, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")

@@ -301,10 +301,13 @@ def naive(model, seq):
 def test_likelihood_and_counts_are_exact():
     rng = np.random.default_rng(1)
     model = hmm.Model.first(rng.integers(1, 50, hmm.END + 1).astype(float), 3)
-    seqs = [rng.integers(0, hmm.END + 1, n).astype(np.uint16) for n in (1, 2, 63, 64, 65, 200)]
-    total = hmm.likelihood(model, hmm.Segments(seqs))[0]
+    seqs = [rng.integers(0, hmm.END + 1, n).astype(np.uint16) for n in (1, 2, 63, 200, hmm.SEGMENT - 1, hmm.SEGMENT, hmm.SEGMENT + 1, 3 * hmm.SEGMENT + 7)]
+    total = hmm.likelihood(model, seqs)
     assert total == pytest.approx([naive(model, s) for s in seqs])
+    assert hmm.likelihood(model, seqs[:2]) == pytest.approx(total[:2]) and hmm.likelihood(model, seqs[-1:]) == pytest.approx(total[-1:])
     start, move, emit, logp = hmm.expected(model, seqs)
+    for plain, quick in zip(hmm.expected(model, seqs, np.float64), (start, move, emit, logp), strict=True):
+        assert np.allclose(plain, quick, rtol=1e-4, atol=1e-5)
     n = sum(map(len, seqs))
     assert logp == pytest.approx(total.sum())
     assert (start.sum(), move.sum(), emit.sum()) == pytest.approx((len(seqs), n, n))
@@ -327,7 +330,7 @@ def test_baum_welch_raises_the_likelihood():
 
 def test_scores(edge, none, docs):
     both = docs.select("doc_id", "text").union(edge.filter("doc_id is null or doc_id <> 3").selectExpr("doc_id + 100000 as doc_id", "text"))
-    rows = hmm.score_texts(both, F.coalesce(crc_mod("doc_id", 10) == 0, F.lit(True))).collect()
+    rows = hmm.score_texts(both, crc_mod("doc_id", 10) == 0).collect()
     tokens = [(r.doc_id, [*[w.encode().translate(bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")) for w in WORD.findall(r.text or "")], None]) for r in both.collect()]
     held = lambda i: i is None or zlib.crc32(str(i).encode()) % 10 == 0
     c = Counter(w for i, ws in tokens if not held(i) for w in ws)
@@ -344,6 +347,28 @@ def test_scores(edge, none, docs):
     assert len(unknown) == len(EDGE) and all(np.isfinite(r.score) and r.n_known == 0 for r in unknown)
 
 
+def test_score_equals_a_plain_forward_sum(edge, docs, monkeypatch):
+    """The query's score, long text and unknown words included, against symbols and a recursion written out."""
+    both = docs.select("doc_id", "text").union(edge.filter("doc_id = 3").selectExpr("100003L as doc_id", "text"))
+    held, found, plain = (lambda i: zlib.crc32(str(i).encode()) % 10 == 0), [], hmm.train_model
+    monkeypatch.setattr(hmm, "TOP", 300)
+    monkeypatch.setattr(hmm, "train_model", lambda *a: found.append(plain(*a)) or found[-1])
+    rows = {r.doc_id: r for r in hmm.score_texts(both, crc_mod("doc_id", 10) == 0).collect()}
+    texts = {r.doc_id: hmm.words_of((r.text or "").encode()) for r in both.collect()}
+    c = Counter(w for i, ws in texts.items() if not held(i) for w in ws)
+    first = {w for w, _ in sorted(c.items(), key=lambda x: (-x[1], x[0]))[:300]}
+    own = sorted((w for w in c if c[w] >= hmm.OWN or w in first), key=lambda w: (-int(np.log2(c[w])), zlib.crc32(w) % hmm.PARTS, w))
+    symbol = {w: hmm.END + 1 + i for i, w in enumerate(own)}
+    group_c, group_v = Counter(), Counter()
+    for w in c.keys() - symbol.keys():
+        group_c[hmm.group_of(w)] += c[w]
+        group_v[hmm.group_of(w)] += 1
+    for i in [*list(texts)[:60], 100_003]:
+        seq = [symbol.get(w, hmm.group_of(w)) for w in texts[i]]
+        inner = sum(np.log10((c[w] + 0.1) / (group_c[g] + 0.1 * (group_v[g] + 1))) for w, g in zip(texts[i], seq, strict=True) if w not in symbol)
+        assert rows[i].score == pytest.approx(naive(found[0], [*seq, hmm.END]) / np.log(10) + inner)
+
+
 def test_every_round_reads_all_training_texts(spark, monkeypatch):
     rng = np.random.default_rng(5)
     seqs = [np.concatenate([rng.integers(a, a + 30, 12) for a in rng.permutation([0, 100, 200])]).astype(np.uint32) for _ in range(1_200)]
