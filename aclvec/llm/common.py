@@ -8,6 +8,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -49,24 +50,25 @@ def id_and_bytes(docs: DataFrame, *more: str) -> DataFrame:
 
 def chunks(batch: pa.RecordBatch, column: str = "text", limit: int = CHUNK_BYTES) -> Iterator[tuple[slice, list[bytes]]]:
     """Runs of rows whose texts hold about `limit` bytes together; a longer text makes a run of its own."""
-    texts = batch.column(batch.schema.get_field_index(column)).to_pylist()
+    texts = batch.column(batch.schema.get_field_index(column))
     begin = held = 0
-    for i, t in enumerate(texts):
-        if i > begin and held + len(t) > limit:
-            yield slice(begin, i), texts[begin:i]
+    for i, n in enumerate(pc.binary_length(texts).to_pylist()):
+        if i > begin and held + n > limit:
+            yield slice(begin, i), texts.slice(begin, i - begin).to_pylist()
             begin, held = i, 0
-        held += len(t)
+        held += n
     if begin < len(texts):
-        yield slice(begin, len(texts)), texts[begin:]
+        yield slice(begin, len(texts)), texts.slice(begin).to_pylist()
 
 
 def per_text(frame: DataFrame, schema: str, make: Callable[[], Callable[[list[bytes]], dict[str, object]]]) -> DataFrame:
     """All columns of `frame` but its bytes column `text`, with the columns of `schema` that `make()` computes for each text.
 
-    `make` runs once a task and returns the function of a run of texts.
+    Columns of `frame` with such a name are replaced. `make` runs once a task and returns the function of a run of texts.
     """
     spark = frame.sparkSession
     added = spark.createDataFrame([], schema).schema
+    frame = frame.drop(*added.names)
     out = type(frame.schema)([*(f for f in frame.schema if f.name != "text"), *added])
     from pyspark.sql.pandas.types import to_arrow_schema
 
