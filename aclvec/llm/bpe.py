@@ -290,8 +290,8 @@ class Encoder:
         return out
 
     def encode(self, texts: list[bytes]) -> list[bytes]:
-        """Each text's ids as little-endian 32-bit numbers."""
-        split = self.pieces(texts)
+        """Each text's ids as little-endian 32-bit numbers. Bytes that are no UTF-8 count as U+FFFD, as a decoder would show them."""
+        split = self.pieces(valid(texts))
         if len(self.cache) > self.cache_size:
             self.cache = dict(self.seed)
         cache = self.cache
@@ -301,6 +301,15 @@ class Encoder:
         return [b"".join(map(cache.__getitem__, ps)) for ps in split]
 
 
+def valid(texts: list[bytes]) -> list[bytes]:
+    """The texts with U+FFFD in place of what is no UTF-8."""
+    try:
+        b"\n".join(texts).decode()
+    except UnicodeDecodeError:
+        return [t.decode("utf-8", "replace").encode() for t in texts]
+    return texts
+
+
 class Decoder:
     """Ids back to bytes, with the byte offset at which each id's bytes begin."""
 
@@ -326,15 +335,23 @@ def read_ranks(path: str) -> dict[bytes, int]:
         return {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
 
 
-def _held(ranks: dict[bytes, int]) -> tuple[Encoder, Decoder]:
-    """One encoder and decoder for a worker process: kept from task to task."""
-    import sys
+#: The encoder and decoder that a worker process keeps from task to task, by the digest of their vocabulary.
+_KEPT: dict[str, tuple[Encoder, Decoder]] = {}
+
+
+def digest(ranks: dict[bytes, int]) -> str:
+    """A digest of every token and id."""
+    h = hashlib.sha256()
+    for token, i in ranks.items():
+        h.update(b"%d:%d:" % (i, len(token)) + token)
+    return h.hexdigest()
+
 
-    kept = sys.modules.setdefault("_aclvec_bpe_kept", type(sys)("_aclvec_bpe_kept"))
-    key = (len(ranks), hash(frozenset(list(ranks.items())[:: max(1, len(ranks) // 97)])))
-    if getattr(kept, "key", None) != key:
-        kept.key, kept.pair = key, (Encoder(ranks), Decoder(ranks))
-    return kept.pair
+def _held(key: str, ranks: dict[bytes, int]) -> tuple[Encoder, Decoder]:
+    if key not in _KEPT:
+        _KEPT.clear()
+        _KEPT[key] = Encoder(ranks), Decoder(ranks)
+    return _KEPT[key]
 
 
 def encode(docs: DataFrame, ranks: dict[bytes, int], digests: bool = False, ids: bool = True) -> DataFrame:
@@ -343,10 +360,10 @@ def encode(docs: DataFrame, ranks: dict[bytes, int], digests: bool = False, ids:
     The vocabulary is a broadcast of bounded size: that of the rank file.
     """
     spark = docs.sparkSession
-    sent = spark.sparkContext.broadcast(ranks)
+    sent = spark.sparkContext.broadcast((digest(ranks), ranks))
 
     def make():
-        encoder, decoder = _held(sent.value)
+        encoder, decoder = _held(*sent.value)
 
         def work(texts):
             out = encoder.encode(texts)
@@ -367,10 +384,10 @@ def encode(docs: DataFrame, ranks: dict[bytes, int], digests: bool = False, ids:
 
 def decode(encoded: DataFrame, ranks: dict[bytes, int]) -> DataFrame:
     """doc_id and text of a frame of doc_id and ids; ids null: an empty text."""
-    sent = encoded.sparkSession.sparkContext.broadcast(ranks)
+    sent = encoded.sparkSession.sparkContext.broadcast((digest(ranks), ranks))
 
     def run(frames: Iterable):
-        decoder = _held(sent.value)[1]
+        decoder = _held(*sent.value)[1]
         for f in frames:
             f["text"] = [decoder.decode(np.asarray(x if x is not None else [], np.int64))[0].decode("utf-8", "replace") for x in f["ids"]]
             yield f[["doc_id", "text"]]
