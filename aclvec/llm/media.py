@@ -1,8 +1,9 @@
 """Telephony audio in a column: companded samples, block ADPCM and stored PCM.
 
 Mu-law and A-law bytes expand by 256-entry tables built from the companding
-rules. IMA ADPCM is decoded sample by sample but across all blocks of a clip at
-once. Expanded speech is resampled and stored as 16-bit PCM in a WAVE file.
+rules. IMA ADPCM is decoded sample by sample but across all blocks of a run of
+clips at once. Expanded speech is resampled and stored as 16-bit PCM in a WAVE
+file, read back from there and described.
 
 Defined results: a null text is the empty payload, which is padded to one frame;
 equal payloads give equal files and features; repeated rows give repeated rows.
@@ -19,7 +20,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from aclvec.llm.common import id_and_bytes, per_text, table
+from aclvec.llm.common import id_and_bytes, per_text, stored, table
 
 # Format tags of the WAVE container.
 PCM, ALAW, MULAW, IMA = 1, 6, 7, 17
@@ -28,6 +29,8 @@ IMA_INDEX = [-1, -1, -1, -1, 2, 4, 6, 8]
 
 #: Bytes of a frame: payloads are padded with 255 to a positive multiple.
 FRAME = 576
+#: Bytes of an ADPCM block: a frame is a whole number of them.
+BLOCK = 36
 RATE, OUT_RATE = 8000, 16000
 
 
@@ -194,30 +197,50 @@ def describe(pcm: np.ndarray) -> str:
 
 
 def read_media(media: DataFrame, out_rate: int = OUT_RATE) -> DataFrame:
-    """Digests of stored clips: the payload read back, the stored form and features of the resampled speech."""
+    """Digests of stored mu-law clips, and the speech that the payload holds in each coding.
+
+    The payload is read back, expanded as mu-law and resampled into `pcm`, a WAVE
+    file of 16-bit samples. The same bytes are also heard as A-law and as blocks
+    of ADPCM (`alaw`, `adpcm`: features of the resampled speech).
+    """
 
     def make():
         tables = {MULAW: mulaw_table(), ALAW: alaw_table()}
 
         def work(files):
-            out = {k: [] for k in ("payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")}
-            for f in files:
-                payload = bytes(parse_wave(f)[3])
+            out = {k: [] for k in ("payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "alaw", "adpcm", "pcm")}
+            payloads = [bytes(parse_wave(f)[3]) for f in files]
+            # Blocks of all clips are decoded together; a clip is a whole number of blocks.
+            speech = adpcm_decode(np.frombuffer(b"".join(payloads), np.uint8).reshape(-1, BLOCK))
+            ends = np.cumsum([len(p) // BLOCK for p in payloads]).tolist()
+            for f, payload, begin, end in zip(files, payloads, [0, *ends], ends, strict=False):
                 rate, x = samples(f, tables)
                 out["payload_bytes"].append(len(payload))
                 out["payload_sha256"].append(hashlib.sha256(payload).hexdigest())
                 out["tail_crc32"].append(zlib.crc32(payload[-32:]))
                 out["media_bytes"].append(len(f))
                 out["media_sha256"].append(hashlib.sha256(f).hexdigest())
-                out["feature"].append(describe(resample(x, rate, out_rate)))
+                out["alaw"].append(describe(resample(tables[ALAW][np.frombuffer(payload, np.uint8)], rate, out_rate)))
+                out["adpcm"].append(describe(resample(speech[begin:end].ravel(), rate, out_rate)))
+                out["pcm"].append(wave(PCM, resample(x, rate, out_rate).astype("<i2").tobytes(), out_rate, 2, 16))
             return out
 
         return work
 
-    schema = "payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+    schema = "payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, alaw string, adpcm string, pcm binary"
     return per_text(media.select("doc_id", "n_bytes", F.col("media").alias("text")), schema, make)
 
 
+def described(clips: DataFrame) -> DataFrame:
+    """The columns of `clips` with the size, digest and features of their `pcm` in its place."""
+
+    def work(files):
+        return {"pcm_bytes": [len(f) for f in files], "pcm_sha256": [hashlib.sha256(f).hexdigest() for f in files], "feature": [describe(samples(f)[1]) for f in files]}
+
+    return per_text(clips.withColumnRenamed("pcm", "text"), "pcm_bytes long, pcm_sha256 string, feature string", lambda: work)
+
+
 def op2_media(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every whole text stored as telephony samples, read back and described."""
-    return read_media(encode_media(table(spark, sf_dir, "documents")))
+    """Every whole text stored as telephony samples, read back, its resampled speech stored, read back and described."""
+    clips = read_media(encode_media(table(spark, sf_dir, "documents")))
+    return described(stored(clips, "zstd"))
