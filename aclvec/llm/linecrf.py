@@ -5,8 +5,10 @@ batch at once, line by line. A text is kept if the words of its content lines
 are at least `SHARE` of its words and it passes the base rules.
 
 The field is trained on the driver from a bounded sample of labelled documents
-(`SAMPLE` at most): the lines of a document of label 0 are boilerplate, those of
-a document of label 1 are content.
+(`SAMPLE` documents with `LINES` lines at most). A line has the label that most
+of the sampled documents holding it have; ties, and so all lines of one document
+alone, go to its own document's label (0: boilerplate, 1: content). So labels
+change within texts, and the field learns when.
 
 Defined results: a null or empty text has no words and fails the base rules;
 without labels every line is content; ties go to content. Repeated rows give
@@ -15,14 +17,16 @@ repeated rows.
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from aclvec.llm.common import chunks, crc_mod, id_and_bytes, joined, per_text, sampled, table
 
-SAMPLE, SHARE = 6_000, 0.5
+SAMPLE, LINES, SHARE = 6_000, 1_000_000, 0.5
 MIN_WORDS, MAX_REPEAT_PERCENT, WINDOW = 10, 20, 5
 FEATURES = 24
 
@@ -143,7 +147,9 @@ def by_step(first: np.ndarray, counts: np.ndarray) -> list[tuple[np.ndarray, np.
 
 
 class Field:
-    """Weights of the two labels (0: content, 1: boilerplate)."""
+    """Weights of the two labels (0: content, 1: boilerplate). `mixed`: the share of training texts with lines of both."""
+
+    mixed = 0.0
 
     def __init__(self, weight: np.ndarray | None = None, move: np.ndarray | None = None):
         self.weight = np.zeros((FEATURES, 2)) if weight is None else weight
@@ -206,6 +212,21 @@ class Field:
         return self
 
 
+def line_code(line: bytes) -> int:
+    """64 bits of a line without blanks at its ends, in lower case; 0 for one without words."""
+    key = line.strip().lower()
+    return int.from_bytes(hashlib.blake2b(key, digest_size=8).digest(), "little", signed=True) if key else 0
+
+
+def line_labels(code: np.ndarray, text: np.ndarray, quality: np.ndarray) -> np.ndarray:
+    """1 (boilerplate) or 0 for each line: the label of most texts that hold it, its own text's where as many have either."""
+    pairs, back = np.unique(np.stack((code, text), axis=1), axis=0, return_inverse=True)
+    keys, at = np.unique(pairs[:, 0], return_inverse=True)
+    votes = np.bincount(at, np.where(quality[pairs[:, 1]] == 0, 1, -1), len(keys))[at][back.ravel()]
+    own = quality[text] == 0
+    return np.where((votes == 0) | (code == 0), own, votes > 0).astype(int)
+
+
 def train(docs: DataFrame, labels: DataFrame) -> Field:
     """A field from a bounded sample of labelled documents."""
     known = labels.filter(F.col("quality").isNotNull() & F.col("doc_id").isNotNull()).select("doc_id", F.col("quality").cast("int").alias("quality"))
@@ -218,16 +239,24 @@ def train(docs: DataFrame, labels: DataFrame) -> Field:
                 lines = Lines(texts)
                 bits = np.packbits(lines.features(), axis=1, bitorder="little")
                 parts = [slice(f, f + n) for f, n in zip(lines.first.tolist(), lines.counts.tolist(), strict=True)]
-                yield pa.RecordBatch.from_pydict({"quality": quality[rows], "bits": [bits[p].tobytes() for p in parts]}, pa.schema([("quality", pa.int32()), ("bits", pa.binary())]))
-
-    got = id_and_bytes(docs).join(few, "doc_id").drop("doc_id").mapInArrow(run, "quality int, bits binary").toPandas()
+                code = np.fromiter(map(line_code, lines.lines), np.int64, len(lines.lines))
+                yield pa.RecordBatch.from_pydict({"quality": quality[rows], "bits": [bits[p].tobytes() for p in parts], "code": [code[p].tobytes() for p in parts]}, pa.schema([("quality", pa.int32()), ("bits", pa.binary()), ("code", pa.binary())]))
+
+    own = docs.select("doc_id", "text").join(few, "doc_id")
+    size = own.groupBy("doc_id").agg(F.sum(F.coalesce(F.size(F.split("text", "\n")), F.lit(1))).alias("n"))
+    # A running sum over SAMPLE rows.
+    fits = size.withColumn("n", F.sum("n").over(Window.orderBy(F.xxhash64("doc_id"), "doc_id"))).filter(F.col("n") <= LINES).select("doc_id")
+    got = id_and_bytes(own, "quality").join(F.broadcast(fits), "doc_id").drop("doc_id").mapInArrow(run, "quality int, bits binary, code binary").toPandas()
     if not len(got):
         return Field()
     width = FEATURES // 8
     counts = got["bits"].map(len).to_numpy() // width
     x = np.unpackbits(np.frombuffer(b"".join(got["bits"]), np.uint8).reshape(-1, width), axis=1, bitorder="little")
-    y = (np.repeat(got["quality"].to_numpy(), counts) == 0).astype(int)
-    return Field().train(x, y, np.concatenate(([0], np.cumsum(counts)[:-1])), counts)
+    text, first = np.repeat(np.arange(len(counts)), counts), np.cumsum(counts) - counts
+    y = line_labels(np.frombuffer(b"".join(got["code"]), np.int64), text, got["quality"].to_numpy())
+    field = Field().train(x, y, first, counts)
+    field.mixed = float((np.maximum.reduceat(y, first) != np.minimum.reduceat(y, first)).mean())
+    return field
 
 
 def judge(docs: DataFrame, field: Field) -> DataFrame:
