@@ -6,14 +6,16 @@ rows are counted once, and each level of a tree needs one aggregation of
 gradients by leaf, feature and bin. Only these histograms reach the driver.
 
 Suffix statistics are smoothed shares of blocked URLs by top-level suffix, by
-the last two labels of the host, by first path segment and by file ending. A value is kept only if at least one of
-`VALUES` of the training rows has it, so at most `VALUES` values of each kind are.
+the last two labels of the host, by first path segment and by file ending, of
+all values that `LEAST` training rows have. They are a table of at most
+`SAMPLE` / `LEAST` rows for each kind, joined by value from a broadcast.
 
 Defined results: a null URL, or one without `://`, has an empty host and path
 and is judged by the trees like any other; without training rows all that no
 rule judges is allowed; of two rules the longer one wins, and of equally long
 ones the first; a score of one half or more blocks. Repeated rows give repeated
-rows, extra columns are left alone.
+rows. Extra columns are left alone, but for those named like a result (host,
+path, rule, rule_verdict, score, verdict), which the result replaces.
 """
 
 from __future__ import annotations
@@ -26,7 +28,7 @@ from pyspark.sql import functions as F
 
 from aclvec.llm.common import sampled, stored, table
 
-SAMPLE, BINS, TREES, DEPTH, RATE, VALUES = 100_000, 12, 10, 3, 0.3, 200
+SAMPLE, LEAST, BINS, TREES, DEPTH, RATE = 100_000, 2, 12, 10, 3, 0.3
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: Rules (verdict, host, path).
 RULES = [("block", "net", "/"), ("allow", "example.net", "/en/"), ("block", "example.com", "/de/"), ("allow", "org", "/fr/")]
@@ -83,24 +85,20 @@ class Model:
 
     def __init__(self):
         self.prior, self.n = 0.5, 0
-        self.shares: dict[str, dict[str, float]] = {k: {} for k in KINDS}
+        self.shares: DataFrame | None = None  # kind, value, share
         self.edges: dict[str, list[float]] = {}
         self.base, self.trees = 0.0, []
 
-    def number(self, name: str) -> Column:
-        """A feature as a number: a suffix as its share of blocked URLs."""
-        if name in NUMBERS:
-            return F.col(name)
-        pairs = [F.lit(x) for pair in self.shares[name].items() for x in pair]
-        return F.coalesce(F.element_at(F.create_map(*pairs), F.col(name)), F.lit(self.prior)) if pairs else F.lit(self.prior)
+    def with_shares(self, rows: DataFrame) -> DataFrame:
+        """Suffixes as their shares of blocked URLs, in place of their text."""
+        for k in KINDS:
+            known = self.shares.filter(F.col("kind") == k).select(F.col("value").alias(k), F.col("share").alias(f"share_{k}"))
+            rows = rows.join(F.broadcast(known), k, "left").withColumn(k, F.coalesce(f"share_{k}", F.lit(self.prior))).drop(f"share_{k}")  # SAMPLE / LEAST rows
+        return rows
 
     def bins(self) -> dict[str, Column]:
         """Each feature's bin: the number of edges that it exceeds."""
-        out = {}
-        for f, edges in self.edges.items():
-            x = self.number(f)
-            out[f"bin_{f}"] = sum((F.when(x > e, 1).otherwise(0) for e in edges), F.lit(0))
-        return out
+        return {f"bin_{f}": sum((F.when(F.col(f) > e, 1).otherwise(0) for e in edges), F.lit(0)) for f, edges in self.edges.items()}
 
     def leaf(self, levels: list[dict[int, tuple[str, int]]]) -> Column:
         """The leaf that a binned row reaches."""
@@ -135,20 +133,21 @@ def train(judged: DataFrame) -> Model:
     total = judged.count()
     rows = sampled(judged, total, SAMPLE, key="url").withColumn("y", F.when(F.col("rule_verdict") == "block", 1.0).otherwise(0.0))
     rows = stored(with_features(rows).select("y", *NUMBERS, *KINDS))
-    first = rows.agg(F.count("*").alias("n"), F.sum("y").alias("y"), *(F.percentile_approx(f, [i / BINS for i in range(1, BINS)], 10_000).alias(f) for f in NUMBERS)).first()
+    first = rows.agg(F.count("*").alias("n"), F.sum("y").alias("y")).first()
     if not first.n:
         return model
     model.n, model.prior = first.n, (first.y + 1) / (first.n + 2)
     model.base = math.log(model.prior / (1 - model.prior))
-    model.edges = {f: sorted(set(first[f])) for f in NUMBERS}
-    least = max(2, -(-first.n // VALUES))
-    counted = rows.select(F.explode(F.array(*(F.struct(F.lit(k).alias("kind"), F.col(k).alias("value")) for k in KINDS))).alias("s"), "y").groupBy("s.kind", "s.value").agg(F.count("*").alias("n"), F.sum("y").alias("y")).filter(F.col("n") >= least)
-    for r in counted.collect():
-        model.shares[r.kind][r.value] = (r.y + 5 * model.prior) / (r.n + 5)
-    for k in KINDS:
-        model.edges[k] = sorted({*model.shares[k].values(), model.prior})[:-1]
+    values = F.explode(F.array(*(F.struct(F.lit(k).alias("kind"), F.col(k).alias("value")) for k in KINDS))).alias("s")
+    counted = rows.select(values, "y").groupBy("s.kind", "s.value").agg(F.count("*").alias("n"), F.sum("y").alias("y")).filter(F.col("n") >= LEAST)
+    model.shares = stored(counted.select("kind", "value", ((F.col("y") + 5 * model.prior) / (F.col("n") + 5)).alias("share")))
+    rows = stored(model.with_shares(rows))
+    cuts = rows.agg(*(F.percentile_approx(f, [i / BINS for i in range(BINS)], 10_000).alias(f) for f in (*NUMBERS, *KINDS)), *(F.max(f).alias(f"top_{f}") for f in (*NUMBERS, *KINDS))).first()
+    model.edges = {f: sorted({x for x in cuts[f] if x < cuts[f"top_{f}"]}) for f in (*NUMBERS, *KINDS)}
     model.edges = {f: e for f, e in model.edges.items() if e}
     names = list(model.edges)
+    if not names:  # all training URLs look alike: the base alone
+        return model
     binned = rows.select("y", *(c.alias(n) for n, c in model.bins().items()))
     cells = stored(binned.groupBy(*(f"bin_{f}" for f in names)).agg(F.count("*").alias("n"), F.sum("y").alias("y")))
     for _ in range(TREES):
@@ -194,11 +193,13 @@ def split(histograms: dict[str, dict[int, tuple[float, float]]], least: float =
 
 def judge(urls: DataFrame, model: Model) -> DataFrame:
     """Adds score (of a block) and verdict to URLs with rules."""
-    plain = urls.columns
     if not model.n:
         return urls.withColumns({"score": F.lit(0.0), "verdict": F.coalesce("rule_verdict", F.lit("allow"))})
-    binned = with_features(urls).select(*plain, *(c.alias(n) for n, c in model.bins().items()))
-    scored = binned.select(*plain, (1 / (1 + F.exp(-model.raw()))).alias("score"))
+    # The caller's columns travel apart, so that none of them meets a feature's name.
+    own = urls.select(F.struct(*(F.col(f"`{c}`") for c in urls.columns)).alias("own"), "url", "host", "path")
+    rows = model.with_shares(with_features(own).select("own", *NUMBERS, *KINDS))
+    binned = rows.select("own", *(c.alias(n) for n, c in model.bins().items()))
+    scored = binned.select(*(F.col(f"own.`{c}`").alias(c) for c in urls.columns if c != "score"), (1 / (1 + F.exp(-model.raw()))).alias("score"))
     return scored.withColumn("verdict", F.coalesce("rule_verdict", F.when(F.col("score") >= 0.5, "block").otherwise("allow")))
 
 
