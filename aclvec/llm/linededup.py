@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from aclvec.llm.common import id_and_bytes, per_text, stored, table
+from aclvec.llm.common import chunks, id_and_bytes, stored, table
 
 LEAST_CHARS = 10
 #: Bounds of a shard's keys, shards wanted, and probes that a task takes.
@@ -96,15 +96,16 @@ def line_rows(docs: DataFrame) -> DataFrame:
     def run(batches):
         schema = pa.schema([("id", pa.int64()), ("h1", pa.int64()), ("h2", pa.int64())])
         for b in batches:
-            ids = b.column(b.schema.get_field_index("id")).to_pylist()
-            out_ids: list[int] = []
-            found: list[bytes] = []
-            for i, t in zip(ids, b.column(b.schema.get_field_index("text")).to_pylist(), strict=True):
-                keys = {k for x in t.split(b"\n") if long_enough(k := line_key(x))}
-                out_ids += [i] * len(keys)
-                found += map(key_hash, keys)
-            h = np.frombuffer(b"".join(found), np.int64).reshape(-1, 2)
-            yield pa.RecordBatch.from_arrays([pa.array(out_ids, pa.int64()), pa.array(h[:, 0]), pa.array(h[:, 1])], schema=schema)
+            ids = b.column(b.schema.get_field_index("id"))
+            for rows, texts in chunks(b):
+                out_ids: list[int] = []
+                found: list[bytes] = []
+                for i, t in zip(ids[rows].to_pylist(), texts, strict=True):
+                    keys = {k for x in t.split(b"\n") if long_enough(k := line_key(x))}
+                    out_ids += [i] * len(keys)
+                    found += map(key_hash, keys)
+                h = np.frombuffer(b"".join(found), np.int64).reshape(-1, 2)
+                yield pa.RecordBatch.from_arrays([pa.array(out_ids, pa.int64()), pa.array(h[:, 0]), pa.array(h[:, 1])], schema=schema)
 
     return id_and_bytes(docs).select(F.coalesce("doc_id", F.lit(LAST_ID)).alias("id"), "text").mapInArrow(run, "id long, h1 long, h2 long")
 
@@ -151,7 +152,7 @@ def probes(lines: DataFrame, n_shards: int) -> DataFrame:
 
 
 def to_drop(lines: DataFrame) -> DataFrame:
-    """id, h1, h2 of the keys that a document loses: found in another document with a smaller id."""
+    """id and key (its 16 bytes) of the keys that a document loses: found in another document with a smaller id."""
     lines = stored(lines)
     index, n_shards = build_index(lines)
     packed = probes(lines, n_shards)
@@ -161,7 +162,7 @@ def to_drop(lines: DataFrame) -> DataFrame:
     held = index.join(loads, "shard").withColumn("copy", F.explode(F.sequence(F.lit(0), F.col("copies") - 1))).drop("copies")
 
     def probe(key, asked, held):
-        out = {k: [np.zeros(0, np.int64)] for k in ("id", "h1", "h2")}
+        lost_ids, lost_keys = [np.zeros(0, np.int64)], [np.zeros((0, 2), np.int64)]
         if held.num_rows:
             row = held.slice(0, 1).to_pylist()[0]
             ph = PerfectHash(row["sizes"], np.frombuffer(row["bits"], np.uint8))
@@ -172,27 +173,27 @@ def to_drop(lines: DataFrame) -> DataFrame:
                 known = at >= 0
                 known &= fp[np.maximum(at, 0)] == b
                 lost = known & (n[np.maximum(at, 0)] > 1) & (owner[np.maximum(at, 0)] != ids)
-                for k, v in (("id", ids), ("h1", a.view(np.int64)), ("h2", b.view(np.int64))):
-                    out[k].append(v[lost])
-        return pa.table({k: np.concatenate(v) for k, v in out.items()})
+                lost_ids.append(ids[lost])
+                lost_keys.append(np.stack((a[lost], b[lost]), axis=1).view(np.int64))
+        keys = pa.FixedSizeBinaryArray.from_buffers(pa.binary(16), sum(map(len, lost_ids)), [None, pa.py_buffer(np.concatenate(lost_keys).tobytes())])
+        return pa.table({"id": np.concatenate(lost_ids), "key": keys.cast(pa.binary())})
 
-    return asked.groupBy("shard", "copy").cogroup(held.groupBy("shard", "copy")).applyInArrow(probe, "id long, h1 long, h2 long")
+    return asked.groupBy("shard", "copy").cogroup(held.groupBy("shard", "copy")).applyInArrow(probe, "id long, key binary")
 
 
 def dedup_lines(docs: DataFrame, digests: bool = False) -> DataFrame:
     """`docs` with n_lines and n_dropped, and its `text` without the dropped lines; with `digests`, doc_id and the text's hash only."""
-    lost = to_drop(line_rows(docs)).groupBy("id").agg(F.collect_list(F.struct("h1", "h2")).alias("lost_keys"))
+    lost = to_drop(line_rows(docs)).groupBy("id").agg(F.collect_list("key").alias("lost_keys"))
     more = [] if digests else [c for c in docs.columns if c not in ("doc_id", "text")]
     names = {c: f"own_{i}" for i, c in enumerate(more)}
     kept = id_and_bytes(docs, *(F.col(f"`{c}`").alias(n) for c, n in names.items())).withColumn("lost_id", F.coalesce("doc_id", F.lit(LAST_ID)))
     both = kept.join(lost.withColumnRenamed("id", "lost_id"), "lost_id", "left").drop("lost_id")
-    both = both.withColumn("text", F.struct("text", "lost_keys"))
 
     def rest(t: bytes, lost) -> tuple[int, int, bytes]:
         lines = t.split(b"\n")
         if not lost:
             return len(lines), 0, t
-        gone = {np.array([x["h1"], x["h2"]], np.int64).tobytes() for x in lost}
+        gone = set(lost)
         left = [x for x in lines if not (long_enough(k := line_key(x)) and key_hash(k) in gone)]
         return len(lines), len(lines) - len(left), b"\n".join(left)
 
@@ -206,11 +207,12 @@ def dedup_lines(docs: DataFrame, digests: bool = False) -> DataFrame:
 
     def run(batches):
         for b in batches:
-            pairs = b.column(b.schema.get_field_index("text")).to_pylist()
-            got = [rest(p["text"], p["lost_keys"]) for p in pairs]
-            last = [hashlib.sha256(x[2]).hexdigest() for x in got] if digests else [x[2].decode("utf-8", "replace") for x in got]
-            cols = [b.column(b.schema.get_field_index(c)).cast(arrow.field(c).type) for c in names_out]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array([x[0] for x in got], pa.int64()), pa.array([x[1] for x in got], pa.int64()), pa.array(last, pa.string())], schema=arrow)
+            lost_keys = b.column(b.schema.get_field_index("lost_keys"))
+            for rows, texts in chunks(b):
+                got = [rest(t, lost) for t, lost in zip(texts, lost_keys[rows].to_pylist(), strict=True)]
+                last = [hashlib.sha256(x[2]).hexdigest() for x in got] if digests else [x[2].decode("utf-8", "replace") for x in got]
+                cols = [b.column(b.schema.get_field_index(c))[rows].cast(arrow.field(c).type) for c in names_out]
+                yield pa.RecordBatch.from_arrays([*cols, pa.array([x[0] for x in got], pa.int64()), pa.array([x[1] for x in got], pa.int64()), pa.array(last, pa.string())], schema=arrow)
 
     out = both.mapInArrow(run, out_schema)
     if digests:
