@@ -14,12 +14,15 @@ that meet in a prefix shingle, the classes that meet there, in blocks. Within a
 group or a pair of blocks, partners are found by T-occurrence search: the short
 inverted lists are merged by a heap, the long ones probed by binary search.
 
-A shingle is held by a 64-bit hash, a class by a 128-bit one.
+A shingle is held by a 64-bit hash. A class is one of 128 bits, of which the
+search for candidates uses 64.
 
 Defined results: a document without words has 0 shingles and is its own
-component; rows that share an id are one node; rows with a null id get the
-smallest id of their component, or null; equal similarity is no tie, as every
-link counts. Extra columns are left alone.
+component; rows that share an id are one node; rows with a null id link like
+others and get the smallest id of their component, null if there is none; equal
+similarity is no tie, as every link counts. Where one document of each group
+stays, it is that of the smallest id (a null id counts as the largest), of equal
+ids any one; rows without words all stay. Extra columns are left alone.
 """
 
 from __future__ import annotations
@@ -42,6 +45,7 @@ SHARD, GROUP, BLOCK, DRAWS = 1_500_000, 96, 256, 2
 RUN = 8 << 20
 #: Divides the required overlap in the choice of the number of long lists.
 LONG_SHARE = 0.03
+LAST = (1 << 63) - 1
 MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -100,14 +104,22 @@ def digest(hashes: np.ndarray) -> tuple[int, int]:
     return int(a), int(b)
 
 
-def set_rows(docs: DataFrame) -> DataFrame:
-    """doc_id, n, d1, d2: the size and digest of each document's shingle set."""
+def spans(sorted_keys: np.ndarray) -> list[tuple[int, int, int]]:
+    """Each key that occurs, with the begin and end of its rows: work by what is there, however many keys there might be."""
+    if not len(sorted_keys):
+        return []
+    begin = np.flatnonzero(np.concatenate(([True], sorted_keys[1:] != sorted_keys[:-1])))
+    return list(zip(sorted_keys[begin].tolist(), begin.tolist(), [*begin[1:].tolist(), len(sorted_keys)], strict=True))
+
+
+def set_rows(docs: DataFrame, *more: str) -> DataFrame:
+    """doc_id, the columns `more`, n, d1, d2: the size and digest of each document's shingle set."""
 
     def work(texts):
         found = [(len(s), *digest(s)) for i in range(0, len(texts), 100) for s in shingles(texts[i : i + 100])]
         return {"n": [x[0] for x in found], "d1": [x[1] for x in found], "d2": [x[2] for x in found]}
 
-    return per_text(id_and_bytes(docs), "n long, d1 long, d2 long", lambda: work)
+    return per_text(id_and_bytes(docs, *more), "n long, d1 long, d2 long", lambda: work)
 
 
 def entry_rows(docs: DataFrame, n_shards: int) -> DataFrame:
@@ -150,8 +162,7 @@ def entry_rows(docs: DataFrame, n_shards: int) -> DataFrame:
             shard = (h % np.uint64(n_shards)).astype(np.int64)
             order = np.lexsort((c, shard))
             shard, h, c = shard[order], h[order], c[order]
-            cut = np.searchsorted(shard, np.arange(n_shards + 1)).tolist()
-            rows += [(k, False, h[x:y], c[x:y]) for k, (x, y) in enumerate(zip(cut, cut[1:], strict=False)) if y > x]
+            rows += [(k, False, h[x:y], c[x:y]) for k, x, y in spans(shard)]
             for i in range(0, len(rows), 64):
                 part = rows[i : i + 64]
                 yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in part], pa.int64()), pa.array([r[1] for r in part], pa.bool_()), pa.array([r[2].tobytes() for r in part], pa.binary()), pa.array([r[3].tobytes() for r in part], pa.binary())], schema=schema)
@@ -192,9 +203,8 @@ def shared_rows(entries: DataFrame, n_shards: int) -> DataFrame:
         bucket = c % n_shards
         order = np.lexsort((c, bucket))
         bucket, h, c = bucket[order], h[order], c[order]
-        cut = np.searchsorted(bucket, np.arange(n_shards + 1)).tolist()
-        spans = [(k, x, y) for k, (x, y) in enumerate(zip(cut, cut[1:], strict=False)) if y > x]
-        return pa.table({"bucket": pa.array([k for k, _, _ in spans], pa.int64()), "classes": pa.array([c[x:y].tobytes() for _, x, y in spans], pa.binary()), "hashes": pa.array([h[x:y].tobytes() for _, x, y in spans], pa.binary())})
+        found = spans(bucket)
+        return pa.table({"bucket": pa.array([k for k, _, _ in found], pa.int64()), "classes": pa.array([c[x:y].tobytes() for _, x, y in found], pa.binary()), "hashes": pa.array([h[x:y].tobytes() for _, x, y in found], pa.binary())})
 
     return entries.groupBy("shard").applyInArrow(meet, "bucket long, classes binary, hashes binary")
 
@@ -376,7 +386,8 @@ def crossing_links(prefix: DataFrame, sets: DataFrame, component: DataFrame) ->
     rows = stored(rows.join(mixed, "token"))
     nodes = rows.groupBy("node", "comp").agg(F.min("token").alias("lead"))
     near = rows.select("token", "node").join(nodes.select("node", "lead"), "node")
-    least = near.groupBy("token").agg(F.min("lead").alias("lead"))
+    # Written out, so that the join below has two shuffles and a hot shingle's rows can be dealt to several tasks.
+    least = stored(near.groupBy("token").agg(F.min("lead").alias("lead")))
     nodes = rows.join(least, "token").groupBy("node", "comp").agg(F.min("lead").alias("lead"))
     parts = nodes.groupBy("lead").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("parts"))
     nodes = nodes.join(parts, "lead").select("node", "comp", F.xxhash64("lead", F.pmod(F.xxhash64("node"), "parts")).alias("block"))
@@ -411,10 +422,16 @@ def components(links: DataFrame) -> DataFrame:
         state = got
 
 
-def near_duplicates(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles and component_id of every document."""
-    sets = stored(set_rows(docs))
-    classes = stored(sets.filter("n > 0").groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("node")).filter("node is not null"))
+def labelled(docs: DataFrame, *more: str) -> DataFrame:
+    """doc_id, the columns `more`, n, node and comp of every document: its class and the smallest class reached; null without words.
+
+    A class is named by its smallest id, one without ids by a number above all ids.
+    """
+    sets = stored(set_rows(docs, *more))
+    classes = sets.filter("n > 0").groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("low"))
+    top = sets.agg(F.max("doc_id")).first()[0]
+    above = F.lit(max(top, 0) + 1 if top is not None else 1)
+    classes = stored(classes.select("d1", "d2", "n", F.coalesce("low", above + F.pmod("d1", F.lit(LAST) - above)).alias("node")))
     total = classes.agg(F.sum("n")).first()[0] or 0
     n_shards = max(64, -(-total // SHARD))
     shared = shared_rows(entry_rows(docs, n_shards), n_shards)
@@ -426,15 +443,31 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     component = stored(components(links.union(several)))
     links = links.union(several).union(stored(crossing_links(prefixes(found), found, component)))
     component = stored(components(links))
-    named = classes.join(component, "node", "left").select("d1", "d2", "n", F.coalesce("comp", "node").alias("component_id"))
-    out = sets.join(named, ["d1", "d2", "n"], "left")
-    return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
+    named = classes.join(component, "node", "left").select("d1", "d2", "n", F.coalesce("comp", "node").alias("comp"))
+    # A number above all ids stands for none.
+    return sets.join(named, ["d1", "d2", "n"], "left").select("doc_id", *more, "n", "comp", F.when(F.col("comp") < above, F.col("comp")).alias("low"))
+
+
+def near_duplicates(docs: DataFrame) -> DataFrame:
+    """doc_id, n_shingles and component_id of every document."""
+    return labelled(docs).select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("low")).otherwise(F.col("doc_id")).alias("component_id"))
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """The rows of `docs` whose id is its component's."""
-    kept = near_duplicates(docs).filter("doc_id = component_id").select("doc_id").distinct()
-    return docs.join(kept, "doc_id", "left_semi")
+    """One row of `docs` for each component, and all rows without words."""
+    text = F.xxhash64(F.coalesce("text", F.lit("")))
+    rows = labelled(docs.select("doc_id", "text", text.alias("text_hash")), "text_hash")
+    best = rows.filter("n > 0").groupBy("comp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text_hash")).alias("x"))
+    best = stored(best.select("comp", F.col("x.doc_id").alias("id"), F.col("x.text_hash").alias("hash")))
+    same = F.col("doc_id").eqNullSafe(F.col("id")) & (F.col("text_hash") == F.col("hash"))
+    times = rows.filter("n > 0").join(best.drop("comp"), same).groupBy("id", "hash").agg(F.count("*").alias("times"))
+    empty = rows.filter("n = 0").select(F.col("doc_id").alias("id"), F.col("text_hash").alias("hash")).distinct().withColumn("times", F.lit(1))
+    kept = stored(times.unionByName(empty))
+    own = docs.withColumn("own_hash", text).alias("d")
+    with_id = lambda k: own.join(k, F.col("d.doc_id").eqNullSafe(F.col("id")) & (F.col("d.own_hash") == F.col("hash")), "left_semi")
+    # Repeated rows of one id and text are few: only they are dealt by id once more.
+    once, often = with_id(kept.filter("times = 1")), with_id(kept.filter("times > 1"))
+    return once.unionByName(often.dropDuplicates(["doc_id", "own_hash"])).select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
