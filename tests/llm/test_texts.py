@@ -145,7 +145,7 @@ def test_every_kind_of_file_becomes_pcm():
 
 
 def test_payload_is_read_back(edge, none, docs):
-    rows = media.read_media(media.encode_media(edge.union(docs.selectExpr("doc_id", "text", "lang", "source", "n_chars", "0D", "''", "''", "''")))).collect()
+    rows = media.described(media.read_media(media.encode_media(edge.union(docs.selectExpr("doc_id", "text", "lang", "source", "n_chars", "0D", "''", "''", "''"))))).collect()
     want = Counter()
     for t in [t or "" for _, t, *_ in EDGE] + [t or "" for t in texts_of(docs).values()]:
         b = t.encode()
@@ -153,7 +153,36 @@ def test_payload_is_read_back(edge, none, docs):
         want[(len(t.encode()), len(b), hashlib.sha256(b).hexdigest(), zlib.crc32(b[-32:]))] += 1
     assert Counter((r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32) for r in rows) == want
     assert len({r.feature for r in rows if r.doc_id in (4, 5) and r.n_bytes == len(EDGE[3][1])}) == 1
-    assert media.read_media(media.encode_media(none)).count() == 0
+    assert media.described(media.read_media(media.encode_media(none))).count() == 0
+
+
+def test_stored_speech_equals_a_plain_decoder(spark):
+    """Each coding of a payload, sample by sample: mu-law and A-law by their formulas, ADPCM one code at a time, linear steps between."""
+    text = "Telephony \u00e9 " * 70
+    r = media.read_media(media.encode_media(spark.createDataFrame([(1, text)], "doc_id long, text string"))).first()
+    payload = media.padded(text.encode())
+
+    def mulaw(b):
+        b = ~b & 255
+        size = (((b & 15) * 2 + 33) << (b >> 4 & 7)) * 4 - 132
+        return -size if b & 128 else size
+
+    def alaw(b):
+        b ^= 0x55
+        seg, low = b >> 4 & 7, b & 15
+        size = (low * 2 + 1) * 8 if seg == 0 else (low * 2 + 33) * 8 << (seg - 1)
+        return size if b & 128 else -size
+
+    def twice(x):
+        out = []
+        for a, b in zip(x, [*x[1:], x[-1]], strict=True):
+            out += [a, (a + b) >> 1]
+        return np.array(out, np.int16)
+
+    rate, pcm = media.samples(r.pcm)
+    assert rate == media.OUT_RATE and pcm.tolist() == twice([mulaw(b) for b in payload]).tolist()
+    assert r.alaw == media.describe(twice([alaw(b) for b in payload]))
+    assert r.adpcm == media.describe(twice([x for i in range(0, len(payload), media.BLOCK) for x in scalar_adpcm(payload[i : i + media.BLOCK])]))
 
 
 # Language
@@ -489,3 +518,87 @@ def test_mix_edges(edge, none):
     out = mixing.mixed(edge)
     assert out.columns == edge.columns and out.count() >= len(EDGE)
     assert mixing.draws(none).count() == 0 and mixing.mixed(none).count() == 0
+
+
+# Plain versions of fitted models, clashing names
+
+
+def test_language_scores_equal_a_plain_version(docs):
+    """Words first, then the longest known n-gram at each place of an unseen word, with plain sums."""
+    known = docs.filter(crc_mod("doc_id", 4) != 2)
+    model = langid.train(known, known.count())
+    names, logs = model["words"]
+    row = dict(zip(names, logs.astype(float), strict=True))
+
+    def of(word):
+        if word in row:
+            return row[word]
+        w, total = f"<{word}>", np.zeros(len(model["langs"]))
+        for i in range(len(w)):
+            for step, k in enumerate(langid.ORDERS):
+                if i + k <= len(w) and w[i : i + k] in model["grams"][k]:
+                    total += langid.DISCOUNT**step * model["grams"][k][w[i : i + k]].astype(float)
+                    break
+        return total / len(w)
+
+    texts = [*list(texts_of(docs).values())[:60], "Zwqx unbekanntlich 12 Worté", LONG[:3000]]
+    scorer = langid.Scorer(model)
+    for t in texts:
+        lang, score = (x[0] for x in scorer.predict([(t or "").encode()]))
+        ws = re.findall(r"[^\W\d_]+", (t or "").lower())
+        if not ws:
+            assert (lang, score) == ("und", 0.0)
+            continue
+        z = sum(map(of, ws)) / len(ws) * min(len(ws), 30)
+        p = np.exp(z - z.max())
+        p /= p.sum()
+        assert lang == model["langs"][int(p.argmax())] and score == pytest.approx(p.max(), rel=1e-3)
+
+
+def test_quality_scores_equal_a_plain_lookup(docs, labels):
+    """A score is the base plus an entry for each feature and pair, looked up by counting the edges passed."""
+    m = quality.train(docs, labels)
+    texts = [(t or "").encode() for t in [*list(texts_of(docs).values())[:40], "", LONG]]
+    for x, got in zip(quality.features(texts), m.score(quality.features(texts)), strict=True):
+        at = lambda edges, v: sum(v >= e for e in edges)
+        z = m.base + sum(t[at(e, v)] for e, t, v in zip(m.edges, m.tables, x, strict=True))
+        z += sum(g[at(m.coarse[a], x[a]), at(m.coarse[b], x[b])] for (a, b), g in zip(m.pairs, m.grids, strict=True))
+        assert got == pytest.approx(1 / (1 + np.exp(-max(-30, min(30, z)))))
+
+
+def test_results_replace_columns_of_their_names(edge, docs, labels):
+    known = docs.filter("lang is not null")
+    rows = langid.predict(id_and_bytes(edge, "score", "lost_id"), langid.train(known, known.count()))
+    assert rows.columns == ["doc_id", "lost_id", "lang_pred", "score"] and rows.count() == len(EDGE)
+    rows = quality.predict(id_and_bytes(edge, "score", "s"), quality.train(docs, labels))
+    assert rows.columns == ["doc_id", "s", "score", "predicted"] and all(0 <= r.score <= 1 for r in rows.collect())
+
+
+def test_held_out_documents_of_the_line_rules(spark):
+    at = "/root/testdata/sf0.01"
+    got = linecrf.op4_line_rules(spark, at).join(spark.read.parquet(f"{at}/labels.parquet"), "doc_id").filter((crc_mod("doc_id", 4) == 2) & ~F.col("base_failed")).collect()
+    assert len(got) > 50 and sum(r.kept == bool(r.quality) for r in got) / len(got) > 0.9
+
+
+def test_lines_have_the_label_of_most_texts(docs, labels, monkeypatch):
+    code = np.array([5, 6, 0, 5, 7, 5, 0, 6])
+    text = np.array([0, 0, 0, 1, 1, 2, 2, 2])
+    assert linecrf.line_labels(code, text, np.array([1, 1, 0])).tolist() == [0, 0, 0, 0, 0, 0, 1, 1]
+    assert linecrf.line_labels(code, text, np.array([1, 0, 0])).tolist() == [1, 0, 0, 1, 1, 1, 1, 1]
+    monkeypatch.setattr(linecrf, "LINES", 40)
+    few = linecrf.train(docs, labels)
+    assert np.isfinite(few.weight).all()
+    monkeypatch.setattr(linecrf, "LINES", 0)
+    assert not linecrf.train(docs, labels).weight.any()
+
+
+def test_codecs_of_two_vocabularies_stay_apart(spark, ranks):
+    """Vocabularies that differ in one token, in the same workers; and bytes that are no UTF-8."""
+    small = {t: i for t, i in ranks.items() if len(t) == 1 or t in (b"he", b"ll")}
+    other = {b"lo" if t == b"ll" else t: i for t, i in small.items()}
+    docs = spark.createDataFrame([(1, "hello")], "doc_id long, text string")
+    for v, want in ((small, [b"he", b"ll", b"o"]), (other, [b"he", b"l", b"lo"]), (small, [b"he", b"ll", b"o"])):
+        assert bpe.encode(docs, v).first().ids == [v[t] for t in want]
+    broken = docs.select("doc_id", F.unhex(F.lit("61FF62C3")).cast("string").alias("text"))
+    r = bpe.encode(broken, ranks, digests=True).first()
+    assert r.decoded_sha256 == hashlib.sha256("a�b�".encode()).hexdigest()
