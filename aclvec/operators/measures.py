@@ -8,7 +8,7 @@ from pyspark.sql.window import Window
 
 from aclvec.functions.models import GraphCost
 from aclvec.operators.partitioning import Partitioning
-from aclvec.operators.policy import Policy, auth_role_sets, role_sets, user_role_sets
+from aclvec.operators.policy import Policy, doc_classes, role_sets, user_role_sets
 
 
 def partition_cost(part: Partitioning, model=GraphCost(), ef: float = 40.0) -> DataFrame:
@@ -41,7 +41,12 @@ def objective(p: Policy, part: Partitioning, model=GraphCost(), ef: float = 40.0
 
 def partition_selectivity(p: Policy, part: Partitioning) -> DataFrame:
     """rs, part, permitted, n_docs, s: the share of each searched partition that the role set may see."""
-    inside = part.route.join(part.part_doc, "part").join(auth_role_sets(p), ["rs", "doc_id"], "left_semi").groupBy("rs", "part").agg(F.count("*").alias("permitted"))
+    # Role sets meet access classes and their counts in partitions, never documents.
+    classes = doc_classes(p)
+    placed = part.part_doc.join(classes.select("doc_id", "cls"), "doc_id").groupBy("part", "cls").agg(F.count("*").alias("n"))
+    seen = classes.select("cls", "role_set").distinct().select("cls", F.explode("role_set").alias("role_id"))
+    may = role_sets(p).select("rs", F.explode("role_set").alias("role_id")).join(seen, "role_id").select("rs", "cls").distinct()
+    inside = part.route.join(placed, "part").join(may, ["rs", "cls"], "left_semi").groupBy("rs", "part").agg(F.sum("n").alias("permitted"))
     out = part.route.join(part.sizes(), "part").join(inside, ["rs", "part"], "left")
     return out.select("rs", "part", F.coalesce("permitted", F.lit(0)).alias("permitted"), "n_docs", (F.coalesce("permitted", F.lit(0)) / F.col("n_docs")).alias("s"))
 
@@ -85,9 +90,11 @@ def recall_at_k(result: DataFrame, truth: DataFrame) -> DataFrame:
 
 
 def convexity(curve: DataFrame) -> DataFrame:
-    """policy, mean second difference of cost along memory: larger means that memory pays off sooner."""
+    """policy, mean second divided difference of cost along memory: larger means that memory pays off sooner."""
     w = Window.partitionBy("policy").orderBy("memory")
-    bent = curve.withColumn("second", F.lead("cost").over(w) - 2 * F.col("cost") + F.lag("cost").over(w))
+    slope = (F.lead("cost").over(w) - F.col("cost")) / (F.lead("memory").over(w) - F.col("memory"))
+    rows = curve.withColumn("slope", slope).withColumn("span", F.lead("memory").over(w) - F.lag("memory").over(w))
+    bent = rows.withColumn("second", (F.col("slope") - F.lag("slope").over(w)) / F.col("span"))
     return bent.groupBy("policy").agg(F.avg("second").alias("bend"))
 
 

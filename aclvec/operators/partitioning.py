@@ -4,13 +4,16 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from aclvec.operators.policy import Policy, auth, auth_role_sets, doc_classes, role_sets
 
 
+#: Copies that one task writes to a partition.
+WRITE_ROWS = 200_000
+
+
 @dataclass(frozen=True)
 class Partitioning:
     """part_doc(part, doc_id): copies of documents; route(rs, part): where each role set searches. `part` is text."""
@@ -55,33 +58,26 @@ def split_tree(p: Policy, min_leaf: float | None = None, max_entries: int | None
 
     At each leaf the role is taken that lets role sets skip most rows, weighted
     by users; a leaf stops when it is below `min_leaf` (documents / roles) or no
-    cut skips anything. Cuts are chosen on the class matrix, which beyond
-    `max_entries` (`MAX_ENTRIES`) is that of a hash sample of documents; they
-    are kept as predicates on role sets, through which every document goes to
-    its leaf, and the route follows from all documents in the leaves.
+    cut skips anything. Cuts are chosen by sums over all access classes (taken
+    by Spark beyond `max_entries`) and kept as predicates on role sets, through
+    which every document goes to its leaf.
     """
-    from aclvec.operators.planner import MAX_ENTRIES, PlannerInput
+    from aclvec.operators.planner import PlannerInput, leaf_sums
 
-    data = PlannerInput.collect(p, max_entries=MAX_ENTRIES if max_entries is None else max_entries)
+    data = PlannerInput.collect(p, max_entries=max_entries)
     least = min_leaf if min_leaf is not None else data.total_docs / max(1, len(data.roles))
-    may = (data.sees @ data.sets.T > 0).astype(np.float64)
-    leaf = np.zeros(len(data.n_docs), int)
-    todo, n_leaves, cuts = [0], 1, []
+    todo, n_leaves, cuts, columns = [0], 1, [], []
     while todo:
         at = todo.pop()
-        mine = np.flatnonzero(leaf == at)
-        rows = data.n_docs[mine]
-        if rows.sum() < least or len(mine) < 2:
+        (rows,), (n_classes,), inside, needs_in, needs_out = data.summed(data.sets, leaf_sums, columns, at)
+        if rows < least or n_classes < 2:
             continue
-        sees = data.sees[mine].astype(np.float64)
-        inside = rows @ sees
-        needs_in, needs_out = may[mine].T @ sees > 0, may[mine].T @ (1 - sees) > 0
-        gain = data.weight @ (~needs_in * inside[None] + ~needs_out * (rows.sum() - inside)[None])
-        gain[(inside == 0) | (inside == rows.sum())] = 0
+        gain = data.weight @ ((needs_in == 0) * inside[None] + (needs_out == 0) * (rows - inside)[None])
+        gain[(inside == 0) | (inside == rows)] = 0
         best = int(gain.argmax())
         if gain[best] <= 0:
             continue
-        leaf[mine[sees[:, best] == 0]] = n_leaves
+        columns.append((at, best, n_leaves))
         cuts.append((at, int(data.roles[best]), n_leaves))
         todo += [at, n_leaves]
         n_leaves += 1
@@ -103,16 +99,32 @@ def materialise(part: Partitioning, vectors: DataFrame, path: str, mode: str = "
         rows = rows.join(vectors, "doc_id")
     elif mode != "logical":
         raise ValueError(mode)
-    rows.repartition("part").write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("part").parquet(path)
+    # A partition of any size is dealt to as many tasks as it has shards.
+    sizes = part.sizes().select("part", F.ceil(F.col("n_docs") / WRITE_ROWS).cast("int").alias("n_shards"))
+    rows = rows.join(sizes, "part").withColumn("shard", F.pmod(F.xxhash64(F.lit(29), "doc_id"), "n_shards")).drop("n_shards")
+    rows.repartition("part", "shard").drop("shard").write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("part").parquet(path)
+
+
+def uncovered(p: Policy, part: Partitioning) -> DataFrame:
+    """One row: permitted documents of role sets that lie in none of the routed partitions.
+
+    Documents of one access class that lie in the same partitions count together:
+    role sets meet classes and their places, never documents.
+    """
+    places = part.part_doc.groupBy("doc_id").agg(F.array_sort(F.collect_set("part")).alias("parts"))
+    alike = doc_classes(p).join(places, "doc_id", "left").groupBy("cls", "role_set", "parts").agg(F.count("*").alias("n"))
+    asked = role_sets(p).select("rs", F.explode("role_set").alias("role_id"))
+    routes = part.route.groupBy("rs").agg(F.collect_set("part").alias("route"))
+    may = asked.join(alike.withColumn("role_id", F.explode("role_set")), "role_id").select("rs", "cls", "parts", "n").distinct()
+    missed = may.join(routes, "rs", "left").filter(~F.coalesce(F.arrays_overlap("parts", "route"), F.lit(False)))
+    return missed.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("violations"))
 
 
 def check_feasible(part: Partitioning, p: Policy, alpha: float) -> DataFrame:
     """check_name, violations: whole roles in one partition, role sets covered, storage within alpha."""
     n = p.docs.count()
-    flat = auth_role_sets(p)
-    covered = part.route.join(part.part_doc, "part").select("rs", "doc_id").distinct()
     checks = {
-        "uncovered": flat.join(covered, ["rs", "doc_id"], "left_anti").agg(F.count("*").alias("violations")),
+        "uncovered": uncovered(p, part),
         "over_budget": part.part_doc.agg(F.when(F.count("*") > alpha * n, 1).otherwise(0).cast("long").alias("violations")),
         "empty_partition": part.route.select("part").distinct().join(part.part_doc, "part", "left_anti").agg(F.count("*").alias("violations")),
     }

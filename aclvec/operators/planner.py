@@ -1,71 +1,135 @@
 """The split planner: whole roles leave the largest partition, best gain per unit of storage first.
 
-Documents are compressed to access classes by Spark; the search runs on the
-class matrix in numpy. A class lies in a partition if one of the partition's
-roles sees it, so storage and selectivity after a move follow from counts per
-class and no union of document sets is ever built. What the driver holds is
-classes x roles, whose size is checked; beyond the bound documents are sampled
-by a hash (`doc_sample`), which keeps ratios and the ranking of moves.
+Documents are compressed to access classes by Spark. A class lies in a partition
+if one of the partition's roles sees it, so storage and selectivity after a move
+are sums over classes, and no union of document sets is ever built. Up to
+`MAX_ENTRIES` cells of classes x roles the driver holds the classes and sums them
+itself, in pieces; beyond, they stay in Spark, tasks sum the same pieces, and only
+sums reach the driver. Both ways give the same plan. What the driver always holds
+is role sets x roles, whose size is checked.
 """
 
 from __future__ import annotations
 
+from copy import copy
 from dataclasses import dataclass, field
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from aclvec.functions.models import GraphCost, RecallModel
 from aclvec.operators.policy import Policy, access_classes, role_sets
 
-#: Entries (class, role) that the driver takes.
-MAX_ENTRIES = 16_000_000
+#: Cells (class, role) that the driver takes, cells (role set, role) at most, and classes of a piece.
+MAX_ENTRIES, MAX_SETS, PIECE = 16_000_000, 64_000_000, 4_096
+
+
+def move_sums(sees, permitted, n_docs, src, dst, roles):
+    """Sizes (2, role) and permitted documents (2, question, role) of two partitions, given as role masks, after each role moved."""
+    cols = sees[:, roles]
+    held = [(counts > 0).astype(np.float32) for counts in ((sees @ src)[:, None] - cols, (sees @ dst)[:, None] + cols)]
+    return np.stack([n_docs @ h for h in held]), np.stack([permitted.T @ h for h in held])
+
+
+def part_sums(sees, permitted, n_docs, masks):
+    """Sizes (partition) and permitted documents (question, partition) of partitions, given as role masks in columns."""
+    held = (sees @ masks > 0).astype(np.float32)
+    return n_docs @ held, permitted.T @ held
+
+
+def leaf_sums(sees, permitted, n_docs, cuts, leaf):
+    """Of the classes in a leaf of a tree: documents, classes, documents by role, and how many classes a question may see with and without each role."""
+    at = np.zeros(len(sees), int)
+    for node, role, new in cuts:
+        at[(at == node) & (sees[:, role] == 0)] = new
+    mine = at == leaf
+    x, may = sees[mine], (permitted[mine] > 0).astype(np.float32)
+    return np.array([n_docs[mine].sum()]), np.array([float(mine.sum())]), n_docs[mine] @ x, may.T @ x, may.T @ (1 - x)
 
 
 @dataclass
 class PlannerInput:
-    """Class and role-set matrices. roles: ids of the columns; sees: class x role; sets: role set x role."""
+    """Class and role-set matrices. roles: ids of the columns; sees: class x role; sets: role set x role.
+
+    Beyond the bound `classes` (role_set, n_docs) stands for sees and n_docs, which are None.
+    """
 
     roles: np.ndarray
-    sees: np.ndarray
-    n_docs: np.ndarray
+    sees: np.ndarray | None
+    n_docs: np.ndarray | None
     sets: np.ndarray
     weight: np.ndarray
     total_docs: float
+    classes: DataFrame | None = None
+    seen_docs: float | None = None
 
     @property
     def orphans(self) -> float:
         """Documents that no role sees."""
-        return self.total_docs - float(self.n_docs.sum())
+        return self.total_docs - float(self.n_docs.sum() if self.seen_docs is None else self.seen_docs)
 
     @classmethod
-    def collect(cls, p: Policy, weights: DataFrame | None = None, max_entries: int = MAX_ENTRIES) -> PlannerInput:
+    def collect(cls, p: Policy, weights: DataFrame | None = None, max_entries: int | None = None) -> PlannerInput:
         """From a policy. `weights`: rs, weight to use in place of the number of users."""
-        n, scale = p.docs.count(), 1.0
-        classes = access_classes(p)
-        size = classes.agg(F.sum(F.size("role_set"))).first()[0] or 0
-        if size > max_entries:
-            share = max_entries / size / 2
-            kept = p.pa.filter(F.pmod(F.xxhash64(F.lit(71), "doc_id"), F.lit(1 << 30)) < int(share * (1 << 30)))
-            classes, scale = access_classes(p.but(pa=kept)), 1 / share
-            if (size := classes.agg(F.sum(F.size("role_set"))).first()[0] or 0) > max_entries:
-                raise ValueError(f"{size} entries of classes and roles; the bound is {max_entries}")
-        found = sorted((list(r.role_set), r.n_docs) for r in classes.select("role_set", "n_docs").collect())
-        sets = role_sets(p)
+        n, classes, sets = p.docs.count(), access_classes(p).select("role_set", "n_docs"), role_sets(p)
         if weights is not None:
             sets = sets.join(weights, "rs", "left").withColumn("n_users", F.coalesce("weight", F.lit(0.0)))
+        roles = np.array(sorted(r.role_id for r in p.roles.collect()))  # one row a role
+        if (cells := sets.count() * len(roles)) > MAX_SETS:
+            raise ValueError(f"{cells} cells of role sets and roles; the bound is {MAX_SETS}")
         users = sorted((list(r.role_set), float(r.n_users)) for r in sets.select("role_set", "n_users").collect())
-        roles = np.array(sorted({x for s, _ in found for x in s} | {x for s, _ in users for x in s}))
-        at = {r: i for i, r in enumerate(roles.tolist())}
+        own = matrix(roles, [x for x, _ in users])
+        weight, (n_classes, seen) = np.array([w for _, w in users]), classes.agg(F.count("*"), F.sum("n_docs")).first()
+        if n_classes * len(roles) > (MAX_ENTRIES if max_entries is None else max_entries):
+            return cls(roles, None, None, own, weight, float(n), classes.checkpoint() if p.docs.sparkSession.sparkContext.getCheckpointDir() else classes.persist(), float(seen))
+        found = sorted((list(r.role_set), r.n_docs) for r in classes.collect())
+        return cls(roles, matrix(roles, [x for x, _ in found]), np.array([c for _, c in found], float), own, weight, float(n))
+
+    def summed(self, asks: np.ndarray, work, *args) -> list[np.ndarray]:
+        """The sums over all classes of what `work` returns for a piece of them; asks: the questions' roles."""
+        if self.classes is None:
+            total = None
+            for i in range(0, max(1, len(self.n_docs)), PIECE):
+                got = piece_sums(self.sees[i : i + PIECE], self.n_docs[i : i + PIECE], asks, work, args)
+                total = got if total is None else [x + y for x, y in zip(total, got, strict=True)]
+            return total
+        roles, shapes = self.roles, [x.shape for x in piece_sums(np.zeros((0, len(self.roles)), np.float32), np.zeros(0), asks, work, args)]
+        sent = self.classes.sparkSession.sparkContext.broadcast((asks, args))
+
+        def run(batches):
+            asks, args = sent.value
+            total = None
+            for b in batches:
+                for i in range(0, b.num_rows, PIECE):
+                    part = b.slice(i, PIECE)
+                    n_docs = part.column(1).to_numpy(zero_copy_only=False).astype(float)
+                    got = piece_sums(matrix(roles, part.column(0).to_pylist()), n_docs, asks, work, args)
+                    total = got if total is None else [x + y for x, y in zip(total, got, strict=True)]
+            if total is not None:
+                flat = np.concatenate([x.ravel() for x in total])
+                cells = np.flatnonzero(flat)
+                yield pa.RecordBatch.from_arrays([pa.array(cells, pa.int64()), pa.array(flat[cells], pa.float64())], names=["cell", "value"])
+
+        rows = self.classes.mapInArrow(run, "cell long, value double").groupBy("cell").agg(F.sum("value").alias("value")).toPandas()
+        flat = np.zeros(sum(int(np.prod(x)) for x in shapes))
+        flat[rows["cell"].to_numpy(np.int64)] = rows["value"].to_numpy()
+        ends = np.cumsum([int(np.prod(x)) for x in shapes])
+        return [flat[e - int(np.prod(x)) : e].reshape(x) for x, e in zip(shapes, ends, strict=True)]
+
+
+def matrix(roles: np.ndarray, sets: list[list[int]]) -> np.ndarray:
+    """A row of zeros and ones for each set of role ids."""
+    out = np.zeros((len(sets), len(roles)), np.float32)
+    sizes = list(map(len, sets))
+    out[np.repeat(np.arange(len(sets)), sizes), np.searchsorted(roles, [x for one in sets for x in one])] = 1
+    return out
 
-        def matrix(rows):
-            m = np.zeros((len(rows), len(roles)), np.float32)
-            for i, (s, _) in enumerate(rows):
-                m[i, [at[x] for x in s]] = 1
-            return m
 
-        return cls(roles, matrix(found), np.array([c * scale for _, c in found], float), matrix(users), np.array([w for _, w in users]), float(n))
+def piece_sums(sees, n_docs, asks, work, args) -> list[np.ndarray]:
+    permitted = (sees @ asks.T > 0) * n_docs[:, None].astype(np.float32)
+    return [np.asarray(x, float) for x in work(sees, permitted.astype(np.float32), n_docs, *args)]
 
 
 @dataclass
@@ -97,22 +161,23 @@ class Plan:
 
 
 class State:
-    """A partitioning of roles and its model costs."""
+    """A partitioning of roles and its model costs. `orphans`: whether the first partition keeps documents that no role sees."""
 
-    def __init__(self, data: PlannerInput, cost=GraphCost(), recall=RecallModel(), target: float = 0.95, k: float = 10.0, objective: str = "user", per_partition_ef: bool = False):
-        self.data, self.cost, self.model, self.target, self.k, self.objective = data, cost, recall, target, k, objective
-        self.per_partition_ef = per_partition_ef
+    def __init__(self, data: PlannerInput, cost=GraphCost(), recall=RecallModel(), target: float = 0.95, k: float = 10.0, per_partition_ef: bool = False, orphans: str = "drop"):
+        self.data, self.cost, self.model, self.target, self.k = data, cost, recall, target, k
+        self.per_partition_ef, self.orphans = per_partition_ef, data.orphans if orphans == "keep" else 0.0
         n_roles = len(data.roles)
         self.home = np.zeros(n_roles, int)
-        self.counts = [data.sees.sum(axis=1)]  # roles of each partition that see each class
-        # Questions: users' role sets, then each role alone. Their permitted documents by class.
+        # Questions: users' role sets, then each role alone.
         asks = np.concatenate((data.sets, np.eye(n_roles, dtype=np.float32)))
         self.asks, self.n_sets = asks > 0, len(data.sets)
-        self.permitted = ((data.sees @ asks.T) > 0).astype(np.float32) * data.n_docs[:, None].astype(np.float32)
         self.weight = data.weight / max(data.weight.sum(), 1e-12)
-        self.size = [data.total_docs]  # the first partition also holds documents without a role
+        self.size = [data.total_docs]  # one partition also holds documents without a role
         self.visits = [self.asks.any(axis=1)]
-        self.inside = [self.permitted.sum(axis=0)]
+        self.inside = [data.summed(asks, part_sums, np.ones((n_roles, 1), np.float32))[1][:, 0]]
+
+    def sums(self, work, *args) -> list[np.ndarray]:
+        return self.data.summed(self.asks.astype(np.float32), work, *args)
 
     def members(self, part: int) -> np.ndarray:
         return np.flatnonzero(self.home == part)
@@ -135,34 +200,21 @@ class State:
     def now(self) -> tuple[float, float, float, float]:
         return self.summary(self.size, self.visits, self.inside)
 
-    def hypothetical(self, src: int, dst: int, r: int):
-        """Counts, sizes, visits and permitted documents of both partitions after role r moved."""
-        col = self.data.sees[:, r]
-        src_counts, dst_counts = self.counts[src] - col, (self.counts[dst] if dst < len(self.counts) else 0) + col
-        out = []
-        roles_src, roles_dst = self.home == src, self.home == dst
-        roles_src = roles_src & (np.arange(len(self.home)) != r)
-        roles_dst = roles_dst | (np.arange(len(self.home)) == r)
-        for counts, roles in ((src_counts, roles_src), (dst_counts, roles_dst)):
-            held = counts > 0
-            out.append((counts, float(self.data.n_docs[held].sum()), (self.asks & roles).any(axis=1), held @ self.permitted))
-        return out
+    def after(self, src: int, dst: int, roles: np.ndarray):
+        """Sizes, visits and permitted documents of src and dst, each after one of the roles moved; arrays end with the role."""
+        here, there = self.home == src, self.home == dst
+        sizes, inside = self.sums(move_sums, here.astype(np.float32), there.astype(np.float32), roles)
+        mine = self.asks[:, roles].astype(int)
+        visits = self.asks[:, here].sum(axis=1)[:, None] - mine > 0, self.asks[:, there].sum(axis=1)[:, None] + mine > 0
+        return [(z + self.orphans * (part == 0), v, x) for z, v, x, part in zip(sizes, visits, inside, (src, dst), strict=True)]
 
     def candidates(self, src: int, dst: int) -> list[dict]:
         """Every role of src with its storage delta and gains, if it moved to dst: all of them in a few matrix products."""
         c_r, c_u, _, _ = self.now()
         roles, data = self.members(src), self.data
         old = self.size[src] + (self.size[dst] if dst < len(self.size) else 0)
-        cols, asks = data.sees[:, roles], self.asks[:, roles]
-        asked_src = self.asks[:, self.home == src].sum(axis=1)
-        asked_dst = self.asks[:, self.home == dst].sum(axis=1)
-        base_dst = self.counts[dst] if dst < len(self.counts) else np.zeros(len(data.n_docs), np.float32)
         # (question, candidate) for both partitions after the move.
-        after = []
-        for counts, visit in ((self.counts[src][:, None] - cols, asked_src[:, None] - asks > 0), (base_dst[:, None] + cols, asked_dst[:, None] + asks > 0)):
-            held = (counts > 0).astype(np.float32)
-            size = data.n_docs @ held
-            after.append((size, visit, np.where(visit, self.permitted.T @ held / np.maximum(size, 1)[None], 0)))
+        after = [(size, visit, np.where(visit, inside / np.maximum(size, 1)[None], 0)) for size, visit, inside in self.after(src, dst, roles)]
         rest = [p for p in range(len(self.size)) if p not in (src, dst)]
         sizes = np.array([self.size[p] for p in rest])
         visits = np.array([self.visits[p] for p in rest]).reshape(len(rest), len(self.asks))
@@ -185,21 +237,38 @@ class State:
         ]
 
     def move(self, src: int, dst: int, r: int) -> None:
-        a, b = self.hypothetical(src, dst, r)
+        moved = self.after(src, dst, np.array([r]))
         if dst == len(self.size):
-            for x in (self.counts, self.size, self.visits, self.inside):
+            for x in (self.size, self.visits, self.inside):
                 x.append(None)
         self.home[r] = dst
-        for part, (counts, size, visit, perm) in ((src, a), (dst, b)):
-            self.counts[part], self.size[part], self.visits[part], self.inside[part] = counts, size, visit, perm
+        for part, (size, visit, inside) in zip((src, dst), moved, strict=True):
+            self.size[part], self.visits[part], self.inside[part] = float(size[0]), visit[:, 0], inside[:, 0]
+
+    def routed(self, route: DataFrame, names: list[str] | None = None) -> State:
+        """The same partitions searched along `route` (rs, part), as a cover, in place of all homes. `names`: of the partitions, else their numbers."""
+        names = names or [str(i) for i in range(len(self.size))]
+        keys = {",".join(str(x) for x in self.data.roles[s > 0].tolist()): i for i, s in enumerate(self.data.sets)}
+        out = copy(self)
+        out.visits = [v.copy() for v in self.visits]
+        for v in out.visits:
+            v[: self.n_sets] = False
+        for r in route.select("rs", "part").collect():  # role sets x partitions
+            out.visits[names.index(r.part)][keys[r.rs]] = True
+        return out
 
     def plan(self, trace: list[dict]) -> Plan:
         return Plan(self.data.roles.tolist(), self.home.tolist(), [float(s) for s in self.size], self.data.total_docs, list(trace))
 
 
-def rank_key(c: dict, score_mode: str = "gain", eps: float = 1e-6) -> tuple:
+def gain_of(c: dict, objective: str) -> float:
+    """What a move is worth: to users, to single roles, or to both."""
+    return {"both": c["gain_r"] + c["gain_u"], "user": c["gain_u"], "role": c["gain_r"]}[objective]
+
+
+def rank_key(c: dict, score_mode: str = "gain", eps: float = 1e-6, objective: str = "both") -> tuple:
     """Moves that need no storage come first, then gain per storage; ties go to the smaller role."""
-    gain = c["gain_r"] + c["gain_u"]
+    gain = gain_of(c, objective)
     if score_mode == "eps_ratio":
         return (0, gain / (max(c["d_storage"], 0.0) + eps), -c["role_id"])
     return (1, gain, -c["role_id"]) if c["d_storage"] <= 0 else (0, gain / c["d_storage"], -c["role_id"])
@@ -211,9 +280,9 @@ def largest_splittable(state: State, skip: set[int] = frozenset()) -> int | None
     return max(many, key=lambda p: (state.size[p], -p), default=None)
 
 
-def plan_splits(data: PlannerInput, alpha: float = 1.4, cost=GraphCost(), recall=RecallModel(), target: float = 0.95, k: float = 10.0, eta: float = 0.02, budget_mode: str = "overshoot", tol: float = 0.06, score_mode: str = "gain", per_partition_ef: bool = False, max_moves: int | None = None) -> Plan:
-    """The greedy search. `budget_mode`: 'overshoot' checks the budget before a move and undoes a last one beyond alpha * (1 + tol); 'strict' takes only moves within it."""
-    state = State(data, cost, recall, target, k, per_partition_ef=per_partition_ef)
+def plan_splits(data: PlannerInput, alpha: float = 1.4, cost=GraphCost(), recall=RecallModel(), target: float = 0.95, k: float = 10.0, eta: float = 0.02, budget_mode: str = "overshoot", tol: float = 0.06, score_mode: str = "gain", per_partition_ef: bool = False, max_moves: int | None = None, objective: str = "both", orphans: str = "drop") -> Plan:
+    """The greedy search. `objective`: whose mean cost ranks the moves ('user', 'role' or 'both'). `orphans`: 'keep' leaves documents without a role in the first partition. `budget_mode`: 'overshoot' checks the budget before a move and undoes a last one beyond alpha * (1 + tol); 'strict' takes only moves within it."""
+    state = State(data, cost, recall, target, k, per_partition_ef=per_partition_ef, orphans=orphans)
     budget, trace, exhausted = alpha * data.total_docs, [], set()
     full = lambda: sum(state.size) > budget + 1e-9
     while not full() and (max_moves is None or len(trace) < max_moves):
@@ -225,12 +294,13 @@ def plan_splits(data: PlannerInput, alpha: float = 1.4, cost=GraphCost(), recall
             if (state.home == src).sum() < 2:
                 break
             c_u = state.now()[1]
-            good = [c for c in state.candidates(src, dst) if c["gain_r"] > 1e-12 and -c["gain_u"] < eta * c_u]
+            useful = lambda c: c["gain_r"] > 1e-12 if objective == "both" else gain_of(c, objective) > 1e-12
+            good = [c for c in state.candidates(src, dst) if useful(c) and (objective == "role" or -c["gain_u"] < eta * c_u)]
             if budget_mode == "strict":
                 good = [c for c in good if sum(state.size) + c["d_storage"] <= budget + 1e-9]
             if not good:
                 break
-            best = max(good, key=lambda c: rank_key(c, score_mode))
+            best = max(good, key=lambda c: rank_key(c, score_mode, objective=objective))
             if sum(state.size) + best["d_storage"] > budget * (1 + tol) + 1e-9:
                 return state.plan(trace)  # the last move would overshoot too far
             state.move(src, dst, best["r"])
@@ -250,15 +320,11 @@ def state_of(data: PlannerInput, homes: dict[int, int], **how) -> State:
     ids = sorted(set(homes.values()))
     at = {p: i for i, p in enumerate(ids)}
     state.home = np.array([at[homes[r]] for r in data.roles.tolist()])
-    state.counts, state.size, state.visits, state.inside = [], [], [], []
-    for i in range(len(ids)):
-        roles = state.home == i
-        counts = data.sees[:, roles].sum(axis=1)
-        held = counts > 0
-        state.counts.append(counts)
-        state.size.append(float(data.n_docs[held].sum()))
-        state.visits.append((state.asks & roles).any(axis=1))
-        state.inside.append(held @ state.permitted)
+    masks = np.stack([state.home == i for i in range(len(ids))], axis=1)
+    sizes, inside = state.sums(part_sums, masks.astype(np.float32))
+    state.size = [float(x) + state.orphans * (i == 0) for i, x in enumerate(sizes)]
+    state.visits = [(state.asks & m).any(axis=1) for m in masks.T]
+    state.inside = list(inside.T)
     return state
 
 
@@ -272,14 +338,9 @@ def plan_spectrum(data: PlannerInput, alphas: list[float], tol: float = 0.06, **
             if memory > alpha + 1e-12 or t["memory"] > alpha * (1 + tol) + 1e-12:
                 break
             n, memory = n + 1, t["memory"]
-        homes, sizes_state = {int(r): 0 for r in data.roles}, None
-        for t in whole.trace[:n]:
-            homes[t["role_id"]] = t["dst"]
-        if n:
-            sizes_state = state_of(data, homes)
-            out[alpha] = sizes_state.plan(whole.trace[:n])
-        else:
-            out[alpha] = State(data).plan([])
+        homes = {int(r): 0 for r in data.roles} | {t["role_id"]: t["dst"] for t in whole.trace[:n]}
+        own = {x: how[x] for x in ("cost", "recall", "target", "k", "per_partition_ef", "orphans") if x in how}
+        out[alpha] = (state_of(data, homes, **own) if n else State(data, **own)).plan(whole.trace[:n])
     return out
 
 

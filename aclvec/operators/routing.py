@@ -8,8 +8,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from aclvec.operators.partitioning import Partitioning
-from aclvec.operators.policy import Policy, auth_role_sets, doc_classes, role_sets, user_role_sets
+from aclvec.operators.partitioning import Partitioning, role_homes, uncovered
+from aclvec.operators.policy import Policy, doc_classes, role_sets, user_role_sets
 
 
 def partitions_of_role(p: Policy, part: Partitioning) -> DataFrame:
@@ -95,6 +95,12 @@ def routed(part: Partitioning, route: DataFrame) -> Partitioning:
     return Partitioning(part.name, part.part_doc, route.select("rs", "part"))
 
 
+def online(p: Policy, part_role: DataFrame, method: str = "greedy_count", name: str = "split") -> Partitioning:
+    """Partitions of whole roles, searched along the cover of each role set; method `home` searches all its roles' homes."""
+    part = role_homes(p, part_role, name)
+    return part if method == "home" else routed(part, cover(p, part, method))
+
+
 def first_pick(p: Policy, part: Partitioning) -> DataFrame:
     """rs, part: the first choice of the greedy cover, as plain aggregation."""
     held = cover_items(p, part).groupBy("rs", "part", "size").agg(F.sum("n_docs").alias("new"))
@@ -114,5 +120,4 @@ def routing_bytes(table: DataFrame) -> DataFrame:
 
 def cover_violations(p: Policy, part: Partitioning) -> DataFrame:
     """One row: permitted documents of role sets that lie in none of the routed partitions."""
-    reach = part.route.join(part.part_doc, "part").select("rs", "doc_id").distinct()
-    return auth_role_sets(p).join(reach, ["rs", "doc_id"], "left_anti").agg(F.count("*").alias("violations"))
+    return uncovered(p, part)

@@ -11,7 +11,7 @@ from aclvec.operators import generators as g
 from aclvec.operators import planner as pl
 from aclvec.operators import routing as ro
 from aclvec.operators.partitioning import role_homes, split_tree
-from aclvec.operators.policy import access_classes, auth_role_sets
+from aclvec.operators.policy import auth_role_sets
 from aclvec.plans.catalog_policy import POLICY
 
 HOW = {"cost": GraphCost(1.0, 0.0), "recall": RecallModel(4.0, 0.5), "target": 0.95, "k": 2.0}
@@ -125,18 +125,52 @@ def test_bound_is_checked(spark):
         pl.plan_exact(pl.PlannerInput.collect(p), 1.0, max_roles=3)
 
 
-def test_disjoint_tree_places_all_documents_beyond_the_bound(spark, sf):
-    """Cuts chosen on a sample of the classes still place every document once, where all who may see it search."""
+def test_classes_that_stay_in_spark_give_the_same_plans(spark, sf):
+    """Forced beyond the driver's bound, sums come from tasks: plans, costs and trees are those of classes on the driver."""
     p = POLICY["uni_a"](spark, sf)
-    whole, few = split_tree(p), split_tree(p, max_entries=200)
-    classes = {r.cls: r.n_docs for r in access_classes(p).collect()}
-    assert len(pl.PlannerInput.collect(p, max_entries=200).n_docs) < len(classes)
-    for tree in (whole, few):
+    near, far = pl.PlannerInput.collect(p), pl.PlannerInput.collect(p, max_entries=0)
+    assert far.sees is None and far.orphans == near.orphans
+    a, b = (pl.plan_splits(x, 1.3, max_moves=3) for x in (near, far))
+    assert a.home == b.home and a.sizes == b.sizes and len(a.trace) == 3
+    homes = dict(zip(a.roles, a.home, strict=True))
+    assert pl.state_of(near, homes).now() == pytest.approx(pl.state_of(far, homes).now())
+    whole, apart = split_tree(p), split_tree(p, max_entries=0)
+    for tree in (whole, apart):
         placed = [r.doc_id for r in tree.part_doc.collect()]
         assert len(placed) == len(set(placed)) and set(placed) == {r.doc_id for r in p.pa.select("doc_id").distinct().collect()}
         assert ro.cover_violations(p, tree).first()[0] == 0
         assert {tuple(r) for r in tree.route.collect()} == {tuple(r) for r in auth_role_sets(p).join(tree.part_doc, "doc_id").select("rs", "part").distinct().collect()}
-    assert few.part_doc.select("part").distinct().count() > 1
+    assert {tuple(r) for r in whole.part_doc.collect()} == {tuple(r) for r in apart.part_doc.collect()}
+
+
+def test_pieces_change_nothing(monkeypatch):
+    data = random_input(np.random.default_rng(8), 7, 60)
+    homes = {r: r % 3 for r in range(7)}
+    one, plan = pl.state_of(data, homes), pl.plan_splits(data, 1.6)
+    monkeypatch.setattr(pl, "PIECE", 7)
+    assert pl.state_of(data, homes).now() == pytest.approx(one.now()) and pl.plan_splits(data, 1.6).home == plan.home
+
+
+def test_objectives_and_orphans(h1):
+    for objective, best in (("user", 1), ("role", 0)):
+        found = pl.plan_splits(h1, 1.4, objective=objective, **HOW)
+        worth = [t["gain_u" if best else "gain_r"] for t in found.trace]
+        assert worth and min(worth) > 0
+    kept = pl.plan_splits(h1, 1.6, orphans="keep", **HOW)
+    assert h1.orphans == 1 and kept.sizes[0] == 1 + float(h1.n_docs[(h1.sees[:, np.array(kept.home) == 0] > 0).any(axis=1)].sum())
+
+
+def test_cover_costs_no_more_than_homes(spark, sf):
+    p = POLICY["n1"](spark, sf)
+    data = pl.PlannerInput.collect(p)
+    plan = pl.plan_splits(data, 1.4)
+    state = pl.state_of(data, dict(zip(plan.roles, plan.home, strict=True)))
+    part = ro.online(p, plan.part_role(spark))
+    assert ro.cover_violations(p, part).first()[0] == 0
+    covered = state.routed(part.route)
+    assert np.array(covered.visits).sum() <= np.array(state.visits).sum()
+    homes = state.routed(ro.online(p, plan.part_role(spark), "home").route)
+    assert homes.now() == pytest.approx(state.now())
 
 
 def test_exact_cover_of_many_partitions():
