@@ -90,7 +90,7 @@ def recall_at_k(result: DataFrame, truth: DataFrame) -> DataFrame:
 
 
 def convexity(curve: DataFrame) -> DataFrame:
-    """policy, mean second divided difference of cost along memory: larger means that memory pays off sooner."""
+    """policy, mean second divided difference of cost along memory: larger means that memory pays off sooner; null with fewer than three points."""
     w = Window.partitionBy("policy").orderBy("memory")
     slope = (F.lead("cost").over(w) - F.col("cost")) / (F.lead("memory").over(w) - F.col("memory"))
     rows = curve.withColumn("slope", slope).withColumn("span", F.lead("memory").over(w) - F.lag("memory").over(w))

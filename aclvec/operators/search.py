@@ -76,12 +76,23 @@ def candidates(queries: DataFrame, vectors: DataFrame, p: Policy, part: Partitio
 def scan_candidates(copies: DataFrame, asked: DataFrame, ef: int | None) -> DataFrame:
     """The same as `candidates` for rows (part, doc_id, embedding) and routed queries, by matrix products in Arrow batches.
 
-    The routed queries of a batch go to every task; each task keeps the ef
+    The routed queries of a block go to every task; each task keeps the ef
     nearest of its rows, so vectors are never shuffled, only ef rows a task,
-    query and partition.
+    query and partition. Beyond `MAX_BROADCAST_QUERIES` queries are asked block by block.
     """
-    if asked.limit(MAX_BROADCAST_QUERIES + 1).count() > MAX_BROADCAST_QUERIES:
-        raise ValueError(f"more than {MAX_BROADCAST_QUERIES} routed queries in a batch")
+    n_blocks = -(-asked.count() // MAX_BROADCAST_QUERIES)
+    if n_blocks > 1:
+        found, n_blocks = None, 2 * n_blocks  # room for uneven blocks
+        for i in range(n_blocks):
+            one = _scan(copies, asked.filter(F.pmod(F.xxhash64(F.lit(43), "query_id"), F.lit(n_blocks)) == i), ef)
+            found = one if found is None else found.unionByName(one)
+    else:
+        found = _scan(copies, asked, ef)
+    return found if ef is None else ranked(found, ef, ("query_id", "part")).drop("rank")
+
+
+def _scan(copies: DataFrame, asked: DataFrame, ef: int | None) -> DataFrame:
+    """The ef nearest rows that each task finds, for one block of queries."""
     by_part: dict[str, list] = {}
     for r in asked.select("query_id", "rs", "part", "qvec").collect():
         by_part.setdefault(r.part, []).append((r.query_id, r.rs, r.qvec))
@@ -104,8 +115,12 @@ def scan_candidates(copies: DataFrame, asked: DataFrame, ef: int | None) -> Data
                 ids, sets, q = sent.value[k]
                 d = (x[rows] ** 2).sum(axis=1)[None] - 2 * q @ x[rows].T + (q**2).sum(axis=1)[:, None]
                 d = np.maximum(d, 0.0)
+                d6 = np.round(d, 6)
+                few = ef is not None and ef < len(rows)
+                limit = np.partition(d6, ef - 1, axis=1)[:, ef - 1] if few else None
                 for i, rs in enumerate(sets):
-                    best = np.lexsort((docs[rows], np.round(d[i], 6)))[: ef or len(rows)]
+                    near = np.flatnonzero(d6[i] <= limit[i]) if few else np.arange(len(rows))
+                    best = near[np.lexsort((docs[rows[near]], d6[i][near]))][: ef or len(rows)]
                     out.append((np.repeat(ids[i], len(best)), [rs] * len(best), docs[rows[best]], d[i, best], k))
             if out:
                 yield pa.RecordBatch.from_arrays([
@@ -114,8 +129,7 @@ def scan_candidates(copies: DataFrame, asked: DataFrame, ef: int | None) -> Data
                 ], schema=schema)
 
     wanted = copies.filter(F.col("part").isin(*packed)) if packed else copies.limit(0)
-    found = wanted.select("part", "doc_id", "embedding").mapInArrow(run, "query_id bigint, rs string, part string, doc_id bigint, dist double")
-    return found if ef is None else ranked(found, ef, ("query_id", "part")).drop("rank")
+    return wanted.select("part", "doc_id", "embedding").mapInArrow(run, "query_id bigint, rs string, part string, doc_id bigint, dist double")
 
 
 def search_stored(copies: DataFrame, queries: DataFrame, p: Policy, part: Partitioning, ef: int | None = None, k: int = 10) -> DataFrame:

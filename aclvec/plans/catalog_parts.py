@@ -16,7 +16,7 @@ from aclvec.operators import routing as ro
 from aclvec.plans.catalog_policy import POLICY
 from aclvec.plans.policies_sql import MEASURED, PARTS, POLICIES, SETS, with_
 from aclvec.plans.registry import big, query, r6, violations, zeros
-from aclvec.sources.tables import read
+from aclvec.sources.tables import read, scratch
 
 STRATEGY = {"rls": pt.single_partition, "role_part": pt.role_partition, "user_part": pt.user_partition}
 
@@ -182,22 +182,39 @@ def plan_spectrum(spark, sf_dir):
     return violations(spark, {"not_a_prefix": prefix, "cost_not_falling": sum(y > x * 1.02 for x, y in zip(costs, costs[1:], strict=False)), "partitions_not_rising": sum(y < x for x, y in zip(n, n[1:], strict=False))})
 
 
-@query("plan_trace_checks", zeros("memory_falls_only_with_free_moves", "ef_positive", "partition_grows_by_moves"))
+@query("plan_trace_checks", zeros("no_moves", "storage_differs", "memory_differs", "gain_differs", "a_better_move"))
 def plan_trace_checks(spark, sf_dir):
-    _, found = plan(spark, sf_dir, "n1", 2.0)
-    falls = sum(t["d_storage"] < 0 and not b["memory"] >= t["memory"] for b, t in zip(found.trace, found.trace[1:], strict=False))
-    return violations(spark, {"memory_falls_only_with_free_moves": falls, "ef_positive": sum(t["ef"] <= 0 for t in found.trace), "partition_grows_by_moves": len(found.trace) >= found.n_partitions - 1})
-
-
-@query("plan_weighted", zeros("role_lost"))
+    """Every step of a trace against the state before it, built anew: storage and gain of the move taken, and that no other useful move ranks higher."""
+    data, found = plan(spark, sf_dir, "n1", 1.6)
+    homes, bad = dict.fromkeys(data.roles.tolist(), 0), {"storage_differs": 0, "memory_differs": 0, "gain_differs": 0, "a_better_move": 0}
+    for t in found.trace:
+        before = pl.state_of(data, homes) if len(set(homes.values())) > 1 else pl.State(data)
+        c_r, c_u, _, _ = before.now()
+        others = [c for c in before.candidates(t["src"], t["dst"]) if c["gain_r"] > 1e-12 and -c["gain_u"] < 0.02 * c_u]
+        bad["a_better_move"] += max(others, key=pl.rank_key)["role_id"] != t["role_id"]
+        homes[t["role_id"]] = t["dst"]
+        after = pl.state_of(data, homes)
+        n_r, n_u, _, _ = after.now()
+        bad["storage_differs"] += abs(sum(after.size) - sum(before.size) - t["d_storage"]) > 1e-6
+        bad["memory_differs"] += abs(sum(after.size) / data.total_docs - t["memory"]) > 1e-6
+        bad["gain_differs"] += abs(c_r - n_r - t["gain_r"]) + abs(c_u - n_u - t["gain_u"]) > 1e-3
+    return violations(spark, {"no_moves": len(found.trace) > 0, **bad})
+
+
+@query("plan_weighted", zeros("cost_differs", "worse_than_unweighted", "role_mean_worse"))
 def plan_weighted(spark, sf_dir):
-    """The objective weighted by each user's events."""
+    """Plans for users weighted by their events and for the mean over roles, costed by Spark, against plans made without regard to that."""
     p = n1(spark, sf_dir)
-    events = read(spark, sf_dir, "events").groupBy("user_id").agg(F.count("*").alias("c"))
-    weights = pol.user_role_sets(p).join(events, "user_id").groupBy("rs").agg(F.sum("c").cast("double").alias("weight"))
-    data = pl.PlannerInput.collect(p, weights)
-    found = pl.plan_splits(data, 1.4)
-    return violations(spark, {"role_lost": len(data.roles) - len(found.home)})
+    events = read(spark, sf_dir, "events").groupBy("user_id").agg(F.count("*").cast("double").alias("weight"))
+    weights = pol.user_role_sets(p).join(events, "user_id").groupBy("rs").agg(F.sum("weight").alias("weight"))
+    data, plain = pl.PlannerInput.collect(p, weights), pl.PlannerInput.collect(p)
+    homes = lambda x: dict(zip(x.roles, x.home, strict=True))
+    found, other = pl.plan_splits(data, 1.4, objective="user"), pl.plan_splits(plain, 1.4, objective="role")
+    state = pl.state_of(data, homes(found))
+    # The weighted mean of users' costs by joins, at the state's depth.
+    told = me.objective(p, pt.role_homes(p, found.part_role(spark)), GraphCost(), state.now()[3], events).first()[0]
+    by_user, by_role = pl.state_of(data, homes(other)).now()[1], pl.state_of(data, homes(found)).now()[0]
+    return violations(spark, {"cost_differs": abs(told / state.now()[1] - 1) < 1e-6, "worse_than_unweighted": state.now()[1] <= by_user * 1.02, "role_mean_worse": pl.state_of(data, homes(other)).now()[0] <= by_role * 1.02})
 
 
 EXACT = """, grp AS (SELECT * FROM (VALUES (0,0,0,0),(0,0,0,1),(0,0,1,0),(0,0,1,1),(0,0,1,2),(0,1,0,0),(0,1,0,1),(0,1,0,2),(0,1,1,0),(0,1,1,1),(0,1,1,2),(0,1,2,0),(0,1,2,1),(0,1,2,2),(0,1,2,3)) t(a, b, c, e)),
@@ -239,10 +256,8 @@ def split_role_penalty(spark, sf_dir):
 
 @query("part_doc_physical", sql("mod4") + "SELECT part, count(*) AS n_docs, round(sum(embedding[1]::DOUBLE), 6) AS first_sum FROM part_doc JOIN embeddings ON vec_id = doc_id GROUP BY part")
 def part_doc_physical(spark, sf_dir):
-    import tempfile
-
     p = n1(spark, sf_dir)
-    path = tempfile.mkdtemp(prefix="aclvec-parts-") if not spark.sparkContext.getCheckpointDir() else f"{spark.sparkContext.getCheckpointDir()}/parts-{spark.sparkContext.startTime}-{id(p)}"
+    path = scratch(spark)
     v = read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("doc_id"), "embedding")
     pt.materialise(parts(p, "mod4"), v, path)
     return spark.read.parquet(path).groupBy(F.col("part").cast("string").alias("part")).agg(F.count("*").alias("n_docs"), r6(F.sum(F.col("embedding")[0].cast("double"))).alias("first_sum"))
@@ -462,14 +477,51 @@ def budget_violation(spark, sf_dir):
     return violations(spark, {"over_six_percent": over})
 
 
+CURVE = [("a", 1.0, 10.0), ("a", 1.5, 6.0), ("a", 2.5, 3.0), ("a", 4.0, 2.0), ("b", 1.0, 9.0), ("b", 2.0, 8.0), ("b", 3.5, 6.5)]
+
+
+@query("convexity", """SELECT policy, round(avg(second), 6) AS bend FROM (SELECT policy, (slope - lag(slope) OVER w) / (lead(memory) OVER w - lag(memory) OVER w) AS second
+FROM (SELECT *, (lead(cost) OVER (PARTITION BY policy ORDER BY memory) - cost) / (lead(memory) OVER (PARTITION BY policy ORDER BY memory) - memory) AS slope FROM (VALUES """ + ", ".join(f"('{p}', {m}::DOUBLE, {c}::DOUBLE)" for p, m, c in CURVE) + """) t(policy, memory, cost))
+WINDOW w AS (PARTITION BY policy ORDER BY memory)) GROUP BY policy""")
+def convexity(spark, sf_dir):
+    """Bends of two curves whose points are not evenly spaced, one of them straight."""
+    return me.convexity(spark.createDataFrame(CURVE, "policy string, memory double, cost double")).select("policy", r6("bend").alias("bend"))
+
+
 @query("tradeoff_convexity")
 def tradeoff_convexity(spark, sf_dir):
-    """Mean second difference of model cost along memory, by sharing pattern."""
+    """Mean bend of model cost along the memory that plans take, by sharing pattern."""
     rows = []
     for name in ("tree_a", "tier_s", "uni_s"):
         data = pl.PlannerInput.collect(POLICY[name](spark, sf_dir))
-        base = pl.State(data).now()[1]
-        for alpha, found in pl.plan_spectrum(data, [1.1, 1.4, 1.8, 2.4, 3.2]).items():
+        base, seen = pl.State(data).now()[1], set()
+        for found in pl.plan_spectrum(data, [1.1, 1.4, 1.8, 2.4, 3.2]).values():
             cost = pl.state_of(data, dict(zip(found.roles, found.home, strict=True))).now()[1] if found.n_partitions > 1 else base
-            rows.append((name, alpha, cost / base))
+            if found.memory not in seen:
+                seen.add(found.memory)
+                rows.append((name, found.memory, cost / base))
     return me.convexity(spark.createDataFrame(rows, "policy string, memory double, cost double")).select("policy", r6("bend").alias("bend"))
+
+
+COVER_STEPS = 4  # partitions of the fixed plan
+_steps = []
+for _i in range(COVER_STEPS):
+    _steps.append(f"""c{_i + 1} AS (SELECT c.rs, CASE WHEN b.part IS NULL THEN got ELSE list_append(got, b.part) END AS got FROM c{_i} c LEFT JOIN (
+  SELECT rs, part FROM (SELECT c.rs, pd.part, count(*) AS new, any_value(s.n_docs) AS size FROM c{_i} c JOIN flat USING (rs) JOIN part_doc pd USING (doc_id) JOIN sizes s ON s.part = pd.part
+    WHERE NOT EXISTS (SELECT 1 FROM part_doc x WHERE x.doc_id = flat.doc_id AND list_contains(c.got, x.part)) GROUP BY c.rs, pd.part)
+  QUALIFY row_number() OVER (PARTITION BY rs ORDER BY new DESC, size, part) = 1) b USING (rs))""")
+COVER = sql("mod4")[:-1] + ", c0 AS (SELECT rs, []::VARCHAR[] AS got FROM sets),\n" + ",\n".join(_steps) + "\n"
+
+
+@query("route_cover_parts", COVER + f"SELECT rs, part, pick::BIGINT AS pick FROM (SELECT rs, unnest(got) AS part, unnest(range(len(got))) AS pick FROM c{COVER_STEPS})")
+def route_cover_parts(spark, sf_dir):
+    """The greedy cover of every role set, partition by partition."""
+    p = n1(spark, sf_dir)
+    return ro.cover(p, parts(p, "mod4")).select("rs", "part", big("pick").alias("pick"))
+
+
+@query("cost_user_cover", COVER + f"SELECT user_id, round(sum(cost), 6) AS cost FROM user_sets JOIN (SELECT rs, unnest(got) AS part FROM c{COVER_STEPS}) USING (rs) JOIN cost USING (part) GROUP BY user_id")
+def cost_user_cover(spark, sf_dir):
+    """Each user's cost over the cover that the search visits."""
+    p = n1(spark, sf_dir)
+    return me.user_cost(p, ro.online(p, mod4(p))).select("user_id", r6("cost").alias("cost"))

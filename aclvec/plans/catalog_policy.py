@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from aclvec.functions.portable import draw, draw_sql, mix, mix_sql
 from aclvec.operators import generators as g
 from aclvec.operators import policy as pol
-from aclvec.plans.policies_sql import POLICIES, SETS, SMALL_TIER, SMALL_TREE, SMALL_UNI, distances, with_
+from aclvec.plans.policies_sql import POLICIES, SETS, SMALL_TIER, SMALL_TREE, SMALL_UNI, drawn, tree, uniform, with_
 from aclvec.plans.registry import big, query, r6
 from aclvec.sources.tables import read
 
@@ -159,7 +159,11 @@ def rls_scan_sql(spark, sf_dir):
     return spark.sql("SELECT doc_id, label FROM secured_embeddings")
 
 
-@query("gen_sel_0p1")
+SELECTIVITY = """(SELECT user_id, coalesce(c, 0) / (SELECT count(*) FROM docs) AS s FROM users LEFT JOIN user_sets USING (user_id)
+LEFT JOIN (SELECT rs, count(*) AS c FROM flat GROUP BY rs) USING (rs))"""
+
+
+@query("gen_sel_0p1", with_(uniform(**SMALL_UNI, m_r=1, factor=4), SETS) + f"SELECT round(avg(s), 6) AS mean_selectivity FROM {SELECTIVITY}")
 def gen_sel_0p1(spark, sf_dir):
     """A policy of mean selectivity near 0.1 for fitting the recall model."""
     p = on_vectors(g.gen_uniform, **SMALL_UNI, m_r=1, m_p_factor=4)(spark, sf_dir)
@@ -172,17 +176,26 @@ for _target in (0.04, 0.06, 0.14, 0.24):
         p = on_vectors(g.gen_tree, **SMALL_TREE, bounds=g.tree_bounds(25, t))(spark, sf_dir)
         return pol.query_selectivity(p).agg(r6(F.avg("selectivity")).alias("mean_selectivity")).withColumn("target", F.lit(t))
 
-    query(f"gen_tree_s_{int(_target * 100)}")(_tree_s)
+    query(f"gen_tree_s_{round(_target * 100)}", with_(tree(**SMALL_TREE, bounds=g.tree_bounds(25, _target)), SETS) + f"SELECT round(avg(s), 6) AS mean_selectivity, {_target}::DOUBLE AS target FROM {SELECTIVITY}")(_tree_s)
+
+
+def queries_n1(spark, sf_dir, k: int = 10) -> DataFrame:
+    """query_id, user_id, k, qvec: all vectors whose id is divisible by 20, each asked by a customer chosen by the hash (customers' keys have no gaps)."""
+    asked = read(spark, sf_dir, "embeddings").filter("vec_id % 20 = 0").select("vec_id", "embedding")
+    keys = read(spark, sf_dir, "customer").agg(F.min("c_custkey").alias("first"), F.count("*").alias("n"))  # one row
+    user = (F.col("first") + draw("vec_id", 13, g.WIDE) % F.col("n")).alias("user_id")
+    return asked.join(F.broadcast(keys)).select(F.col("vec_id").alias("query_id"), user, F.lit(k).alias("k"), F.col("embedding").alias("qvec"))
 
 
-def queries_n1(spark, sf_dir, n: int = 20, k: int = 10) -> DataFrame:
+def workload(spark, sf_dir, n: int = 1000, k: int = 10) -> DataFrame:
+    """The published workload: n stored vectors and n users, both drawn by the hash."""
     v = read(spark, sf_dir, "embeddings").select("vec_id", "embedding")
     return g.gen_queries(v, read(spark, sf_dir, "customer").select(F.col("c_custkey").alias("user_id")), n, k)
 
 
-@query("gen_queries", with_(POLICIES["n1"], distances(20)) + "SELECT query_id, user_id, q_vec_id FROM queries")
+@query("gen_queries", with_(POLICIES["n1"], drawn(1000)) + "SELECT query_id, user_id, q_vec_id FROM drawn")
 def gen_queries(spark, sf_dir):
-    return queries_n1(spark, sf_dir).select("query_id", "user_id", "q_vec_id")
+    return workload(spark, sf_dir).select("query_id", "user_id", "q_vec_id")
 
 
 @query("gen_updates", with_(POLICIES["n1"]) + f"SELECT role_id, count(*) AS n_docs FROM (SELECT (900 + i)::BIGINT AS role_id, doc_id FROM range(3) t(i), (SELECT DISTINCT doc_id FROM pa) WHERE {draw_sql('doc_id * 1009 + 900 + i', 61, 1000)} < 50) GROUP BY role_id")

@@ -35,9 +35,9 @@ def filter_lang_len(spark, sf_dir):
     return pol.secure(d, natural_n3(spark, sf_dir), 8).select("doc_id", size.alias("size"))
 
 
-@query("filter_like", "SELECT p_partkey, p_name FROM part WHERE p_name LIKE '%a%' AND regexp_matches(p_name, '[0-9]')")
+@query("filter_like", "SELECT p_partkey, p_name FROM part WHERE p_name LIKE '%a%' AND regexp_matches(p_name, '^(red|hot|large) .*[e-t]$')")
 def filter_like(spark, sf_dir):
-    return read(spark, sf_dir, "part").filter(F.col("p_name").like("%a%") & F.col("p_name").rlike("[0-9]")).select("p_partkey", "p_name")
+    return read(spark, sf_dir, "part").filter(F.col("p_name").like("%a%") & F.col("p_name").rlike("^(red|hot|large) .*[e-t]$")).select("p_partkey", "p_name")
 
 
 @query("null_safe_eq", "SELECT count(*) FILTER (WHERE quality IS NOT DISTINCT FROM toxic) AS same FROM documents LEFT JOIN labels USING (doc_id)")

@@ -12,6 +12,7 @@ from aclvec.operators import measures as me
 from aclvec.operators import partitioning as pt
 from aclvec.operators import planner as pl
 from aclvec.operators import policy as pol
+from aclvec.operators import routing as ro
 from aclvec.operators import search as se
 from aclvec.operators import updates as up
 from aclvec.plans.catalog_parts import mod4, n1, parts, sql
@@ -20,7 +21,7 @@ from aclvec.plans.policies_sql import MEASURED, PARTS, POLICIES, SETS, TRUTH, di
 from aclvec.plans.registry import big, query, r6, violations, zeros
 from aclvec.sources.tables import read, vectors
 
-DIST = with_(POLICIES["n1"], distances(20))
+DIST = with_(POLICIES["n1"], distances())
 
 
 @query("knn_exact", DIST + "SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY round(d, 6), doc_id) AS rank, doc_id, round(d, 6) AS dist FROM dist QUALIFY rank <= 10")
@@ -55,11 +56,11 @@ def range_search_radius(spark, sf_dir):
     return rows.select("query_id", "doc_id", r6(vec.l2sq("embedding", "qvec")).alias("dist")).filter("dist <= 1.2")
 
 
-ANSWER = with_(POLICIES["n1"], distances(20), TRUTH) + "SELECT query_id, rank, doc_id, dist FROM truth"
+ANSWER = with_(POLICIES["n1"], distances(), TRUTH) + "SELECT query_id, rank, doc_id, dist FROM truth"
 
 
-def truth_n1(spark, sf_dir, n: int = 20, k: int = 10):
-    return se.ground_truth(queries_n1(spark, sf_dir, n, k), vectors(spark, sf_dir), n1(spark, sf_dir))
+def truth_n1(spark, sf_dir, k: int = 10):
+    return se.ground_truth(queries_n1(spark, sf_dir, k), vectors(spark, sf_dir), n1(spark, sf_dir))
 
 
 query("ground_truth_topk", ANSWER)(truth_n1)
@@ -67,8 +68,9 @@ query("prefilter_topk", ANSWER)(lambda spark, sf_dir: se.prefilter(queries_n1(sp
 
 
 def planned(spark, sf_dir, p=None, alpha: float = 1.4) -> pt.Partitioning:
+    """The planner's partitions, each role set searching its greedy cover."""
     p = p or n1(spark, sf_dir)
-    return pt.role_homes(p, pl.plan_splits(pl.PlannerInput.collect(p), alpha).part_role(spark))
+    return ro.online(p, pl.plan_splits(pl.PlannerInput.collect(p), alpha).part_role(spark))
 
 
 STRATEGIES = {"single": lambda s, d, p: parts(p, "rls"), "role": lambda s, d, p: parts(p, "role_part"), "user": lambda s, d, p: parts(p, "user_part"), "split": planned, "splitree": lambda s, d, p: pt.split_tree(p), "mod4": lambda s, d, p: parts(p, "mod4")}
@@ -113,7 +115,7 @@ recall AS (SELECT query_id, count(got.doc_id) / count(*) AS r FROM truth LEFT JO
 
 
 def _post(part: str, ef: int) -> str:
-    return with_(POLICIES["n1"], SETS, PARTS[part], distances(20), TRUTH, POST.format(ef=ef))
+    return with_(POLICIES["n1"], SETS, PARTS[part], distances(), TRUTH, POST.format(ef=ef))
 
 
 @query("postfilter_exact_ef", _post("rls", 60) + "SELECT query_id, count(*) AS n_kept FROM kept GROUP BY query_id")
@@ -132,7 +134,7 @@ for _part in ("rls", "role_part"):
             return me.recall_at_k(found, truth_n1(spark, sf_dir)).agg(r6(F.avg("recall")).alias("recall"))
 
 
-@query("visited_partitions", with_(POLICIES["n1"], SETS, PARTS["mod4"], MEASURED, distances(20)) + "SELECT query_id, count(*) AS visited, sum(n_docs)::BIGINT AS evaluated FROM queries JOIN user_sets USING (user_id) JOIN route USING (rs) JOIN sizes USING (part) GROUP BY query_id")
+@query("visited_partitions", with_(POLICIES["n1"], SETS, PARTS["mod4"], MEASURED, distances()) + "SELECT query_id, count(*) AS visited, sum(n_docs)::BIGINT AS evaluated FROM queries JOIN user_sets USING (user_id) JOIN route USING (rs) JOIN sizes USING (part) GROUP BY query_id")
 def visited_partitions(spark, sf_dir):
     p = n1(spark, sf_dir)
     return se.search_stats(queries_n1(spark, sf_dir), vectors(spark, sf_dir), p, parts(p, "mod4"), 50).select("query_id", "visited", "evaluated")
@@ -148,7 +150,7 @@ def topk_underfull(spark, sf_dir):
     return found.groupBy(F.col("query_id").alias("user_id")).agg(F.count("*").alias("returned"))
 
 
-@query("ivf_label_probe", with_(POLICIES["n1"], distances(20)) + """, means AS (SELECT label, i, avg(embedding[i]::DOUBLE) AS m FROM embeddings, range(1, 65) t(i) GROUP BY label, i),
+@query("ivf_label_probe", with_(POLICIES["n1"], distances()) + """, means AS (SELECT label, i, avg(embedding[i]::DOUBLE) AS m FROM embeddings, range(1, 65) t(i) GROUP BY label, i),
 cd AS (SELECT query_id, label, round(sum((m - qvec[i]::DOUBLE) * (m - qvec[i]::DOUBLE)), 6) AS c FROM queries, means GROUP BY query_id, label),
 probed AS (SELECT query_id, label FROM cd QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY c, label) <= 3)
 SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY round(d, 6), doc_id) AS rank, doc_id, round(d, 6) AS dist FROM dist JOIN embeddings ON vec_id = doc_id JOIN probed USING (query_id, label) QUALIFY rank <= 10""".replace("\n)", ")"))
@@ -180,7 +182,7 @@ def index_violations(spark, sf_dir, index, depth: int, floor: float):
     return violations(spark, {"forbidden": forbidden, "below_floor": recall >= floor})
 
 
-for _name, _index, _depth, _floor in (("hnsw", ix.HnswIndex(), 256, 0.9), ("filtergraph", ix.FilterGraphIndex(), 128, 0.9), ("filtergraph_two_hops", ix.FilterGraphIndex(mode="two_hops", widen=1), 128, 0.9), ("ivf", ix.IvfIndex(), 8, 0.8), ("ivfpq", ix.IvfPqIndex(), 8, 0.7), ("exact", ix.ExactIndex(), 2000, 1.0)):
+for _name, _index, _depth, _floor in (("hnsw", ix.HnswIndex(), 100, 0.9), ("filtergraph", ix.FilterGraphIndex(), 32, 0.9), ("filtergraph_two_hops", ix.FilterGraphIndex(mode="two_hops", widen=1), 32, 0.9), ("ivf", ix.IvfIndex(), 8, 0.9), ("ivfpq", ix.IvfPqIndex(m=16, codes=32), 8, 0.9), ("exact", ix.ExactIndex(), 2000, 1.0)):
     query(f"{_name}_search", zeros("forbidden", "below_floor"))(lambda spark, sf_dir, i=_index, d=_depth, f=_floor: index_violations(spark, sf_dir, i, d, f))
 
 
@@ -221,7 +223,9 @@ def secure_topk_docs(spark, sf_dir):
     p = g.natural_n3(spark, sf_dir)
     dense = text_vectors(spark, sf_dir).groupBy("doc_id", "line_no").agg(F.map_from_entries(F.collect_list(F.struct("bucket", "weight"))).alias("m"))
     v = dense.select("doc_id", "line_no", F.transform(F.sequence(F.lit(0), F.lit(15)), lambda i: F.coalesce(F.element_at("m", i.cast("long")), F.lit(0.0)).cast("float")).alias("embedding"))
-    q = g.gen_queries(v.filter("line_no = 1 and doc_id < 500").select(F.col("doc_id").alias("vec_id"), "embedding"), p.users, 10)
+    users = p.users.agg(F.min("user_id").alias("first"), F.count("*").alias("n"))  # one row
+    asked = v.filter("doc_id % 20 = 0").groupBy("doc_id").agg(F.min_by("embedding", "line_no").alias("qvec"))
+    q = asked.join(F.broadcast(users)).select(F.col("doc_id").alias("query_id"), (F.col("first") + F.col("doc_id") % F.col("n")).alias("user_id"), F.lit(10).alias("k"), "qvec")
     found = se.top_documents(q, v, p, 10).cache()
     bad = found.join(se.permitted_pairs(q, p), ["query_id", "doc_id"], "left_anti").count()
     again = found.join(v, "doc_id").join(q.select("query_id", "qvec"), "query_id").groupBy("query_id", "doc_id", "dist").agg(F.min(vec.l2sq("embedding", "qvec")).alias("best"))

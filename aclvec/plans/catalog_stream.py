@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import functions as F
@@ -12,7 +11,7 @@ from aclvec.operators import partitioning as pt
 from aclvec.operators import search as se
 from aclvec.plans.policies_sql import POLICIES, with_
 from aclvec.plans.registry import big, query
-from aclvec.sources.tables import read, vectors
+from aclvec.sources.tables import read, scratch, vectors
 from aclvec.streaming import changes as ch
 
 CHANGES = """ch AS (SELECT event_id AS seq, ts, CASE event_type WHEN 'signup' THEN 'add_user' WHEN 'error' THEN 'drop_user' WHEN 'purchase' THEN 'grant' WHEN 'click' THEN 'revoke' ELSE 'query' END AS op, user_id, user_id % 25 AS role_id, event_id % 500 AS doc_id FROM events)"""
@@ -28,12 +27,6 @@ def stream(spark, sf_dir):
     return ch.event_stream(spark, path, schema)
 
 
-def _scratch(spark) -> str:
-    """A new path in the shared folder that the session names; a temporary one only where it names none."""
-    base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="aclvec-stream-")
-    return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
-
-
 def _name(prefix: str) -> str:
     return f"{prefix}_{uuid.uuid4().hex[:8]}"
 
@@ -49,7 +42,7 @@ def stream_policy_final_state(spark, sf_dir):
 @query("stream_state_vs_batch", "SELECT 'differences' AS check_name, 0::BIGINT AS violations")
 def stream_state_vs_batch(spark, sf_dir):
     """State written by batches against the same changes applied at once."""
-    base = _scratch(spark)
+    base = scratch(spark)
     q = ch.apply_policy_stream(ch.to_changes(stream(spark, sf_dir)), f"{base}/state", f"{base}/cp")
     q.awaitTermination()
     last = q.lastProgress
@@ -83,7 +76,7 @@ def stream_secure_search(spark, sf_dir):
         queries = batch.join(v.select("doc_id", F.col("embedding").alias("qvec")), "doc_id").select("query_id", "user_id", F.lit(10).alias("k"), "qvec")
         return se.secure_search(queries, v, p, part)
 
-    base = _scratch(spark)
+    base = scratch(spark)
     ch.search_stream(asked, search, f"{base}/answers", f"{base}/cp").awaitTermination()
     return spark.read.parquet(f"{base}/answers").select("query_id", "rank", "doc_id", "dist")
 

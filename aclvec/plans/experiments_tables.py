@@ -14,10 +14,12 @@ from aclvec.operators import generators as g
 from aclvec.operators import measures as me
 from aclvec.operators import partitioning as pt
 from aclvec.operators import planner as pl
+from aclvec.operators import routing as ro
 from aclvec.operators import search as se
 from aclvec.plans.catalog_parts import n1, parts
-from aclvec.plans.catalog_policy import POLICY, queries_n1
+from aclvec.plans.catalog_policy import POLICY, queries_n1, workload
 from aclvec.plans.catalog_search import planned, text_vectors
+from aclvec.plans.policies_sql import MEASURED, PARTS, POLICIES, SETS, TRUTH, distances, with_
 from aclvec.plans.registry import query, r6
 from aclvec.sources.tables import vectors
 
@@ -43,23 +45,60 @@ def curve(q, v, p, part, truth, efs=EFS):
     return points.join(F.broadcast(evaluated(q, p, part))).select(F.lit(part.name).alias("strategy"), "ef", "recall", "visited", "rows_compared")
 
 
-@query("exp_recall_measured")
+def curve_sql(names) -> str:
+    """The curve of partitionings that need no plan: a true neighbour is found from its best place on."""
+    out = []
+    for name in names:
+        body = with_(POLICIES["n1"], SETS, PARTS[name], MEASURED, distances(), TRUTH)[:-1] + """, asked AS (SELECT query_id, part FROM queries JOIN user_sets USING (user_id) JOIN route USING (rs)),
+placed AS (SELECT query_id, doc_id, min(place) AS place FROM (SELECT query_id, part, dist.doc_id, row_number() OVER (PARTITION BY query_id, part ORDER BY round(d, 6), dist.doc_id) AS place
+  FROM asked JOIN part_doc USING (part) JOIN dist USING (query_id, doc_id)) GROUP BY query_id, doc_id),
+one AS (SELECT query_id, ef, count(*) FILTER (place <= ef) / count(*) AS r FROM truth LEFT JOIN placed USING (query_id, doc_id), unnest(EFS) t(ef) GROUP BY query_id, ef),
+seen AS (SELECT query_id, count(*) AS v, sum(n_docs) AS n FROM asked JOIN sizes USING (part) GROUP BY query_id)
+SELECT 'NAME' AS strategy, ef::BIGINT AS ef, round(avg(r), 6) AS recall, (SELECT round(avg(v), 6) FROM seen) AS visited, (SELECT round(avg(n), 6) FROM seen) AS rows_compared FROM one GROUP BY ef""".replace("EFS", str(EFS)).replace("NAME", name)
+        out.append(f"SELECT * FROM ({body})")
+    return " UNION ALL ".join(out)
+
+
+PLAIN = ("rls", "role_part", "user_part")
+
+
+@query("exp_recall_measured", curve_sql(PLAIN))
 def exp_recall_measured(spark, sf_dir):
-    """Recall by depth of the shared index, the planned partitions, and those by role and by role set, with the rows that each compares."""
-    p, v, q = n1(spark, sf_dir), vectors(spark, sf_dir), queries_n1(spark, sf_dir, 100)
+    """Recall by depth of the shared index and of partitions by role and by role set, with the rows that each compares."""
+    p, v, q = n1(spark, sf_dir), vectors(spark, sf_dir), queries_n1(spark, sf_dir)
     truth = se.ground_truth(q, v, p)
-    return _union(curve(q, v, p, part, truth) for part in (parts(p, "rls"), planned(spark, sf_dir, p), parts(p, "role_part"), parts(p, "user_part")))
+    return _union(curve(q, v, p, parts(p, x), truth) for x in PLAIN).withColumn("ef", F.col("ef").cast("long"))
+
+
+@query("exp_recall_planned")
+def exp_recall_planned(spark, sf_dir):
+    """The same of the planned partitions, along each role set's cover."""
+    p, v, q = n1(spark, sf_dir), vectors(spark, sf_dir), queries_n1(spark, sf_dir)
+    return curve(q, v, p, planned(spark, sf_dir, p), se.ground_truth(q, v, p))
 
 
-@query("exp_memory_measured")
+def memory_row(p, q, x, name):
+    return me.memory_overhead(p, x).join(F.broadcast(evaluated(q, p, x))).select(F.lit(name).alias("strategy"), r6("overhead").alias("memory"), "visited", "rows_compared")
+
+
+_MEMORY = """SELECT '{n}' AS strategy, round((SELECT count(*) FROM part_doc) / (SELECT count(*) FROM docs), 6) AS memory, round(avg(v), 6) AS visited, round(avg(n), 6) AS rows_compared
+FROM (SELECT query_id, count(*) AS v, sum(n_docs) AS n FROM queries JOIN user_sets USING (user_id) JOIN route USING (rs) JOIN sizes USING (part) GROUP BY query_id)"""
+
+
+@query("exp_memory_measured", " UNION ALL ".join("SELECT * FROM (" + with_(POLICIES["n1"], SETS, PARTS[n], MEASURED, distances()) + _MEMORY.format(n=n) + ")" for n in PLAIN))
 def exp_memory_measured(spark, sf_dir):
-    """Rows that a query compares along the memory budget, down from the shared index to partitions by role."""
-    p, q = n1(spark, sf_dir), queries_n1(spark, sf_dir, 100)
-    data = pl.PlannerInput.collect(p)
-    plans = {f"planner_{a}": pt.role_homes(p, plan.part_role(spark), f"planner_{a}") for a, plan in pl.plan_spectrum(data, [1.1, 1.24, 1.4, 2.0, 3.0]).items()}
-    every = {"rls": parts(p, "rls"), **plans, "splitree": pt.split_tree(p), "role_part": parts(p, "role_part"), "user_part": parts(p, "user_part")}
-    rows = (me.memory_overhead(p, x).join(F.broadcast(evaluated(q, p, x))).select(F.lit(n).alias("strategy"), r6("overhead").alias("memory"), "visited", "rows_compared") for n, x in every.items())
-    return _union(rows)
+    """Memory, partitions visited and rows compared by the shared index and by partitions by role and by role set."""
+    p, q = n1(spark, sf_dir), queries_n1(spark, sf_dir)
+    return _union(memory_row(p, q, parts(p, n), n) for n in PLAIN)
+
+
+@query("exp_memory_planned")
+def exp_memory_planned(spark, sf_dir):
+    """The same along the planner's budget, over homes and over covers, and of the disjoint tree."""
+    p, q = n1(spark, sf_dir), queries_n1(spark, sf_dir)
+    plans = pl.plan_spectrum(pl.PlannerInput.collect(p), [1.1, 1.24, 1.4, 2.0, 3.0])
+    every = {f"planner_{a}_{m}": ro.online(p, plan.part_role(spark), m) for a, plan in plans.items() for m in ("home", "greedy_count")}
+    return _union(memory_row(p, q, x, n) for n, x in {**every, "splitree": pt.split_tree(p)}.items())
 
 
 @query("exp_cross_fit")
@@ -69,7 +108,7 @@ def exp_cross_fit(spark, sf_dir):
     measured, fitted, efs = {}, {}, [10, 20, 40, 60, 80, 100, 150, 200, 300, 400]
     for name in ("tree_a", "tier_a"):
         p = POLICY[name](spark, sf_dir)
-        q = queries_n1(spark, sf_dir, 100).withColumn("user_id", F.col("query_id") % 150)
+        q = workload(spark, sf_dir).withColumn("user_id", F.col("query_id") % 150)
         q = q.join(p.ua.select("user_id").distinct(), "user_id", "left_semi")
         part = parts(p, "rls")
         points = se.recall_by_depth(q, v, p, part, se.ground_truth(q, v, p), efs).collect()  # one row a depth
@@ -87,7 +126,7 @@ def exp_cross_fit(spark, sf_dir):
 @query("exp_query_correlation")
 def exp_query_correlation(spark, sf_dir):
     """Recall of the shared index for queries drawn without regard to permissions, and for vectors of the users' own documents."""
-    p, v, q = n1(spark, sf_dir), vectors(spark, sf_dir), queries_n1(spark, sf_dir, 100)
+    p, v, q = n1(spark, sf_dir), vectors(spark, sf_dir), queries_n1(spark, sf_dir)
     part = parts(p, "rls")
     mine = se.permitted_pairs(q, p).groupBy("query_id").agg(F.min_by("doc_id", F.struct(draw(F.col("doc_id") * 1009 + F.col("query_id"), 17, 1 << 20), "doc_id")).alias("doc_id"))
     own = q.drop("qvec").join(mine, "query_id").join(v.select("doc_id", F.col("embedding").alias("qvec")), "doc_id").select("query_id", "user_id", "k", "qvec")
@@ -102,8 +141,9 @@ def exp_text_corpus(spark, sf_dir):
     dense = F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda i: F.coalesce(F.element_at("m", i.cast("long")), F.lit(0.0)))
     norm = F.sqrt(F.aggregate("e", F.lit(0.0), lambda a, x: a + x * x))
     v = lines.select("doc_id", "line_no", dense.alias("e")).filter(norm > 0).select("doc_id", "line_no", F.transform("e", lambda x: (x / norm).cast("float")).alias("embedding")).cache()
-    first = v.groupBy(F.col("doc_id").alias("vec_id")).agg(F.min_by("embedding", "line_no").alias("embedding"))
-    q = g.gen_queries(first, p.users, 20).cache()
+    users = p.users.agg(F.min("user_id").alias("first"), F.count("*").alias("n"))  # one row
+    first = v.filter("doc_id % 20 = 0").groupBy("doc_id").agg(F.min_by("embedding", "line_no").alias("qvec"))
+    q = first.join(F.broadcast(users)).select(F.col("doc_id").alias("query_id"), (F.col("first") + F.col("doc_id") % F.col("n")).alias("user_id"), F.lit(10).alias("k"), "qvec").cache()
     truth = se.top_documents(q, v, p, 10).cache()
     part = pt.role_homes(p, pl.plan_splits(pl.PlannerInput.collect(p), 1.4).part_role(spark), "planner")
     return _union(curve(q, v, p, x, truth) for x in (parts(p, "rls"), part, parts(p, "role_part")))

@@ -39,8 +39,11 @@ pa AS (SELECT 1 AS role_id, doc_id FROM docs WHERE doc_id <= 6 UNION ALL SELECT
   UNION ALL SELECT 3, doc_id FROM docs WHERE doc_id BETWEEN 8 AND 10 UNION ALL SELECT 4, doc_id FROM docs WHERE doc_id BETWEEN 9 AND 11)"""
 
 
-def _docs(n_users: int) -> str:
-    return f"docs AS (SELECT vec_id AS doc_id FROM embeddings), n AS (SELECT count(*) AS d FROM docs), users AS (SELECT i AS user_id FROM range({n_users}) t(i))"
+VECTORS, TEXTS = "SELECT vec_id AS doc_id FROM embeddings", "SELECT doc_id FROM documents"
+
+
+def _docs(n_users: int, docs: str = VECTORS) -> str:
+    return f"docs AS ({docs}), n AS (SELECT count(*) AS d FROM docs), users AS (SELECT i AS user_id FROM range({n_users}) t(i))"
 
 
 def _drawn_docs(name: str, n_roles: int, m_p: str, dist: str, salt: int) -> str:
@@ -54,23 +57,24 @@ def _drawn_roles(name: str, source: str, key: str, n_roles: int, m_r: int, salt:
     return f"{name} AS (SELECT DISTINCT k AS {out.split()[0]}, {draw_sql('k * 1009 + i', salt + 1, n_roles)} AS {out.split()[1]} FROM (SELECT {key} AS k, unnest(range(1, {draw_sql(key, salt, m_r)} + 2)) AS i FROM {source}))"
 
 
-def uniform(n_users: int, n_roles: int, m_r: int, factor: int) -> str:
-    return ",\n".join([_docs(n_users), _drawn_docs("pa", n_roles, f"greatest(1, d * {factor} // {n_roles})", "uniform", 3), _drawn_roles("ua", "users", "user_id", n_roles, m_r, 13, "user_id role_id")])
+def uniform(n_users: int, n_roles: int, m_r: int, factor: int, docs: str = VECTORS) -> str:
+    return ",\n".join([_docs(n_users, docs), _drawn_docs("pa", n_roles, f"greatest(1, d * {factor} // {n_roles})", "uniform", 3), _drawn_roles("ua", "users", "user_id", n_roles, m_r, 13, "user_id role_id")])
 
 
-def tree(n_users: int, n_roles: int, b0: int = 3, b1: int = 4) -> str:
+def tree(n_users: int, n_roles: int, b0: int = 3, b1: int = 4, docs: str = VECTORS, bounds: list[float] | None = None) -> str:
     """The pool of roles ends before the height does, so the tree follows from running sums of the numbers of children."""
-    return f"""{_docs(n_users)},
+    block = f"doc_id * {n_roles} // d" if bounds is None else f"len(list_filter({bounds[:-1]}, lambda e: doc_id >= floor(e * d)))"
+    return f"""{_docs(n_users, docs)},
 kids AS (SELECT r, {b0} + {draw_sql('r', 21, b1 - b0 + 1)} AS c FROM range({n_roles}) t(r)),
 starts AS (SELECT r, 1 + coalesce(sum(c) OVER (ORDER BY r ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS s FROM kids),
 parent AS (SELECT t.r AS role_id, max(starts.r) AS parent_id FROM range(1, {n_roles}) t(r) JOIN starts ON s <= t.r GROUP BY t.r),
 anc AS (SELECT * FROM (WITH RECURSIVE up AS (SELECT r AS role_id, r AS anc_id FROM range({n_roles}) t(r) UNION ALL SELECT up.role_id, parent.parent_id FROM up JOIN parent ON parent.role_id = up.anc_id) SELECT * FROM up)),
 ua AS (SELECT user_id, 1 + user_id % ({n_roles} - 1) AS role_id FROM users),
-pa AS (SELECT role_id, doc_id FROM docs, n, anc WHERE anc_id = doc_id * {n_roles} // d)"""
+pa AS (SELECT role_id, doc_id FROM docs, n, anc WHERE anc_id = {block})"""
 
 
-def two_tier(n_users: int, n_fr: int, n_br: int, m_fr: int, m_br: int, divisor: int = 25) -> str:
-    return ",\n".join([_docs(n_users), _drawn_docs("func_pa", n_fr, f"greatest(1, d // {divisor})", "full", 41), _drawn_roles("biz", f"range({n_br}) t(b)", "b", n_fr, m_fr, 31, "role_id func_id"),
+def two_tier(n_users: int, n_fr: int, n_br: int, m_fr: int, m_br: int, divisor: int = 25, docs: str = VECTORS) -> str:
+    return ",\n".join([_docs(n_users, docs), _drawn_docs("func_pa", n_fr, f"greatest(1, d // {divisor})", "full", 41), _drawn_roles("biz", f"range({n_br}) t(b)", "b", n_fr, m_fr, 31, "role_id func_id"),
         _drawn_roles("ua", "users", "user_id", n_br, m_br, 33, "user_id role_id"), "pa AS (SELECT DISTINCT biz.role_id, doc_id FROM biz JOIN func_pa ON func_pa.role_id = biz.func_id)"])
 
 
@@ -109,11 +113,16 @@ POLICIES = {
 }
 
 
-def distances(query_ids: int) -> str:
-    """queries(query_id, user_id, qvec) of the hash sample; dist(query_id, doc_id, d) of all vectors."""
-    return f"""qv AS (SELECT row_number() OVER (ORDER BY h, vec_id) AS query_id, vec_id, embedding AS qvec FROM (SELECT vec_id, embedding, {draw_sql('vec_id', 11, WIDE)} AS h FROM embeddings) QUALIFY query_id <= {query_ids}),
-qu AS (SELECT row_number() OVER (ORDER BY h, user_id) AS query_id, user_id FROM (SELECT user_id, {draw_sql('user_id', 13, WIDE)} AS h FROM users) QUALIFY query_id <= {query_ids}),
-queries AS (SELECT query_id, user_id, qvec, vec_id AS q_vec_id FROM qv JOIN qu USING (query_id)),
+def drawn(n: int) -> str:
+    """drawn(query_id, user_id, q_vec_id): n vectors and n users in the order of the hash."""
+    return f"""qv AS (SELECT row_number() OVER (ORDER BY h, vec_id) AS query_id, vec_id FROM (SELECT vec_id, {draw_sql('vec_id', 11, WIDE)} AS h FROM embeddings) QUALIFY query_id <= {n}),
+qu AS (SELECT row_number() OVER (ORDER BY h, user_id) AS query_id, user_id FROM (SELECT user_id, {draw_sql('user_id', 13, WIDE)} AS h FROM users) QUALIFY query_id <= {n}),
+drawn AS (SELECT query_id, user_id, vec_id AS q_vec_id FROM qv JOIN qu USING (query_id))"""
+
+
+def distances() -> str:
+    """queries(query_id, user_id, qvec): vectors whose id is divisible by 20; dist(query_id, doc_id, d) of all vectors."""
+    return f"""queries AS (SELECT vec_id AS query_id, (SELECT min(c_custkey) FROM customer) + {draw_sql('vec_id', 13, WIDE)} % (SELECT count(*) FROM customer) AS user_id, embedding AS qvec FROM embeddings WHERE vec_id % 20 = 0),
 dist AS (SELECT query_id, vec_id AS doc_id, list_sum(list_transform(range(1, len(qvec) + 1), lambda i: (embedding[i]::DOUBLE - qvec[i]::DOUBLE) * (embedding[i]::DOUBLE - qvec[i]::DOUBLE))) AS d FROM embeddings, queries)"""
 
 
