@@ -31,10 +31,13 @@ def shared_dir(spark: SparkSession) -> str:
     return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
 
 
-def stored(df: DataFrame, compression: str = "snappy") -> DataFrame:
-    """`df` written once as Parquet in the shared folder and read back: cuts the lineage and survives lost executors."""
+def stored(df: DataFrame, compression: str = "snappy", group_bytes: int = 128 << 20) -> DataFrame:
+    """`df` written once as Parquet in the shared folder and read back: cuts the lineage and survives lost executors.
+
+    `group_bytes`: of a row group, which a writer holds in memory; less for wide rows.
+    """
     path = shared_dir(df.sparkSession)
-    df.write.parquet(path, compression=compression)
+    df.write.option("parquet.block.size", group_bytes).parquet(path, compression=compression)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 

@@ -47,7 +47,7 @@ SCALE, PIECE = 8, 16_384
 #: Groups come first, then the end, then words of their own.
 END = GROUPS
 #: Parts in which words of their own are numbered, for each power of two of their counts.
-PARTS = 32
+PARTS = 256
 
 
 def words_of(text: bytes) -> list[bytes]:

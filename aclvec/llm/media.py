@@ -243,4 +243,4 @@ def described(clips: DataFrame) -> DataFrame:
 def op2_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every whole text stored as telephony samples, read back, its resampled speech stored, read back and described."""
     clips = read_media(encode_media(table(spark, sf_dir, "documents")))
-    return described(stored(clips, "zstd"))
+    return described(stored(clips, "zstd", 16 << 20))
