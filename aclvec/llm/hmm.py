@@ -99,7 +99,10 @@ class Segments:
         alive = len(size) - np.searchsorted(np.sort(size), np.arange(int(size.max(initial=0))), side="right")
         ends = np.concatenate(([0], np.cumsum(alive))).tolist()
         begin = begin[self.order]
-        self.symbols = np.concatenate([np.zeros(0, np.int32), *(flat[begin[:n] + t] for t, n in enumerate(alive.tolist()))])
+        self.symbols = np.empty(ends[-1], np.int32)
+        for t, n in enumerate(alive.tolist()):
+            np.take(flat, begin[:n], out=self.symbols[ends[t] : ends[t + 1]], mode="clip")
+            begin[:n] += 1
         self.steps = [(t, n, slice(ends[t], ends[t + 1])) for t, n in enumerate(alive.tolist())]
         self.sub = Segments([seqs[i] for i in self.long.tolist()]) if len(self.long) and len(self.long) < len(seqs) else self if len(self.long) else None
 
@@ -110,13 +113,16 @@ class Scaled:
     def __init__(self, model: Model, dtype):
         top = model.emit.max(axis=1)
         self.logs = np.log(top)
-        self.emit = np.ascontiguousarray((model.emit / top[:, None]).T.astype(dtype))
+        self.emit = np.ascontiguousarray((model.emit / top[:, None]).astype(dtype))
         self.start, self.move = model.start.astype(dtype), model.move.astype(dtype)
         self.turn = np.ascontiguousarray(self.move.T)
 
     def of(self, cut: Segments) -> np.ndarray:
         """Each state's emissions of the symbols, state first."""
-        return np.stack([row.take(cut.symbols) for row in self.emit])
+        out = np.empty((self.emit.shape[1], len(cut.symbols)), self.emit.dtype)
+        for i in range(0, out.shape[1], PIECE):
+            out[:, i : i + PIECE] = self.emit.take(cut.symbols[i : i + PIECE], axis=0).T
+        return out
 
 
 def transfer(model: Scaled, cut: Segments) -> np.ndarray:
@@ -201,13 +207,14 @@ def expected(model: Model, seqs: list[np.ndarray], dtype=np.float32) -> tuple[np
     place[cut.order] = np.arange(len(cut.order))
     start = scaled.start[:, None] * back[:, place[cut.first]]
     start = (start / start.sum(axis=0)).sum(axis=1, dtype=float)
-    pairs, state = np.zeros_like(model.move), np.empty_like(emit)
+    pairs, state = np.zeros_like(model.move), emit  # whose emissions are needed no more
     for i in range(0, emit.shape[1], PIECE):
         l, r, s = (x[:, i : i + PIECE] for x in (left, right, state))
         np.multiply(scaled.turn @ l, r, out=s)
         weight = s.sum(axis=0)
         s /= weight
-        pairs += l @ (r / weight).T
+        r /= weight
+        pairs += l @ r.T
     counts = np.stack([np.bincount(cut.symbols, row, len(model.emit)) for row in state], axis=1)
     return start, model.move * pairs, counts, float(logs.sum() + scaled.logs[cut.symbols].sum())
 
