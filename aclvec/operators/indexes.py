@@ -13,7 +13,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from aclvec.functions.models import FilterGraphCost, GraphCost, IvfCost, ScanCost
@@ -374,4 +374,33 @@ def choose_index(p: Policy, part: Partitioning) -> DataFrame:
     return partition_selectivity(p, part).groupBy("part").agg(F.when(F.bool_and(F.col("permitted") == F.col("n_docs")), "hnsw").otherwise("filtergraph").alias("kind"))
 
 
+def persist(built, path: str) -> None:
+    """Writes a built index under `path`: shards of graphs in directories by partition, lists, centroids and codebooks in folders of their own.
+
+    The vectors that `ExactIndex` and the second ranking of `IvfPqIndex` read are the caller's and are not copied.
+    """
+    parts = built if isinstance(built, tuple) else (built,)
+    for i, x in enumerate(parts[:3]):
+        if isinstance(x, np.ndarray):
+            centres = [(s, c, x[s, c].astype(float).tolist()) for s in range(x.shape[0]) for c in range(x.shape[1])]  # m x codes rows
+            x = parts[0].sparkSession.createDataFrame(centres, "slice int, code int, centre array<double>")
+        writer = x.write.mode("overwrite")
+        (writer.partitionBy("part") if "part" in x.columns else writer).parquet(f"{path}/{i}")
+
+
+def load(index, spark: SparkSession, path: str, vectors: DataFrame):
+    """What `index.build` returned, from what `persist` wrote; `vectors`: those that it was built for."""
+    if isinstance(index, ExactIndex):
+        return vectors
+    if isinstance(index, HnswIndex):
+        names = [f.split()[0] for f in SHARD_ROWS.split(", ")]
+        return spark.read.schema(SHARD_ROWS).parquet(f"{path}/0").select(*names)
+    lists, centroids = (spark.read.parquet(f"{path}/{i}") for i in range(2))
+    if isinstance(index, IvfIndex):
+        return lists, centroids
+    rows = spark.read.parquet(f"{path}/2").orderBy("slice", "code").collect()  # m x codes rows
+    books = np.array([r.centre for r in rows]).reshape(1 + rows[-1].slice, 1 + rows[-1].code, -1)
+    return lists, centroids, books.astype(np.float32), vectors
+
+
 INDEXES = {"exact": ExactIndex, "hnsw": HnswIndex, "filtergraph": FilterGraphIndex, "ivf": IvfIndex, "ivfpq": IvfPqIndex}

@@ -11,7 +11,7 @@ from aclvec.operators import policy as pol
 from aclvec.plans.catalog_parts import mod4, n1, parts
 from aclvec.plans.policies_sql import MEASURED, PARTS, POLICIES, SETS, with_
 from aclvec.plans.registry import big, query, r6
-from aclvec.sources.tables import read
+from aclvec.sources.tables import bucketed, read, vectors
 
 P = with_(POLICIES["n1"])
 
@@ -308,3 +308,18 @@ def source_policy(spark, sf_dir):
 @query("role_home_sizes", with_(POLICIES["n1"]) + "SELECT (role_id % 4)::BIGINT AS partition_id, count(DISTINCT role_id) AS n_roles FROM (SELECT role_id FROM ua UNION SELECT role_id FROM pa) GROUP BY 1")
 def role_home_sizes(spark, sf_dir):
     return mod4(n1(spark, sf_dir)).groupBy(big("partition_id").alias("partition_id")).agg(F.count("*").alias("n_roles"))
+
+
+@query("join_bucketed", P + "SELECT role_id::BIGINT AS role_id, count(*) AS n, sum(label)::BIGINT AS labels FROM pa JOIN embeddings ON vec_id = doc_id GROUP BY role_id")
+def join_bucketed(spark, sf_dir):
+    """Permission edges and vectors as tables of equal buckets by document: joined where they lie."""
+    edges = bucketed(n1(spark, sf_dir).pa, "aclvec_edges", ["doc_id"], 8)
+    nodes = bucketed(vectors(spark, sf_dir).select("doc_id", "label"), "aclvec_nodes", ["doc_id"], 8)
+    return edges.hint("merge").join(nodes, "doc_id").groupBy(big("role_id").alias("role_id")).agg(F.count("*").alias("n"), big(F.sum("label")).alias("labels"))
+
+
+@query("sample_by_label")
+def sample_by_label(spark, sf_dir):
+    """A stratified sample: labels with an even number at a tenth, the others at a half."""
+    v = vectors(spark, sf_dir)
+    return v.withColumn("odd", F.col("label") % 2).sampleBy("odd", {0: 0.1, 1: 0.5}, seed=5).groupBy("odd").agg(F.count("*").alias("n"))

@@ -19,7 +19,7 @@ from aclvec.plans.catalog_parts import mod4, n1, parts, sql
 from aclvec.plans.catalog_policy import queries_n1
 from aclvec.plans.policies_sql import MEASURED, PARTS, POLICIES, SETS, TRUTH, distances, with_
 from aclvec.plans.registry import big, query, r6, violations, zeros
-from aclvec.sources.tables import read, vectors
+from aclvec.sources.tables import read, scratch, vectors
 
 DIST = with_(POLICIES["n1"], distances())
 
@@ -364,3 +364,19 @@ def upd_vs_rebuild(spark, sf_dir):
         fresh = up.PolicyState.scratch(s.policy, pl.plan_splits(pl.PlannerInput.collect(s.policy), 1.5).part_role(spark))
         rows.append((n_ops, round(up.model_cost(s) / up.model_cost(fresh), 4)))
     return spark.createDataFrame(rows, "n_ops int, cost_ratio double")
+
+
+@query("index_reload", zeros("hnsw", "filtergraph", "ivf", "ivfpq"))
+def index_reload(spark, sf_dir):
+    """Answers of an index that was written and read again against those of the one just built."""
+    p, v = g.natural_n1(spark, sf_dir), vectors(spark, sf_dir)
+    part, queries = pt.role_homes(p, mod4(p)), queries_n1(spark, sf_dir)
+    differ = {}
+    for name in ("hnsw", "filtergraph", "ivf", "ivfpq"):
+        index, path = ix.INDEXES[name](), scratch(spark)
+        built = index.build(part, v)
+        ix.persist(built, path)
+        cols = ["query_id", "part", "doc_id", F.round("dist", 5).alias("dist")]
+        a, b = (index.search(x, queries, p, part, 8).select(*cols) for x in (built, ix.load(index, spark, path, v)))
+        differ[name] = a.exceptAll(b).union(b.exceptAll(a)).count()
+    return violations(spark, differ)

@@ -111,3 +111,18 @@ def stream_interval_join(spark, sf_dir):
 def stream_dedup(spark, sf_dir):
     rows = stream(spark, sf_dir).withWatermark("ts", "40 days").dropDuplicatesWithinWatermark(["user_id"])
     return ch.finished(rows.select("user_id"), _name("dedup"), "append").agg(F.count("*").alias("users"))
+
+
+@query("stream_late_repair", f"""WITH {CHANGES}, tops AS (SELECT seq % 4 AS part, max(ts) AS top FROM ch GROUP BY 1),
+marks AS (SELECT a.part, max(b.top) AS mark FROM tops a JOIN tops b ON b.part < a.part GROUP BY a.part)
+SELECT seq, op, coalesce(ts < mark - INTERVAL 1 HOUR, false) AS late FROM ch LEFT JOIN marks ON part = seq % 4""")
+def stream_late_repair(spark, sf_dir):
+    """The events as four files, one a batch: which changes come too late and go to the repair table."""
+    base = scratch(spark)
+    events = read(spark, sf_dir, "events")
+    for i in range(4):
+        events.filter(F.col("event_id") % 4 == i).coalesce(1).write.parquet(f"{base}/in/f{i}")
+    rows = ch.to_changes(ch.event_stream(spark, f"{base}/in/*", events.schema))
+    ch.repair_stream(rows, f"{base}/out", f"{base}/cp").awaitTermination()
+    parts = [spark.read.parquet(f"{base}/out/{kind}").select("seq", "op", F.lit(kind == "repair").alias("late")) for kind in ("applied", "repair")]
+    return parts[0].unionByName(parts[1])

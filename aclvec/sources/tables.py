@@ -26,3 +26,15 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     """vec_id, doc_id, embedding, label of `embeddings`: each vector is its own document."""
     return read(spark, sf_dir, "embeddings").select("vec_id", F.col("vec_id").alias("doc_id"), "embedding", "label")
+
+
+def bucketed(df: DataFrame, name: str, keys: list[str], n_buckets: int) -> DataFrame:
+    """`df` as a table named `name` (one of that name is replaced), in the shared folder, dealt and sorted by `keys`.
+
+    Tables with the same number of buckets join on their keys without a shuffle.
+    """
+    spark = df.sparkSession
+    spark.sql(f"DROP TABLE IF EXISTS {name}")
+    rows = df.repartition(n_buckets, *keys)  # one file a bucket
+    rows.write.bucketBy(n_buckets, *keys).sortBy(*keys).option("path", scratch(spark)).saveAsTable(name)
+    return spark.table(name)

@@ -89,6 +89,26 @@ def member_states(changes: DataFrame) -> DataFrame:
     return rows.groupBy("user_id").applyInPandasWithState(run, MEMBERS, state, "append", "NoTimeout")
 
 
+def repair_stream(changes: DataFrame, path: str, checkpoint: str, lateness: str = "1 hour"):
+    """Deals changes to `path`/applied and `path`/repair: a change goes to repair if earlier batches hold one that is later by more than `lateness`.
+
+    `path`/marks keeps each batch's latest instant. A batch that is run again overwrites its own directories.
+    """
+
+    def put(batch: DataFrame, batch_id: int) -> None:
+        spark = batch.sparkSession
+        mark = None
+        if batch_id:
+            mark = spark.read.parquet(f"{path}/marks/batch={batch_id - 1}").first()[0]
+        late = F.lit(False) if mark is None else F.coalesce(F.col("ts") < F.lit(mark) - F.expr(f"interval {lateness}"), F.lit(False))
+        batch.filter(~late).write.mode("overwrite").parquet(f"{path}/applied/batch={batch_id}")
+        batch.filter(late).write.mode("overwrite").parquet(f"{path}/repair/batch={batch_id}")
+        top = batch.agg(F.max("ts").alias("ts")).select(F.greatest("ts", F.lit(mark).cast("timestamp")).alias("ts"))
+        top.write.mode("overwrite").parquet(f"{path}/marks/batch={batch_id}")
+
+    return changes.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
 def search_stream(queries: DataFrame, search, path: str, checkpoint: str):
     """Answers a stream of queries batch by batch with `search(batch)`, under `path`; a batch that is run again overwrites its own directory."""
 

@@ -40,3 +40,12 @@ def test_partition_directories_are_pruned(spark, sf, tmp_path):
     rows = spark.read.parquet(str(tmp_path / "parts"))
     asked = spark.createDataFrame([(3,)], "part int").filter("part < 10")
     assert "dynamicpruning" in text(rows.join(F.broadcast(asked), "part"))
+
+
+def test_bucketed_tables_join_without_a_shuffle(spark, sf):
+    from aclvec.plans.catalog_relational import join_bucketed
+
+    join_bucketed(spark, sf)  # writes the tables
+    edges, nodes = spark.table("aclvec_edges"), spark.table("aclvec_nodes")
+    plan = edges.hint("merge").join(nodes, "doc_id")._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "Exchange" not in plan
