@@ -108,11 +108,14 @@ class Graph:
         """Neighbours that are nearer to the node than to one another, then the nearest of the rest."""
         out: list[int] = []
         spare = []
-        for d, n in near:
+        nodes = [n for _, n in near]
+        nearest = np.full(len(nodes), np.inf)  # distance of every candidate to the chosen ones
+        for i, (d, n) in enumerate(near):
             if len(out) == most:
                 break
-            if not out or float(self.dist(self.x[n], out).min()) > d:
+            if nearest[i] > d:
                 out.append(n)
+                np.minimum(nearest, self.dist(self.x[n], nodes), out=nearest)
             else:
                 spare.append(n)
         return out + spare[: most - len(out)]
@@ -203,7 +206,10 @@ class HnswIndex:
         return GraphCost()
 
     def build(self, part: Partitioning, vectors: DataFrame) -> DataFrame:
-        """SHARD_ROWS of every shard's graph; nodes go in by id, so a rebuild gives the same graph."""
+        """SHARD_ROWS of every shard's graph; nodes go in by id, so a rebuild gives the same graph.
+
+        The frame is lazy and a search reads it more than once: `persist` and `load` it first.
+        """
         m, efc, links0 = self.m, self.efc, 2 * self.m * self.widen
 
         def make(key, rows):
@@ -211,7 +217,11 @@ class HnswIndex:
             graph = Graph(np.array(rows["embedding"].tolist(), np.float32), rows["node"].to_numpy(), m, efc, links0).build()
             return graph.rows(*key)
 
-        return with_shards(part, vectors, self.shard).groupBy("part", "shard").applyInPandas(make, SHARD_ROWS)
+        rows = with_shards(part, vectors, self.shard)
+        n_shards = part.sizes().agg(F.sum(F.ceil(F.col("n_docs") / self.shard))).first()[0] or 1
+        # a build costs far more than its bytes tell, so the number of tasks is not left to their size
+        n_tasks = max(int(n_shards), rows.sparkSession.sparkContext.defaultParallelism)
+        return rows.repartition(n_tasks, "part", "shard").groupBy("part", "shard").applyInPandas(make, SHARD_ROWS)
 
     def search(self, built: DataFrame, queries: DataFrame, p: Policy, part: Partitioning, depth: int) -> DataFrame:
         """Queries go to the shards; graphs stay where they are. Each shard returns its `depth` nearest.

@@ -18,6 +18,8 @@ from aclvec.operators.policy import Policy, user_role_sets
 
 #: Queries of one batch that are sent to every task.
 MAX_BROADCAST_QUERIES = 20_000
+#: Candidates that a scanning task holds before it hands them on; the merge does not depend on it.
+MAX_HELD = 4_000_000
 
 
 def small(queries: DataFrame) -> DataFrame:
@@ -92,41 +94,66 @@ def scan_candidates(copies: DataFrame, asked: DataFrame, ef: int | None) -> Data
 
 
 def _scan(copies: DataFrame, asked: DataFrame, ef: int | None) -> DataFrame:
-    """The ef nearest rows that each task finds, for one block of queries."""
+    """The ef nearest rows that each task finds, for one block of queries; more where it holds `MAX_HELD` before its end."""
     by_part: dict[str, list] = {}
     for r in asked.select("query_id", "rs", "part", "qvec").collect():
         by_part.setdefault(r.part, []).append((r.query_id, r.rs, r.qvec))
     packed = {k: (np.array([x[0] for x in v]), [x[1] for x in v], np.array([x[2] for x in v], np.float64)) for k, v in by_part.items()}
     spark = copies.sparkSession
-    sent = spark.sparkContext.broadcast(packed)
+    sent, bound = spark.sparkContext.broadcast(packed), MAX_HELD
     schema = pa.schema([("query_id", pa.int64()), ("rs", pa.string()), ("part", pa.string()), ("doc_id", pa.int64()), ("dist", pa.float64())])
 
+    def nearest(ids: np.ndarray, d: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The first ef by rounded distance, then id."""
+        if ef is None:
+            return ids, d
+        d6 = np.round(d, 6)
+        if ef < len(ids):
+            near = np.flatnonzero(d6 <= np.partition(d6, ef - 1)[ef - 1])
+            ids, d, d6 = ids[near], d[near], d6[near]
+        order = np.lexsort((ids, d6))[:ef]
+        return ids[order], d[order]
+
+    def emit(held: dict):
+        for k, found in held.items():
+            ids, sets, _ = sent.value[k]
+            for at in range(0, len(found), 256):
+                some = [(i, *found[i]) for i in range(at, min(at + 256, len(found))) if found[i] is not None]
+                n = np.array([len(x) for _, x, _ in some])
+                if n.sum():
+                    yield pa.RecordBatch.from_arrays([
+                        pa.array(np.repeat([ids[i] for i, _, _ in some], n), pa.int64()), pa.array(np.repeat(np.array([sets[i] for i, _, _ in some], object), n), pa.string()), pa.array([k] * int(n.sum()), pa.string()),
+                        pa.array(np.concatenate([x for _, x, _ in some]), pa.int64()), pa.array(np.concatenate([d for _, _, d in some]), pa.float64()),
+                    ], schema=schema)
+
     def run(batches):
+        held: dict[str, list] = {}  # by partition: the nearest of every query so far
+        n_held = 0
         for b in batches:
-            part = np.array(b.column(0).to_pylist(), object)
+            codes = b.column(0).dictionary_encode()
+            part, names = codes.indices.to_numpy(), codes.dictionary.to_pylist()
             docs = b.column(1).to_numpy()
             flat = b.column(2).flatten().to_numpy(zero_copy_only=False)
             x = flat.reshape(len(docs), -1).astype(np.float64) if len(docs) else flat
-            out: list[tuple] = []
-            for k in set(part.tolist()):
+            for c, k in enumerate(names):
                 if k not in sent.value:
                     continue
-                rows = np.flatnonzero(part == k)
-                ids, sets, q = sent.value[k]
-                d = (x[rows] ** 2).sum(axis=1)[None] - 2 * q @ x[rows].T + (q**2).sum(axis=1)[:, None]
-                d = np.maximum(d, 0.0)
-                d6 = np.round(d, 6)
-                few = ef is not None and ef < len(rows)
-                limit = np.partition(d6, ef - 1, axis=1)[:, ef - 1] if few else None
-                for i, rs in enumerate(sets):
-                    near = np.flatnonzero(d6[i] <= limit[i]) if few else np.arange(len(rows))
-                    best = near[np.lexsort((docs[rows[near]], d6[i][near]))][: ef or len(rows)]
-                    out.append((np.repeat(ids[i], len(best)), [rs] * len(best), docs[rows[best]], d[i, best], k))
-            if out:
-                yield pa.RecordBatch.from_arrays([
-                    pa.array(np.concatenate([o[0] for o in out]), pa.int64()), pa.array([r for o in out for r in o[1]], pa.string()), pa.array([o[4] for o in out for _ in o[1]], pa.string()),
-                    pa.array(np.concatenate([o[2] for o in out]), pa.int64()), pa.array(np.concatenate([o[3] for o in out]), pa.float64()),
-                ], schema=schema)
+                rows = np.flatnonzero(part == c)
+                _, sets, q = sent.value[k]
+                norms = (x[rows] ** 2).sum(axis=1)[None]
+                found = held.setdefault(k, [None] * len(sets))
+                for at in range(0, len(sets), 256):
+                    some = q[at : at + 256]
+                    d = np.maximum(norms - 2 * some @ x[rows].T + (some**2).sum(axis=1)[:, None], 0.0)
+                    for i, one in enumerate(d, start=at):
+                        old = found[i]
+                        new = nearest(docs[rows], one) if old is None else nearest(np.concatenate((old[0], docs[rows])), np.concatenate((old[1], one)))
+                        n_held += len(new[0]) - (0 if old is None else len(old[0]))
+                        found[i] = new
+            if n_held > bound:
+                yield from emit(held)
+                held, n_held = {}, 0
+        yield from emit(held)
 
     wanted = copies.filter(F.col("part").isin(*packed)) if packed else copies.limit(0)
     return wanted.select("part", "doc_id", "embedding").mapInArrow(run, "query_id bigint, rs string, part string, doc_id bigint, dist double")
