@@ -100,7 +100,7 @@ def _scan(copies: DataFrame, asked: DataFrame, ef: int | None) -> DataFrame:
         by_part.setdefault(r.part, []).append((r.query_id, r.rs, r.qvec))
     packed = {k: (np.array([x[0] for x in v]), [x[1] for x in v], np.array([x[2] for x in v], np.float64)) for k, v in by_part.items()}
     spark = copies.sparkSession
-    sent, bound = spark.sparkContext.broadcast(packed), MAX_HELD
+    sent, bound = spark.sparkContext.broadcast(packed), 0 if ef is None else MAX_HELD  # without a depth nothing is dropped, so nothing is held
     schema = pa.schema([("query_id", pa.int64()), ("rs", pa.string()), ("part", pa.string()), ("doc_id", pa.int64()), ("dist", pa.float64())])
 
     def nearest(ids: np.ndarray, d: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

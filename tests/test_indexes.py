@@ -4,7 +4,7 @@ import pytest
 from aclvec.operators import generators as g
 from aclvec.operators import indexes as ix
 from aclvec.operators import search as se
-from aclvec.operators.partitioning import single_partition
+from aclvec.operators.partitioning import role_partition, single_partition
 
 
 @pytest.fixture(scope="module")
@@ -77,3 +77,23 @@ def test_results_are_filtered_against_the_present_policy(spark):
     part = single_partition(p)
     now = p.but(pa=p.pa.filter("doc_id <> 2"))
     assert {r.doc_id for r in se.secure_search(q, v, now, part).collect()} == {1, 3, 4, 5, 6}
+
+
+@pytest.mark.parametrize("bound", [1, 4_000_000])
+@pytest.mark.parametrize("ef", [3, None])
+def test_scans_keep_the_nearest_over_all_batches(spark, monkeypatch, ef, bound):
+    """Many small batches with ties and two partitions in a task: the same rows as by expressions, however often a task hands on."""
+    monkeypatch.setattr(se, "MAX_HELD", bound)
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 4)
+    try:
+        p = g.hand_h1(spark)
+        v = p.docs.selectExpr("doc_id", "array(cast(doc_id % 4 as float), cast(1 as float)) as embedding")
+        q = spark.createDataFrame([(1, 1, 10, [1.0, 1.0]), (2, 6, 10, [0.0, 1.0])], "query_id long, user_id long, k int, qvec array<float>")
+        part = role_partition(p)
+        copies = part.part_doc.join(v, "doc_id").coalesce(1)
+        cols = ["query_id", "rs", "part", "doc_id", "dist"]
+        found = se.scan_candidates(copies, se.routed_queries(q, p, part), ef).select(cols).collect()
+        plain = se.candidates(q, v, p, part, ef).select(cols).collect()
+        assert len(found) and sorted(map(tuple, found)) == sorted(map(tuple, plain))
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
