@@ -67,7 +67,7 @@ PLAIN = ("rls", "role_part", "user_part")
 def exp_recall_measured(spark, sf_dir):
     """Recall by depth of the shared index and of partitions by role and by role set, with the rows that each compares."""
     p, v, q = n1(spark, sf_dir), vectors(spark, sf_dir), queries_n1(spark, sf_dir)
-    truth = se.ground_truth(q, v, p)
+    truth = sc.ground_truth(q, v, p).cache()
     return _union(curve(q, v, p, parts(p, x), truth) for x in PLAIN).withColumn("ef", F.col("ef").cast("long"))
 
 
@@ -75,7 +75,7 @@ def exp_recall_measured(spark, sf_dir):
 def exp_recall_planned(spark, sf_dir):
     """The same of the planned partitions, along each role set's cover."""
     p, v, q = n1(spark, sf_dir), vectors(spark, sf_dir), queries_n1(spark, sf_dir)
-    return curve(q, v, p, planned(spark, sf_dir, p), se.ground_truth(q, v, p))
+    return curve(q, v, p, planned(spark, sf_dir, p), sc.ground_truth(q, v, p).cache())
 
 
 def memory_row(p, q, x, name):
