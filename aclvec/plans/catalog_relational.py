@@ -51,7 +51,9 @@ for _name, _hint in (("broadcast", "broadcast"), ("sortmerge", "merge"), ("shuff
     def _join(spark, sf_dir, hint=_hint):
         p = n1(spark, sf_dir)
         e = read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("doc_id"), "label")
-        return p.ua.join(p.pa.join(e.hint(hint), "doc_id").hint(hint), "role_id").groupBy("user_id").agg(F.count("*").alias("n"), F.sum("label").alias("labels"))
+        # What a role's documents add to a user is summed once a role, so users never meet documents.
+        roles = p.pa.join(e.hint(hint), "doc_id").groupBy("role_id").agg(F.count("*").alias("n"), F.sum("label").alias("labels"))
+        return p.ua.join(roles.hint(hint), "role_id").groupBy("user_id").agg(F.sum("n").alias("n"), F.sum("labels").alias("labels"))
 
 
 @query("join_left", "SELECT d.doc_id, coalesce(quality, -1) AS quality FROM documents d LEFT JOIN labels USING (doc_id)")
