@@ -20,7 +20,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from aclvec.llm.common import id_and_bytes, per_text, stored, table
+from aclvec.llm.common import id_and_bytes, narrow_batches, per_text, stored, table
 
 # Format tags of the WAVE container.
 PCM, ALAW, MULAW, IMA = 1, 6, 7, 17
@@ -242,5 +242,6 @@ def described(clips: DataFrame) -> DataFrame:
 
 def op2_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every whole text stored as telephony samples, read back, its resampled speech stored, read back and described."""
+    narrow_batches(spark)
     clips = read_media(encode_media(table(spark, sf_dir, "documents")))
     return described(stored(clips, "zstd", 16 << 20))
