@@ -148,6 +148,6 @@ def exp_text_corpus(spark, sf_dir):
     users = p.users.agg(F.min("user_id").alias("first"), F.count("*").alias("n"))  # one row
     first = v.filter("doc_id % 20 = 0").groupBy("doc_id").agg(F.min_by("embedding", "line_no").alias("qvec"))
     q = first.join(F.broadcast(users)).select(F.col("doc_id").alias("query_id"), (F.col("first") + F.col("doc_id") % F.col("n")).alias("user_id"), F.lit(10).alias("k"), "qvec").cache()
-    truth = se.top_documents(q, v, p, 10).cache()
+    truth = sc.ground_truth(q, v, p, 10, by_document=True).cache()
     part = pt.role_homes(p, pl.plan_splits(pl.PlannerInput.collect(p), 1.4).part_role(spark), "planner")
     return _union(curve(q, v, p, x, truth) for x in (parts(p, "rls"), part, parts(p, "role_part")))
