@@ -4,7 +4,7 @@ import pytest
 from aclvec.operators import generators as g
 from aclvec.operators import indexes as ix
 from aclvec.operators import search as se
-from aclvec.operators.partitioning import role_partition, single_partition
+from aclvec.operators.partitioning import role_homes, role_partition, single_partition
 
 
 @pytest.fixture(scope="module")
@@ -97,3 +97,49 @@ def test_scans_keep_the_nearest_over_all_batches(spark, monkeypatch, ef, bound):
         assert len(found) and sorted(map(tuple, found)) == sorted(map(tuple, plain))
     finally:
         spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+
+
+def test_graphs_are_built_by_products(monkeypatch):
+    """No node is searched for when it goes in, and none of the kinds of rows breaks a build: few, one, none, or copies of one vector in their thousands."""
+    monkeypatch.setattr(ix.Graph, "dist", lambda *a: pytest.fail("a distance call of its own"))
+    x = np.random.default_rng(6).normal(size=(3000, 16)).astype(np.float32)
+    x[1000:2500] = x[7]
+    for n in (0, 1, 2, 40, 3000):
+        g = ix.Graph(x[:n], np.arange(n), m=8, efc=32).build()
+        assert all(len(near) <= (g.m if layer else g.links0) for links in g.links for layer, near in enumerate(links))
+        assert all(n != i for i, links in enumerate(g.links) for near in links for n in near)
+        assert n < 2 or all(g.links[i][0] for i in range(n))
+
+
+def test_own_links_are_those_of_the_nearest_before():
+    x = np.random.default_rng(7).normal(size=(700, 8)).astype(np.float32)
+    found = np.concatenate([ids for ids, _ in ix.earlier(x, 12)])
+    for i in (0, 5, 300, 699):
+        d = ((x[:i] - x[i]) ** 2).sum(axis=1)
+        assert [n for n in found[i].tolist() if n >= 0] == d.argsort(kind="stable")[:12].tolist()
+
+
+def test_depth_grows_until_the_floor_is_reached(spark):
+    truth = spark.createDataFrame([(1, i) for i in range(8)], "query_id long, doc_id long")
+    asked = []
+    found, recall = ix.deepened(lambda d: asked.append(d) or truth.filter(f"doc_id < {d}"), truth, 2, 0.9, 6)
+    assert asked == [2, 4, 6] and recall == 0.75 and found.count() == 6
+    asked.clear()
+    assert ix.deepened(lambda d: asked.append(d) or truth.filter(f"doc_id < {d}"), truth, 2, 0.5, 6)[1] == 0.5 and asked == [2, 4]
+
+
+def test_answers_from_lists_are_those_of_all_candidates(spark, sf):
+    from aclvec.plans.catalog_parts import mod4
+    from aclvec.plans.catalog_policy import queries_n1
+    from aclvec.sources.tables import vectors
+
+    p, v, q = g.natural_n1(spark, sf), vectors(spark, sf), queries_n1(spark, sf)
+    for part in (single_partition(p), role_homes(p, mod4(p))):
+        for depth in (1, 3):
+            index = ix.IvfIndex()
+            built = tuple(x.cache() for x in index.build(part, v))
+            plain = se.merge(se.permitted_only(index.search(built, q, p, part, depth), p), 10)
+            assert sorted(map(tuple, index.answers(built, q, p, part, depth).collect())) == sorted(map(tuple, plain.collect()))
+        index = ix.IvfPqIndex(rerank=10_000)  # all that is found is ranked again
+        built = index.build(part, v)
+        assert index.answers(built, q, p, part, 10).exceptAll(se.ground_truth(q, v, p)).count() == 0
