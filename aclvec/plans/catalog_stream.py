@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from aclvec.operators import generators as g
 from aclvec.operators import partitioning as pt
-from aclvec.operators import search as se
+from aclvec.operators import scan as sc
 from aclvec.plans.policies_sql import POLICIES, with_
 from aclvec.plans.registry import big, query
 from aclvec.sources.tables import read, scratch, vectors
@@ -74,7 +74,7 @@ def stream_secure_search(spark, sf_dir):
 
     def search(batch):
         queries = batch.join(v.select("doc_id", F.col("embedding").alias("qvec")), "doc_id").select("query_id", "user_id", F.lit(10).alias("k"), "qvec")
-        return se.secure_search(queries, v, p, part)
+        return sc.secure_search(queries, v, p, part)
 
     base = scratch(spark)
     ch.search_stream(asked, search, f"{base}/answers", f"{base}/cp").awaitTermination()

@@ -69,3 +69,16 @@ def test_many_queries_are_asked_in_blocks_and_full_tasks_hand_on(given, small, m
     monkeypatch.setattr(se, "MAX_BROADCAST_QUERIES", 3)
     monkeypatch.setattr(se, "MAX_HELD", 5)
     assert rows(sc.knn(q, v, 3)) == plain
+
+
+@pytest.mark.parametrize("sent", [60, 200_000])
+def test_more_queries_than_rows_stay_where_they_are(spark, monkeypatch, sent):
+    """Each query many times over, by users of all role sets, ties and copies among few rows; in one block of rows and in several."""
+    p = g.hand_h1(spark)
+    v = p.docs.selectExpr("doc_id", "array(cast(doc_id % 4 as float), cast(1 as float)) as embedding")
+    q = spark.range(300).selectExpr("id as query_id", "id % 6 + 1 as user_id", "4 as k", "array(cast(id % 5 as float), cast(1 as float)) as qvec")
+    monkeypatch.setattr(se, "MAX_BROADCAST_QUERIES", 10)
+    monkeypatch.setattr(sc, "SENT", sent // 10)
+    monkeypatch.setattr(sc, "_scan", lambda *a: pytest.fail("queries sent to every task"))
+    for part in (role_partition(p), single_partition(p)):
+        assert rows(sc.secure_search(q, v, p, part, k=4)) == rows(se.secure_search(q, v, p, part, k=4))
