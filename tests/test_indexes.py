@@ -143,3 +143,18 @@ def test_answers_from_lists_are_those_of_all_candidates(spark, sf):
         index = ix.IvfPqIndex(rerank=10_000)  # all that is found is ranked again
         built = index.build(part, v)
         assert index.answers(built, q, p, part, 10).exceptAll(se.ground_truth(q, v, p)).count() == 0
+
+
+def test_a_reload_that_lost_or_moved_a_row_differs(spark, sf):
+    from aclvec.plans import catalog_search as cs
+    from aclvec.plans.catalog_policy import queries_n1
+    from aclvec.sources.tables import vectors
+
+    p, v, q = g.natural_n1(spark, sf), vectors(spark, sf), queries_n1(spark, sf)
+    index, part = ix.IvfIndex(), single_partition(p)
+    lists, centroids = (x.cache() for x in index.build(part, v))
+    assert cs.reload_differences(index, (lists, centroids), (lists, centroids), q, p, part) == 0
+    moved = lists.selectExpr("doc_id", "if(doc_id = 3, list_id + 1, list_id) as list_id", "embedding")
+    assert cs.reload_differences(index, (lists, centroids), (lists.filter("doc_id <> 3"), centroids), q, p, part) == 1
+    assert cs.reload_differences(index, (lists, centroids), (moved, centroids), q, p, part) == 2
+    assert cs.reload_differences(index, (lists, centroids), (lists, centroids.filter("list_id <> 0")), q, p, part) > 0
