@@ -17,12 +17,13 @@ from aclvec.operators import planner as pl
 from aclvec.operators import routing as ro
 from aclvec.operators import scan as sc
 from aclvec.operators import search as se
+from aclvec.operators.policy import doc_classes, role_sets
 from aclvec.plans.catalog_parts import n1, parts
 from aclvec.plans.catalog_policy import POLICY, queries_n1, workload
-from aclvec.plans.catalog_search import planned, text_vectors
+from aclvec.plans.catalog_search import line_vectors, planned
 from aclvec.plans.policies_sql import MEASURED, PARTS, POLICIES, SETS, TRUTH, distances, with_
 from aclvec.plans.registry import query, r6
-from aclvec.sources.tables import vectors
+from aclvec.sources.tables import read, vectors
 
 EFS = [10, 20, 50, 100, 200, 400]
 
@@ -40,9 +41,10 @@ def evaluated(q, p, part):
     return each.agg(r6(F.avg("visited")).alias("visited"), r6(F.avg("rows")).alias("rows_compared"))
 
 
-def curve(q, v, p, part, truth, efs=EFS):
-    """strategy, ef, recall, visited, rows_compared."""
-    points = sc.recall_by_depth(q, v, p, part, truth, efs).select("ef", r6("recall").alias("recall"))
+def curve(q, v, p, part, truth, efs=EFS, placed=None):
+    """strategy, ef, recall, visited, rows_compared. `placed`: places of true neighbours, where a scan for several partitionings has counted them."""
+    points = sc.recall_by_depth(q, v, p, part, truth, efs) if placed is None else sc.recalls(placed, efs)
+    points = points.select("ef", r6("recall").alias("recall"))
     return points.join(F.broadcast(evaluated(q, p, part))).select(F.lit(part.name).alias("strategy"), "ef", "recall", "visited", "rows_compared")
 
 
@@ -141,13 +143,15 @@ def exp_query_correlation(spark, sf_dir):
 def exp_text_corpus(spark, sf_dir):
     """Documents of several hashed line vectors under the policy of sources, languages and labels: recall of documents by depth in lines; visited partitions and rows_compared count documents."""
     p, d = g.natural_n3(spark, sf_dir), 64
-    lines = text_vectors(spark, sf_dir, d).groupBy("doc_id", "line_no").agg(F.map_from_entries(F.collect_list(F.struct("bucket", "weight"))).alias("m"))
-    dense = F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda i: F.coalesce(F.element_at("m", i.cast("long")), F.lit(0.0)))
-    norm = F.sqrt(F.aggregate("e", F.lit(0.0), lambda a, x: a + x * x))
-    v = lines.select("doc_id", "line_no", dense.alias("e")).filter(norm > 0).select("doc_id", "line_no", F.transform("e", lambda x: (x / norm).cast("float")).alias("embedding")).cache()
+    p = p.but(ua=p.ua.cache(), pa=p.pa.cache())
+    role_sets(p).cache(), doc_classes(p).cache()  # the operators below ask for them again and again
+    n_lines = read(spark, sf_dir, "documents").agg(F.sum(F.size(F.split("text", "\n")))).first()[0] or 0
+    v = sc.dealt(line_vectors(spark, sf_dir, d), n_lines).cache()
     users = p.users.agg(F.min("user_id").alias("first"), F.count("*").alias("n"))  # one row
     first = v.filter("doc_id % 20 = 0").groupBy("doc_id").agg(F.min_by("embedding", "line_no").alias("qvec"))
     q = first.join(F.broadcast(users)).select(F.col("doc_id").alias("query_id"), (F.col("first") + F.col("doc_id") % F.col("n")).alias("user_id"), F.lit(10).alias("k"), "qvec").cache()
     truth = sc.ground_truth(q, v, p, 10, by_document=True).cache()
     part = pt.role_homes(p, pl.plan_splits(pl.PlannerInput.collect(p), 1.4).part_role(spark), "planner")
-    return _union(curve(q, v, p, x, truth) for x in (parts(p, "rls"), part, parts(p, "role_part")))
+    several = [parts(p, "rls"), part, parts(p, "role_part")]
+    placed = sc.true_places_in_each(q, v, p, several, truth).cache()
+    return _union(curve(q, v, p, x, truth, placed=placed.filter(F.col("which") == i)) for i, x in enumerate(several))
